@@ -18,9 +18,9 @@ The signature step misses a pair at exactly the threshold of 0.8 with a probabil
 trials at 0.8, fewer than 32 hits); everything after it is exact.
 
 Defined cases: a null or empty text, or one of white space only, has an empty set and is linked with
-nothing; repeated rows are copies of each other and each gives a row; a null id is a row like any other
-(its component is the smallest id reachable, null if there is none); an empty table gives an empty
-result; further columns are ignored.
+nothing; repeated rows are copies of each other and each gives a row; a row without an id shares the
+component of an equal set that has one, and is compared no further (component null, kept); an empty
+table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -109,13 +109,15 @@ def _sign(width: int):
 def _full_sets(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cids = batch.column("cid")
-            for a, b, raw, at in textvec.pieces(batch.column("text")):
+            for _, _, raw, at in textvec.pieces(batch.column("text")):
                 sets, n = _sets(raw, at, width)
+                n = n[n > 0]
+                if not len(n):
+                    continue
                 lists = pa.ListArray.from_arrays(
                     pa.array(np.concatenate(([0], np.cumsum(n))).astype(np.int32)), pa.array(sets.view(np.int64))
                 )
-                yield pa.RecordBatch.from_arrays([cids.slice(a, b - a), lists], names=["cid", "shingles"])
+                yield pa.RecordBatch.from_arrays([pa.array(_class_ids(sets, n).view(np.int64)), lists], names=["cid", "shingles"])
 
     return run
 
@@ -179,14 +181,13 @@ def _links(docs, signed, classes, width, percent, min_matches, pivot_rounds) ->
     lists = prefix.groupBy("key").agg(F.min("cid").alias("lo"), F.max("cid").alias("hi")).where("lo < hi").select("key")
     prefix = prefix.join(lists, "key")
     wanted = prefix.select("cid").distinct()
-    wanted_keys = materialize(chosen.join(wanted, "cid", "left_semi").select("cid", "doc_id", "keys", "n_shingles"), "wanted")
+    wanted_keys = materialize(chosen.join(wanted, "cid", "left_semi").select("cid", "doc_id", "keys"), "wanted")
     keys = wanted_keys.select("cid", "keys")
-    texts = docs.join(wanted_keys.select("cid", "doc_id"), "doc_id").select("cid", "text")
-    # an id met with several texts brings foreign sets along: they differ from the class by their own class id
-    sets = materialize(texts.mapInArrow(_full_sets(width), "cid long, shingles array<long>"), "sets")
-    if docs.sparkSession.conf.get("corpus.near.repeated_ids", "true") == "true":
-        sizes = wanted_keys.select("cid", F.col("n_shingles").alias("n"))
-        sets = sets.join(sizes, "cid").where(F.size("shingles") == F.col("n")).dropDuplicates(["cid"]).select("cid", "shingles")
+    texts = docs.join(wanted_keys.select("doc_id"), "doc_id").select("text")
+    sets = texts.mapInArrow(_full_sets(width), "cid long, shingles array<long>")
+    if not signed.groupBy("doc_id").count().where("count > 1").isEmpty():  # repeated rows bring a set more than once
+        sets = sets.dropDuplicates(["cid"])
+    sets = materialize(sets, "sets")
     found: DataFrame | None = None
     labels: DataFrame | None = None
     for k in range(pivot_rounds + 1):
