@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
+from .mixing import op7_mixing
 from .near_duplicates import op6_near_duplicates
+from .quality_rules import OP4_SQL, op4_quality_rules
+from .substring_dedup import op9_substring_dedup
 
 QUERIES = {
+    "op4_quality_rules": op4_quality_rules,
     "op6_near_duplicates": op6_near_duplicates,
+    "op7_mixing": op7_mixing,
+    "op9_substring_dedup": op9_substring_dedup,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op4_quality_rules": OP4_SQL,
+}
