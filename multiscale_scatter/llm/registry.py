@@ -5,9 +5,11 @@ from __future__ import annotations
 from .mixing import op7_mixing
 from .near_duplicates import op6_near_duplicates
 from .quality_rules import OP4_SQL, op4_quality_rules
+from .secret_scan import op1_secret_scan
 from .substring_dedup import op9_substring_dedup
 
 QUERIES = {
+    "op1_secret_scan": op1_secret_scan,
     "op4_quality_rules": op4_quality_rules,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_mixing": op7_mixing,
