@@ -11,8 +11,9 @@ form one posting key, so two documents agree in as many coordinates as they shar
 3. Within a posting list, each class is paired with one pivot of the list, not with all others.  Pairs
    that agree in enough coordinates are confirmed on their full sets; the confirmed ones join
    components.  Lists that still span several components get another pivot.
-4. After `pivot_rounds` rounds all pairs of a list that lie in different components are compared, so no
-   link between components is lost, while a group of copies costs one pair a member.
+4. After `pivot_rounds` rounds all pairs of a list that lie in different components, and whose sizes and
+   numbers of shared shingles leave the threshold within reach, are compared.  So no link between
+   components is lost, while a group of copies costs a pair or two a member.
 
 The signature step misses a pair at exactly the threshold of 0.8 with a probability below 1e-6 (64
 trials at 0.8, fewer than 32 hits); everything after it is exact.
@@ -29,7 +30,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -168,18 +169,30 @@ def near_duplicates(
     ).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def _enough(left: Column, right: Column, n1: Column, n2: Column, percent: int) -> Column:
+    """An intersection as large as the smaller of left and right would do for sets of n1 and n2 members."""
+    return F.least(left, right) * (100 + percent) >= (n1 + n2) * percent
+
+
+def _open(members: DataFrame) -> DataFrame:
+    """The postings of lists that span several components."""
+    spans = members.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"))
+    return members.join(spans.where("lo < hi").select("key"), "key")
+
+
 def _links(docs, signed, classes, width, percent, min_matches, pivot_rounds) -> DataFrame:
     """(node, component) of the classes that have a link."""
     chosen = signed.join(classes.select("cid", "doc_id"), ["cid", "doc_id"], "left_semi").dropDuplicates(["cid"])
-    posted = chosen.select("cid", F.explode("keys").alias("key"))
+    posted = chosen.select("cid", F.col("n_shingles").cast("int").alias("n"), F.explode("keys").alias("key"))
     # counts are combined before the shuffle; the join back is one that adaptive execution can split
     shared = posted.groupBy("key").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
     shared = posted.join(shared, "key")
-    order = W.partitionBy("cid").orderBy("df", "key")
-    ranked = shared.select("cid", "key", F.row_number().over(order).alias("r"), F.count("key").over(W.partitionBy("cid")).alias("c"))
-    prefix = materialize(ranked.where(F.col("c") >= min_matches).where(F.col("r") <= F.col("c") - min_matches + 1).select("key", "cid"), "postings")
-    lists = prefix.groupBy("key").agg(F.min("cid").alias("lo"), F.max("cid").alias("hi")).where("lo < hi").select("key")
-    prefix = prefix.join(lists, "key")
+    of_class = W.partitionBy("cid")
+    ranked = shared.select(
+        "cid", "n", "key", F.row_number().over(of_class.orderBy("df", "key")).alias("r"), F.count("key").over(of_class).alias("c")
+    )
+    prefix = ranked.where(F.col("c") >= min_matches).where(F.col("r") <= F.col("c") - min_matches + 1)
+    prefix = materialize(_open(prefix.select("key", "cid", "n", F.col("cid").alias("component"))), "postings")
     wanted = prefix.select("cid").distinct()
     wanted_keys = materialize(chosen.join(wanted, "cid", "left_semi").select("cid", "doc_id", "keys"), "wanted")
     keys = wanted_keys.select("cid", "keys")
@@ -190,35 +203,49 @@ def _links(docs, signed, classes, width, percent, min_matches, pivot_rounds) ->
     sets = materialize(sets, "sets")
     found: DataFrame | None = None
     labels: DataFrame | None = None
+    members = prefix
     for k in range(pivot_rounds + 1):
-        if labels is None:
-            members = prefix.select("key", "cid", F.col("cid").alias("component"))
-        else:
-            members = prefix.join(labels, prefix["cid"] == labels["node"], "left").select(
-                "key", "cid", F.coalesce("component", "cid").alias("component")
-            )
-            open_lists = members.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-            members = materialize(members.join(open_lists, "key"), "open-postings")
+        if labels is not None:
+            named = prefix.drop("component").join(labels, prefix["cid"] == labels["node"], "left")
+            members = _open(named.select("key", "cid", "n", F.coalesce("component", "cid").alias("component")))
+            members = materialize(members, "open-postings")
             if members.isEmpty():
                 break
         if k < pivot_rounds:
-            pivot = members.groupBy("key").agg(F.min_by(F.struct("cid", "component"), F.xxhash64("cid", F.lit(k))).alias("p"))
-            pairs = members.join(pivot, "key").where(F.col("component") != F.col("p.component")).select(
-                F.least("cid", "p.cid").alias("a"), F.greatest("cid", "p.cid").alias("b")
-            )
+            pivot = members.groupBy("key").agg(F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))).alias("p"))
+            pairs = members.join(
+                pivot, (members["key"] == pivot["key"]) & (F.col("component") != F.col("p.component"))
+                & _enough(F.col("n"), F.col("p.n"), F.col("n"), F.col("p.n"), percent),
+            ).select(F.least("cid", "p.cid").alias("a"), F.greatest("cid", "p.cid").alias("b"))
         else:
-            other = members.select("key", F.col("cid").alias("cid2"), F.col("component").alias("component2"))
-            pairs = members.join(other, "key").where("cid < cid2 and component != component2").select(
-                F.col("cid").alias("a"), F.col("cid2").alias("b")
-            )
+            pairs = _all_pairs(members, sets, percent)
         links = _confirmed(pairs.distinct(), keys, sets, percent, min_matches)
         found = materialize(links if found is None else found.unionByName(links), "links")
         labels = components(found)
-    if labels is None:
-        return classes.select(F.col("cid").alias("node"), F.col("cid").alias("component")).limit(0)
     return labels
 
 
+def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Every pair of a list whose classes lie in different components and could be similar.
+
+    A shingle that no other class here has cannot be in an intersection.  What a class has besides such
+    shingles bounds every intersection with it; this leaves out the loose members of a group of near
+    copies, which resemble all of it but nothing closely enough.
+    """
+    here = members.select("cid").distinct()
+    shingles = sets.join(here, "cid", "left_semi").select("cid", F.explode("shingles").alias("shingle"))
+    common = shingles.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1").select("shingle")
+    bound = shingles.join(common, "shingle").groupBy("cid").agg(F.count(F.lit(1)).alias("s"))
+    bounded = members.join(bound, "cid").where(F.col("s") * 100 >= F.col("n") * percent)
+    bounded = materialize(_open(bounded), "bounded-postings")
+    other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s")))
+    return bounded.join(
+        other,
+        (bounded["key"] == other["key"]) & F.expr("cid < cid2 and component != component2")
+        & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent),
+    ).select(F.col("cid").alias("a"), F.col("cid2").alias("b"))
+
+
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """docs without near-duplicates: of each component the document with the smallest id stays, once.
 
