@@ -5,10 +5,10 @@ id.  Sorting every suffix of a corpus would ship each byte many times over, so t
 places that can matter:
 
 1. Equal texts form a class; only the document with the smallest id is looked into.
-2. Every 50-byte string holds an anchor: its 16-byte gram of least hash.  Equal strings have equal
+2. Every 50-byte string holds an anchor: its 24-byte gram of least hash.  Equal strings have equal
    anchors.  Anchors that occur in one text only are out.  A map task sends one packed entry per gram
    and group of texts, so a gram of a third of all documents costs one entry a task.
-3. Around each anchor that is left lies a context of up to 84 bytes with all strings that it stands for.
+3. Around each anchor that is left lies a context of up to 76 bytes with all strings that it stands for.
    Equal contexts in a task are one entry, sent with the smallest id; the others are covered already.
 4. Contexts with the same gram meet in one task.  Where a gram has several contexts they are laid end to
    end, their suffixes are put in order by two-stage sorting, and strings with a common prefix of 50
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from . import suffix_sort, textvec
 from .shared import materialize
 
-GRAM = 16
+GRAM = 24
 #: Text bytes that share one bucket of grams, and that a map task works on before it sends.
 BUCKET_BYTES, FLUSH_BYTES = 16 << 20, 24 << 20
 _IDENT = 1 << 40
@@ -153,23 +153,47 @@ def _grams(length: int, buckets: int):
     return run
 
 
+_SHARED = "dest long, keys binary, counts binary, grams binary"
+
+
+def _shared_batch(dest: np.ndarray, k: np.ndarray, g: np.ndarray) -> pa.RecordBatch:
+    """Rows for (key, gram) pairs, sorted by dest, then key; one for each dest."""
+    cut = _runs(dest)
+    rows = []
+    for a, b in zip(cut, np.append(cut[1:], len(dest)), strict=True):
+        c = _runs(k[a:b])
+        rows.append((int(dest[a]), k[a:b][c].tobytes(), np.diff(np.append(c, b - a)).astype(np.uint32).tobytes(), g[a:b].tobytes()))
+    cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
+    return pa.RecordBatch.from_arrays(
+        [pa.array(cols[0], pa.int64()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["dest", "keys", "counts", "grams"]
+    )
+
+
 def _shared_grams(buckets: int):
-    """From all entries of a bucket: (key, grams) of the grams that texts with different keys have."""
+    """From all entries of a bucket: the grams that texts with different keys have, packed by groups of keys."""
+    groups = np.uint64(4 * buckets)
+
+    def packed(k: np.ndarray, g: np.ndarray) -> pa.RecordBatch:
+        dest = (textvec.mix(k) % groups).astype(np.int64)
+        order = np.lexsort((g, k, dest))
+        return _shared_batch(dest[order], k[order], g[order])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list] = {}
+        local: list = []
         for batch in batches:
             for bucket, key, idents, counts, keys in zip(*(batch.column(c).to_pylist() for c in ("bucket", "key", "idents", "counts", "keys")), strict=True):
                 if bucket is None:
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array([key], pa.int64()), pa.array([idents], pa.binary())], names=["key", "grams"]
-                    )
+                    g = np.frombuffer(idents, np.uint64)
+                    local.append((np.full(len(g), key, np.int64).view(np.uint64), g))
                     continue
                 wide = np.zeros((len(idents) // 5, 8), np.uint8)
                 wide[:, :5] = np.frombuffer(idents, np.uint8).reshape(-1, 5)
                 held.setdefault(bucket, []).append(
                     (wide.reshape(-1).view(np.uint64), np.repeat(np.frombuffer(keys, np.uint64), np.frombuffer(counts, np.uint32)))
                 )
+        if local:
+            yield packed(np.concatenate([x[0] for x in local]), np.concatenate([x[1] for x in local]))
         for bucket in list(held):
             parts = held.pop(bucket)
             g, k = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
@@ -179,22 +203,36 @@ def _shared_grams(buckets: int):
             cut = _runs(g)
             low, high = np.minimum.reduceat(k, cut), np.maximum.reduceat(k, cut)
             use = np.repeat(low != high, np.diff(np.append(cut, len(g))))
-            g, k = g[use] * np.uint64(buckets) + np.uint64(bucket), k[use]
-            order = np.argsort(k, kind="stable")
-            g, k = g[order], k[order]
-            cut = _runs(k)
-            if len(cut):
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(k[cut].view(np.int64)),
-                        pa.array([g[a:b].tobytes() for a, b in zip(cut, np.append(cut[1:], len(g)), strict=True)], pa.binary()),
-                    ],
-                    names=["key", "grams"],
-                )
+            if use.any():
+                yield packed(k[use], g[use] * np.uint64(buckets) + np.uint64(bucket))
 
     return run
 
 
+def _by_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row (key, grams) for each key of the groups that meet here."""
+    keys, grams = [], []
+    for batch in batches:
+        for k, n, g in zip(*(batch.column(c).to_pylist() for c in ("keys", "counts", "grams")), strict=True):
+            keys.append(np.repeat(np.frombuffer(k, np.uint64), np.frombuffer(n, np.uint32)))
+            grams.append(np.frombuffer(g, np.uint64))
+    if not keys:
+        return
+    k, g = np.concatenate(keys), np.concatenate(grams)
+    order = np.argsort(k, kind="stable")
+    k, g = k[order], g[order]
+    cut = _runs(k)
+    ends = np.append(cut[1:], len(k))
+    for a in range(0, len(cut), 10_000):
+        yield pa.RecordBatch.from_arrays(
+            [
+                pa.array(k[cut[a : a + 10_000]].view(np.int64)),
+                pa.array([g[x:y].tobytes() for x, y in zip(cut[a : a + 10_000], ends[a : a + 10_000], strict=True)], pa.binary()),
+            ],
+            names=["key", "grams"],
+        )
+
+
 #: route: the gram of a context, or any number for a decision; lead: the gram's place in the context.
 _CONTEXTS = "route long, context binary, lead int, ord long, key long, places binary, masks binary"
 
@@ -263,7 +301,7 @@ def _contexts(length: int, buckets: int):
                 end = np.minimum(found + GRAM + reach, at[row + 1])
                 same = textvec.span_hashes(raw, begin, end) ^ (found - begin).astype(np.uint64)
                 held.append((gram, found - begin, end - begin, begin, found - at[row], ords[a:b][row], keys[a:b][row], np.full(len(found), len(held)), same, raw.copy()))
-                amount += len(found) * 84 + len(raw)
+                amount += len(found) * 76 + len(raw)
                 if amount >= FLUSH_BYTES:
                     yield from flush(held)
                     held, amount = [], 0
@@ -409,10 +447,10 @@ def dedup_substrings(docs: DataFrame, length: int = 50) -> DataFrame:
     buckets = max(8, -(-int(base.agg(F.sum("n_bytes")).first()[0] or 0) // BUCKET_BYTES))
     entries = docs.where(F.octet_length("text") >= length).select("key", "text").mapInArrow(_grams(length, buckets), _GRAMS)
     spread = entries.repartition(buckets, F.coalesce(F.col("bucket").cast("long"), F.col("key")))
-    grams = spread.mapInArrow(_shared_grams(buckets), "key long, grams binary")
-    grams = grams.groupBy("key").agg(F.collect_list("grams").alias("grams")).select("key", F.array_join(F.transform("grams", F.hex), "").alias("grams"))
-    lead = base.where("ord = first").select("ord", F.col("key").alias("key")).distinct()
-    wanted = lead.join(grams, "key").select("ord", "key", F.unhex("grams").alias("grams"))
+    packed = spread.mapInArrow(_shared_grams(buckets), _SHARED).repartition(buckets, "dest")
+    grams = packed.mapInArrow(_by_key, "key long, grams binary")
+    lead = base.where("ord = first").select("ord", "key").distinct()
+    wanted = lead.join(grams, "key").select("ord", "key", "grams")
     candidates = materialize(docs.select("ord", "key", "text").join(wanted, ["ord", "key"]), "candidates")
     contexts = candidates.select("ord", "key", "text", "grams").mapInArrow(_contexts(length, buckets), _CONTEXTS)
     met = contexts.repartition(buckets, "route").sortWithinPartitions("route", "context")
