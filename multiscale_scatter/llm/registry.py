@@ -7,10 +7,12 @@ from .near_duplicates import op6_near_duplicates
 from .quality_rules import OP4_SQL, op4_quality_rules
 from .secret_scan import op1_secret_scan
 from .substring_dedup import op9_substring_dedup
+from .url_filter import OP5_SQL, op5_url_filter
 
 QUERIES = {
     "op1_secret_scan": op1_secret_scan,
     "op4_quality_rules": op4_quality_rules,
+    "op5_url_filter": op5_url_filter,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_mixing": op7_mixing,
     "op9_substring_dedup": op9_substring_dedup,
@@ -18,4 +20,5 @@ QUERIES = {
 
 ORACLES: dict[str, str] = {
     "op4_quality_rules": OP4_SQL,
+    "op5_url_filter": OP5_SQL,
 }
