@@ -166,10 +166,11 @@ def mix(
 def taken(mixed: Mix) -> DataFrame:
     """For each document: doc_id, size, source_size, target of its source, words taken with repeats."""
     uses = mixed.slots.groupBy("rank", "block").agg(F.count(F.lit(1)).alias("uses"))
-    pieces = mixed.blocks.join(uses, ["rank", "block"]).groupBy("rank", "first_word").agg(F.sum(F.col("words") * F.col("uses")).alias("taken"))
+    # the planner takes the drawn slots for as few as the shards they come from: never broadcast them
+    pieces = mixed.blocks.hint("merge").join(uses, ["rank", "block"]).groupBy("rank", "first_word").agg(F.sum(F.col("words") * F.col("uses")).alias("taken"))
     named = F.broadcast(mixed.sources.select("rank", "source_size", "target"))
     sized = mixed.documents.join(named, "rank")
-    has = sized.where("size > 0").join(pieces, ["rank", "first_word"], "left")
+    has = sized.where("size > 0").hint("merge").join(pieces, ["rank", "first_word"], "left")
     cols = ["doc_id", "source", "size", "source_size", "target"]
     none = sized.where("size = 0").select(*cols, F.lit(0).cast("long").alias("taken"))
     return has.select(*cols, F.coalesce("taken", F.lit(0)).cast("long").alias("taken")).unionByName(none)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .decontamination import op3_decontamination
 from .mixing import op7_mixing
 from .near_duplicates import op6_near_duplicates
 from .quality_rules import OP4_SQL, op4_quality_rules
@@ -11,6 +12,7 @@ from .url_filter import OP5_SQL, op5_url_filter
 
 QUERIES = {
     "op1_secret_scan": op1_secret_scan,
+    "op3_decontamination": op3_decontamination,
     "op4_quality_rules": op4_quality_rules,
     "op5_url_filter": op5_url_filter,
     "op6_near_duplicates": op6_near_duplicates,

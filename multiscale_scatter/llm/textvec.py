@@ -67,12 +67,16 @@ def pieces(column: pa.Array, limit: int = PIECE) -> Iterator[tuple[int, int, np.
         row = end
 
 
-def word_bounds(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+#: Bytes that separate words where punctuation doesn't belong to them: ASCII but for letters and digits.
+BREAKS = np.array([b < 128 and not chr(b).isalnum() for b in range(256)])
+
+
+def word_bounds(raw: np.ndarray, at: np.ndarray, breaks: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(starts, ends, words per row)."""
     if not len(raw):
         z = np.zeros(0, np.int64)
         return z, z, np.zeros(len(at) - 1, np.int64)
-    inside = ~_SPACE[raw]
+    inside = ~breaks[raw]
     first = inside.copy()
     first[1:] &= ~inside[:-1]
     cut = at[1:-1]
