@@ -8,6 +8,7 @@ from .near_duplicates import op6_near_duplicates
 from .quality_rules import OP4_SQL, op4_quality_rules
 from .secret_scan import op1_secret_scan
 from .substring_dedup import op9_substring_dedup
+from .token_counts import op10_token_counts
 from .url_filter import OP5_SQL, op5_url_filter
 
 QUERIES = {
@@ -18,6 +19,7 @@ QUERIES = {
     "op6_near_duplicates": op6_near_duplicates,
     "op7_mixing": op7_mixing,
     "op9_substring_dedup": op9_substring_dedup,
+    "op10_token_counts": op10_token_counts,
 }
 
 ORACLES: dict[str, str] = {
