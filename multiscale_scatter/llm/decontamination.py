@@ -28,6 +28,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -40,10 +41,9 @@ THRESHOLD, OVERLAP = 0.6, 0.7
 
 
 def hashed_words(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the words without punctuation, A-Z lower-cased, and how many each row has."""
-    low = textvec.lower_ascii(raw)
-    starts, ends, n = textvec.word_bounds(low, at, textvec.BREAKS)
-    return textvec.span_hashes(low, starts, ends), n
+    """Hashes of the words without punctuation, and how many each row has; texts come in lower case."""
+    starts, ends, n = textvec.word_bounds(raw, at, textvec.BREAKS)
+    return textvec.span_hashes(raw, starts, ends), n
 
 
 def question_and_answer(text: str) -> tuple[str, str]:
@@ -94,7 +94,7 @@ class Index:
 
 def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[int, int] | None = None) -> Index:
     """items: (item_id, text); usage: how often documents use a term, by its hash."""
-    items = [(i, t) for i, t in items if t and re.search(r"[^\W_]", t)]
+    items = [(i, pc.utf8_lower(t).as_py()) for i, t in items if t and re.search(r"[^\W_]", t)]
     units, owner = [], []
     for k, (_, text) in enumerate(items):
         raw = np.frombuffer(text.encode(), np.uint8)
@@ -166,7 +166,7 @@ def _search(index: Index):
         for batch in batches:
             rows: list[tuple] = []
             ids = batch.column("doc_id")
-            for a, _, raw, at in textvec.pieces(batch.column("text")):
+            for a, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text"))):
                 words, n = hashed_words(raw, at)
                 if not len(words) or not n_units:
                     continue
@@ -222,7 +222,7 @@ def _usage(terms: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count = np.zeros(len(terms), np.int64)
         for batch in batches:
-            for _, _, raw, at in textvec.pieces(batch.column("text")):
+            for _, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text"))):
                 words, _ = hashed_words(raw, at)
                 place = np.minimum(np.searchsorted(terms, words), len(terms) - 1)
                 count += np.bincount(place[terms[place] == words], minlength=len(terms))
