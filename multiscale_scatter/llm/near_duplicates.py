@@ -6,14 +6,17 @@ form one posting key, so two documents agree in as many coordinates as they shar
 1. Documents with the same set form a class; one representative stands for it from here on.
 2. Keys found in one class only cannot bring a pair together and go.  What is left of a signature is
    sorted by how many classes have the key, rarest first.  Two signatures that agree in at least
-   `min_matches` coordinates share a key among the first c - min_matches + 1 of each (c: keys kept),
-   so only that prefix is posted, and classes with fewer than `min_matches` kept keys are skipped.
-3. Within a posting list, each class is paired with one pivot of the list, not with all others.  Pairs
-   that agree in enough coordinates are confirmed on their full sets; the confirmed ones join
-   components.  Lists that still span several components get another pivot.
-4. After `pivot_rounds` rounds all pairs of a list that lie in different components, and whose sizes and
-   numbers of shared shingles leave the threshold within reach, are compared.  So no link between
-   components is lost, while a group of copies costs a pair or two a member.
+   `min_matches` coordinates share `PREFIX_HITS` keys among the first c - min_matches + PREFIX_HITS of
+   each (c: keys kept), so only that prefix is posted, and classes with fewer keys are skipped.
+3. Posting lists of at most `SHORT` classes are joined with themselves; pairs of similar size are counted,
+   and those with enough common lists are compared in all coordinates.  In longer lists each class is
+   paired with a few pivots of the list only.
+4. Every class is confirmed on full sets against its likeliest partner first, then what still lies in
+   different components.
+5. Long lists that still span several components get other pivots, and at last all pairs of theirs are
+   compared that lie in different components and whose sizes and numbers of shared shingles leave the
+   threshold within reach.  So no link between components is lost, while a group of copies costs a few
+   pairs a member.
 
 The signature step misses a pair at exactly the threshold of 0.8 with a probability below 1e-6 (64
 trials at 0.8, fewer than 32 hits); everything after it is exact.
@@ -43,7 +46,11 @@ _RNG = np.random.Generator(np.random.PCG64(20240229))
 _FLIP = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64)
 _TIMES = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64) | np.uint64(1)
 
-_SIGNED = "doc_id long, n_shingles long, cid long, keys array<long>"
+#: Keys that two prefixes must share; the longest list whose pairs are all counted; pivots of a longer one;
+#: ids that are broadcast at most.
+PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST = 4, 64, 4, 1_000_000
+
+_SIGNED = "doc_id long, n_shingles long, cid long, keys array<long>, brief array<int>"
 
 
 def _distinct(hashes: np.ndarray, per_row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -92,16 +99,19 @@ def _sign(width: int):
                     cid[full] = _class_ids(sets, n[full]).view(np.int64)
                     keys = _signatures(sets, n[full])
                     size[full] = COORDINATES
+                # coordinate and 26 bits of its value: enough to compare two signatures
+                low = np.uint64((1 << 26) - 1)
+                brief = (((keys >> np.uint64(6)) & low) | (np.arange(COORDINATES, dtype=np.uint64) << np.uint64(26))).astype(np.uint32)
+                offsets = pa.array(np.concatenate(([0], np.cumsum(size))).astype(np.int32))
                 yield pa.RecordBatch.from_arrays(
                     [
                         ids.slice(a, b - a),
                         pa.array(n),
                         pa.array(cid, mask=~full),
-                        pa.ListArray.from_arrays(
-                            pa.array(np.concatenate(([0], np.cumsum(size))).astype(np.int32)), pa.array(keys.reshape(-1).view(np.int64))
-                        ),
+                        pa.ListArray.from_arrays(offsets, pa.array(keys.reshape(-1).view(np.int64))),
+                        pa.ListArray.from_arrays(offsets, pa.array(brief.reshape(-1).view(np.int32))),
                     ],
-                    names=["doc_id", "n_shingles", "cid", "keys"],
+                    names=["doc_id", "n_shingles", "cid", "keys", "brief"],
                 )
 
     return run
@@ -123,19 +133,22 @@ def _full_sets(width: int):
     return run
 
 
-def _confirmed(pairs: DataFrame, keys: DataFrame, sets: DataFrame, percent: int, min_matches: int) -> DataFrame:
-    """The pairs(a, b) of classes that agree in min_matches coordinates and whose full sets are similar."""
-    left = keys.select(F.col("cid").alias("a"), F.col("keys").alias("ka"))
-    right = keys.select(F.col("cid").alias("b"), F.col("keys").alias("kb"))
-    near = (
-        pairs.join(left, "a").join(right, "b").where(F.size(F.array_intersect("ka", "kb")) >= min_matches).select("a", "b")
-    )
-    near = materialize(near, "near-pairs")
+def _alike(pairs: DataFrame, brief: DataFrame, min_matches: int) -> DataFrame:
+    """pairs(a, b) that agree in min_matches coordinates, with their number."""
+    left = brief.select(F.col("cid").alias("a"), F.col("brief").alias("ka"))
+    right = brief.select(F.col("cid").alias("b"), F.col("brief").alias("kb"))
+    joined = pairs.join(left, "a").join(right, "b").select("a", "b", F.size(F.array_intersect("ka", "kb")).alias("matches"))
+    return materialize(joined.where(F.col("matches") >= min_matches), "near-pairs")
+
+
+def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """pairs(a, b) whose full sets are similar."""
     sa = sets.select(F.col("cid").alias("a"), F.col("shingles").alias("sa"))
     sb = sets.select(F.col("cid").alias("b"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
     return (
-        near.join(sa, "a")
+        pairs.select("a", "b")
+        .join(sa, "a")
         .join(sb, "b")
         .select("a", "b", both.alias("both"), (F.size("sa") + F.size("sb") - both).alias("either"))
         .where(F.col("both") * 100 >= F.col("either") * percent)
@@ -144,7 +157,7 @@ def _confirmed(pairs: DataFrame, keys: DataFrame, sets: DataFrame, percent: int,
 
 
 def near_duplicates(
-    docs: DataFrame, width: int = 5, percent: int = 80, min_matches: int = 32, pivot_rounds: int = 2
+    docs: DataFrame, width: int = 5, percent: int = 80, min_matches: int = 32, short: int = SHORT
 ) -> DataFrame:
     """One row for each row of docs(doc_id, text): doc_id, n_shingles, component_id, kept.
 
@@ -155,7 +168,7 @@ def near_duplicates(
     classes = materialize(
         signed.where("n_shingles > 0").groupBy("cid").agg(F.min("doc_id").alias("doc_id"), F.max("n_shingles").alias("n")), "classes"
     )
-    linked = _links(docs, signed, classes, width, percent, min_matches, pivot_rounds)
+    linked = _links(docs, signed, classes, width, percent, min_matches, short)
     named = (
         classes.join(linked, classes["cid"] == linked["node"], "left")
         .select("cid", "doc_id", F.coalesce("component", "cid").alias("component"))
@@ -180,8 +193,28 @@ def _open(members: DataFrame) -> DataFrame:
     return members.join(spans.where("lo < hi").select("key"), "key")
 
 
-def _links(docs, signed, classes, width, percent, min_matches, pivot_rounds) -> DataFrame:
-    """(node, component) of the classes that have a link."""
+def _few(df: DataFrame) -> DataFrame:
+    """df(one id column) marked for broadcast if it is small."""
+    return F.broadcast(df) if df.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST else df
+
+
+def _with_labels(members: DataFrame, labels: DataFrame) -> DataFrame:
+    named = members.drop("component").join(labels, members["cid"] == labels["node"], "left")
+    return named.select("key", "cid", "n", F.coalesce("component", "cid").alias("component"))
+
+
+def _pivot_pairs(members: DataFrame, percent: int, first: int) -> DataFrame:
+    """Each member of a list with PIVOTS members of other components that could be similar by size."""
+    picks = [F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))) for k in range(first, first + PIVOTS)]
+    pivots = members.groupBy("key").agg(F.array(*picks).alias("p")).select("key", F.explode(F.array_distinct("p")).alias("p"))
+    return members.join(
+        pivots, (members["key"] == pivots["key"]) & (F.col("component") != F.col("p.component"))
+        & _enough(F.col("n"), F.col("p.n"), F.col("n"), F.col("p.n"), percent),
+    ).select(F.least("cid", "p.cid").alias("a"), F.greatest("cid", "p.cid").alias("b")).distinct()
+
+
+def _postings(signed: DataFrame, classes: DataFrame, min_matches: int, short: int) -> tuple[DataFrame, DataFrame]:
+    """Representatives, and the prefix postings (key, cid, n, long: the list has more than short classes)."""
     chosen = signed.join(classes.select("cid", "doc_id"), ["cid", "doc_id"], "left_semi").dropDuplicates(["cid"])
     posted = chosen.select("cid", F.col("n_shingles").cast("int").alias("n"), F.explode("keys").alias("key"))
     # counts are combined before the shuffle; the join back is one that adaptive execution can split
@@ -191,36 +224,54 @@ def _links(docs, signed, classes, width, percent, min_matches, pivot_rounds) ->
     ranked = shared.select(
         "cid", "n", "key", F.row_number().over(of_class.orderBy("df", "key")).alias("r"), F.count("key").over(of_class).alias("c")
     )
-    prefix = ranked.where(F.col("c") >= min_matches).where(F.col("r") <= F.col("c") - min_matches + 1)
-    prefix = materialize(_open(prefix.select("key", "cid", "n", F.col("cid").alias("component"))), "postings")
-    wanted = prefix.select("cid").distinct()
-    wanted_keys = materialize(chosen.join(wanted, "cid", "left_semi").select("cid", "doc_id", "keys"), "wanted")
-    keys = wanted_keys.select("cid", "keys")
-    texts = docs.join(wanted_keys.select("doc_id"), "doc_id").select("text")
+    prefix = ranked.where(F.col("c") >= min_matches).where(F.col("r") <= F.col("c") - min_matches + PREFIX_HITS)
+    prefix = materialize(prefix.select("key", "cid", "n"), "prefixes")
+    lists = prefix.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    return chosen, materialize(prefix.join(lists, "key").select("key", "cid", "n", (F.col("size") > short).alias("long")), "postings")
+
+
+def _counted_pairs(postings: DataFrame, percent: int) -> DataFrame:
+    """Pairs that meet in short lists often enough; a long list of both counts as a meeting."""
+    in_long = postings.where("long").groupBy("cid").agg(F.count(F.lit(1)).alias("l"))
+    members = postings.where("not long").join(in_long, "cid", "left").select("key", "cid", "n", F.coalesce("l", F.lit(0)).alias("l"))
+    other = members.select("key", F.col("cid").alias("cid2"), F.col("n").alias("n2"), F.col("l").alias("l2"))
+    met = members.join(
+        other, (members["key"] == other["key"]) & (F.col("cid") < F.col("cid2")) & _enough(F.col("n"), F.col("n2"), F.col("n"), F.col("n2"), percent)
+    )
+    counted = met.groupBy(F.col("cid").alias("a"), F.col("cid2").alias("b")).agg(F.count(F.lit(1)).alias("k"), F.max(F.least("l", "l2")).alias("l"))
+    return counted.where(F.col("k") + F.col("l") >= PREFIX_HITS).select("a", "b")
+
+
+def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFrame:
+    """(node, component) of the classes that have a link."""
+    chosen, postings = _postings(signed, classes, min_matches, short)
+    brief = chosen.select("cid", "brief")
+    long_lists = materialize(postings.where("long").select("key", "cid", "n", F.col("cid").alias("component")), "long-lists")
+    near = _alike(_counted_pairs(postings, percent).unionByName(_pivot_pairs(long_lists, percent, 0)).distinct(), brief, min_matches)
+    wanted = near.select(F.col("a").alias("cid")).unionByName(near.select(F.col("b").alias("cid"))).unionByName(long_lists.select("cid")).distinct()
+    wanted = materialize(chosen.join(wanted, "cid", "left_semi").select("doc_id"), "wanted")
+    texts = docs.join(_few(wanted), "doc_id").select("text")
     sets = texts.mapInArrow(_full_sets(width), "cid long, shingles array<long>")
     if not signed.groupBy("doc_id").count().where("count > 1").isEmpty():  # repeated rows bring a set more than once
         sets = sets.dropDuplicates(["cid"])
     sets = materialize(sets, "sets")
-    found: DataFrame | None = None
-    labels: DataFrame | None = None
-    members = prefix
-    for k in range(pivot_rounds + 1):
-        if labels is not None:
-            named = prefix.drop("component").join(labels, prefix["cid"] == labels["node"], "left")
-            members = _open(named.select("key", "cid", "n", F.coalesce("component", "cid").alias("component")))
-            members = materialize(members, "open-postings")
-            if members.isEmpty():
-                break
-        if k < pivot_rounds:
-            pivot = members.groupBy("key").agg(F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))).alias("p"))
-            pairs = members.join(
-                pivot, (members["key"] == pivot["key"]) & (F.col("component") != F.col("p.component"))
-                & _enough(F.col("n"), F.col("p.n"), F.col("n"), F.col("p.n"), percent),
-            ).select(F.least("cid", "p.cid").alias("a"), F.greatest("cid", "p.cid").alias("b"))
-        else:
-            pairs = _all_pairs(members, sets, percent)
-        links = _confirmed(pairs.distinct(), keys, sets, percent, min_matches)
-        found = materialize(links if found is None else found.unionByName(links), "links")
+    # the likeliest partner of each class first
+    ways = near.unionByName(near.select(F.col("b").alias("a"), F.col("a").alias("b"), "matches"))
+    best = ways.groupBy("a").agg(F.max_by("b", F.struct("matches", "b")).alias("b")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    best = materialize(best, "best-pairs")
+    found = materialize(_confirmed(best, sets, percent), "links")
+    labels = components(found)
+    one, two = (labels.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")) for c in "ab")
+    rest = near.select("a", "b").join(best, ["a", "b"], "left_anti").join(one, "a", "left").join(two, "b", "left")
+    rest = rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
+    found = materialize(found.unionByName(_confirmed(rest, sets, percent)), "links")
+    labels = components(found)
+    for last in (False, True):
+        members = materialize(_open(_with_labels(long_lists, labels)), "open-lists")
+        if members.isEmpty():
+            break
+        pairs = _all_pairs(members, sets, percent).distinct() if last else _pivot_pairs(members, percent, PIVOTS)
+        found = materialize(found.unionByName(_confirmed(_alike(pairs, brief, min_matches), sets, percent)), "links")
         labels = components(found)
     return labels
 
