@@ -5,10 +5,10 @@ id.  Sorting every suffix of a corpus would ship each byte many times over, so t
 places that can matter:
 
 1. Equal texts form a class; only the document with the smallest id is looked into.
-2. Every 50-byte string holds an anchor: its 24-byte gram of least hash.  Equal strings have equal
+2. Every 50-byte string holds an anchor: its 16-byte gram of least hash.  Equal strings have equal
    anchors.  Anchors that occur in one text only are out.  A map task sends one packed entry per gram
    and group of texts, so a gram of a third of all documents costs one entry a task.
-3. Around each anchor that is left lies a context of up to 76 bytes with all strings that it stands for.
+3. Around each anchor that is left lies a context of up to 84 bytes with all strings that it stands for.
    Equal contexts in a task are one entry, sent with the smallest id; the others are covered already.
 4. Contexts with the same gram meet in one task.  Where a gram has several contexts they are laid end to
    end, their suffixes are put in order by two-stage sorting, and strings with a common prefix of 50
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from . import suffix_sort, textvec
 from .shared import materialize
 
-GRAM = 24
+GRAM = 16
 #: Text bytes that share one bucket of grams, and that a map task works on before it sends.
 BUCKET_BYTES, FLUSH_BYTES = 16 << 20, 24 << 20
 _IDENT = 1 << 40
@@ -233,19 +233,37 @@ def _by_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-#: route: the gram of a context, or any number for a decision; lead: the gram's place in the context.
-_CONTEXTS = "route long, context binary, lead int, ord long, key long, places binary, masks binary"
+def pack(*arrays: np.ndarray) -> bytes:
+    parts = [np.ascontiguousarray(a).tobytes() for a in arrays]
+    whole = np.array([len(p) for p in parts], np.int64).tobytes() + b"".join(parts)
+    return np.int64(len(whole)).tobytes() + pa.compress(whole, codec="zstd", asbytes=True)
 
 
-def _context_batch(rows: list[tuple]) -> pa.RecordBatch:
-    kinds = [pa.int64(), pa.binary(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary()]
-    cols = list(zip(*rows, strict=True)) if rows else [[]] * 7
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=[x.split()[0] for x in _CONTEXTS.split(", ")])
+def unpack(blob: bytes, *kinds: type) -> list[np.ndarray]:
+    whole = pa.decompress(blob[8:], decompressed_size=int(np.frombuffer(blob[:8], np.int64)[0]), codec="zstd", asbytes=True)
+    ends = np.cumsum(np.frombuffer(whole[: 8 * len(kinds)], np.int64)) + 8 * len(kinds)
+    return [np.frombuffer(whole[a:b], k) for a, b, k in zip(np.concatenate(([8 * len(kinds)], ends)), ends, kinds)]
 
 
-def _windows(lead: np.ndarray, size: np.ndarray, length: int) -> np.ndarray:
+def _spread(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """begin, begin + 1, ... of size places each, end to end."""
+    return np.repeat(begin - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+
+
+#: Contexts (kind 0) or decisions (kind 1), packed by bucket.
+_PACKED = "bucket long, kind int, payload binary"
+_CONTEXT = (np.uint64, np.uint8, np.int64, np.int64, np.uint32, np.int64, np.uint8)
+_DECISION = (np.int64, np.int64, np.int64, np.int64)
+
+
+def _packed_batch(rows: list[tuple]) -> pa.RecordBatch:
+    cols = list(zip(*rows, strict=True)) if rows else [[]] * 3
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["bucket", "kind", "payload"])
+
+
+def _windows(size: np.ndarray, length: int) -> np.ndarray:
     """Bit j: the string that starts j bytes into the context lies in it."""
-    return (np.int64(1) << np.maximum(size - length + 1, 0)) - 1
+    return (np.int64(1) << np.maximum(size.astype(np.int64) - length + 1, 0)) - 1
 
 
 def _contexts(length: int, buckets: int):
@@ -254,36 +272,37 @@ def _contexts(length: int, buckets: int):
     def flush(held: list) -> Iterator[pa.RecordBatch]:
         if not held:
             return
-        gram, lead, size, begin, place, ord_, key, part = (np.concatenate([h[k] for h in held]) for k in range(8))
-        same = np.concatenate([h[8] for h in held])
-        raws = [h[9] for h in held]
-        order = np.lexsort((place, ord_, same, gram))
-        cut = _runs(gram[order], same[order])
-        group = np.zeros(len(order), np.int64)
-        group[cut] = 1
-        group = np.cumsum(group) - 1
-        least = ord_[order][cut][group]
-        later = ord_[order] > least
+        gram, size, begin, start, ord_, key, same = (np.concatenate([h[k] for h in held]) for k in range(7))
+        raw = np.concatenate([h[7] for h in held])
+        order = np.lexsort((start, key, ord_, same, gram))
+        gram, size, begin, start, ord_, key, same = (x[order] for x in (gram, size, begin, start, ord_, key, same))
+        cut = _runs(gram, same)
+        least = np.repeat(ord_[cut], np.diff(np.append(cut, len(gram))))
         rows = []
         # strings of the others are those of a smaller id: decided here
-        sel = order[later]
-        if len(sel):
-            by = sel[np.lexsort((place[sel], key[sel], ord_[sel]))]
-            c = _runs(ord_[by], key[by])
-            masks = _windows(lead[by], size[by], length)
-            for a, b in zip(c, np.append(c[1:], len(by)), strict=True):
-                rows.append((int(textvec.mix(key[by[a : a + 1]].view(np.uint64))[0].view(np.int64)), None, None, int(ord_[by[a]]), int(key[by[a]]), (place[by[a:b]] - lead[by[a:b]]).tobytes(), masks[a:b].tobytes()))
-        sel = order[~later]
-        c = _runs(group[~later], key[sel])
-        for a, b in zip(c, np.append(c[1:], len(sel)), strict=True):
-            i = sel[a]
-            text = raws[part[i]][begin[i] : begin[i] + size[i]].tobytes()
-            rows.append((int(gram[i : i + 1].view(np.int64)[0]), text, int(lead[i]), int(ord_[i]), int(key[i]), (place[sel[a:b]] - lead[sel[a:b]]).tobytes(), None))
-        for a in range(0, len(rows), 20_000):
-            yield _context_batch(rows[a : a + 20_000])
+        late = np.flatnonzero(ord_ > least)
+        goal = (textvec.mix(key[late].view(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+        by = np.argsort(goal, kind="stable")
+        late, goal = late[by], goal[by]
+        cut = _runs(goal)
+        for a, b in zip(cut, np.append(cut[1:], len(goal)), strict=True):
+            at = late[a:b]
+            rows.append((int(goal[a]), 1, pack(ord_[at], key[at], start[at], _windows(size[at], length))))
+        first = np.flatnonzero(ord_ == least)
+        goal = (gram[first] % np.uint64(buckets)).astype(np.int64)
+        by = np.argsort(goal, kind="stable")
+        first, goal = first[by], goal[by]
+        cut = _runs(goal)
+        for a, b in zip(cut, np.append(cut[1:], len(goal)), strict=True):
+            at = first[a:b]
+            c = _runs(gram[at], same[at], ord_[at], key[at])
+            e = at[c]
+            places = np.diff(np.append(c, len(at))).astype(np.uint32)
+            rows.append((int(goal[a]), 0, pack(gram[e], size[e].astype(np.uint8), ord_[e], key[e], places, start[at], raw[_spread(begin[e], size[e])])))
+        yield _packed_batch(rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, amount = [], 0
+        held, amount, base = [], 0, 0
         for batch in batches:
             ords = batch.column("ord").to_numpy(zero_copy_only=False)
             keys = batch.column("key").to_numpy(zero_copy_only=False)
@@ -298,13 +317,14 @@ def _contexts(length: int, buckets: int):
                 use = np.isin(textvec.mix(gram ^ (row.astype(np.uint64) * tag)), textvec.mix(mine ^ (owner * tag)))
                 found, row, gram = found[use], row[use], gram[use]
                 begin = np.maximum(found - reach, at[row])
-                end = np.minimum(found + GRAM + reach, at[row + 1])
-                same = textvec.span_hashes(raw, begin, end) ^ (found - begin).astype(np.uint64)
-                held.append((gram, found - begin, end - begin, begin, found - at[row], ords[a:b][row], keys[a:b][row], np.full(len(found), len(held)), same, raw.copy()))
-                amount += len(found) * 76 + len(raw)
+                size = np.minimum(found + GRAM + reach, at[row + 1]) - begin
+                same = textvec.span_hashes(raw, begin, begin + size)
+                held.append((gram, size, begin + base, begin - at[row], ords[a:b][row], keys[a:b][row], same, raw.copy()))
+                base += len(raw)
+                amount += len(found) * 84 + len(raw)
                 if amount >= FLUSH_BYTES:
                     yield from flush(held)
-                    held, amount = [], 0
+                    held, amount, base = [], 0, 0
         yield from flush(held)
 
     return run
@@ -328,77 +348,101 @@ def _decide(text: np.ndarray, begins: np.ndarray, sizes: np.ndarray, owner: np.n
     return out
 
 
-_DECISIONS = "ord long, key long, places binary, masks binary"
-
-
-def _compare(length: int):
-    """Contexts of the same gram against each other; decisions pass through."""
+def _judged(parts: list[list[np.ndarray]], length: int) -> tuple[np.ndarray, ...]:
+    """Decisions (ord, key, start, mask) from all contexts of some grams."""
     span = length - GRAM + 1
-
-    def judged(rows: list[tuple]) -> Iterator[tuple]:
-        """rows (gram, context, ord, key, places), sorted by gram then context; grams are complete."""
-        gram = np.array([r[0] for r in rows], np.int64)
-        new = np.array([True] + [rows[i][:2] != rows[i - 1][:2] for i in range(1, len(rows))])
-        entry = np.cumsum(new) - 1
-        first = np.flatnonzero(new)
-        texts = [rows[i][1] for i in first]
-        sizes = np.array([len(t) for t in texts], np.int64)
-        ords = np.array([r[2] for r in rows], np.int64)
-        owner = np.minimum.reduceat(ords, first)
-        egram = gram[first]
-        cut = _runs(egram)
-        alone = np.repeat(np.diff(np.append(cut, len(egram))) == 1, np.diff(np.append(cut, len(egram))))
-        least = np.repeat(owner[:, None], span, axis=1)
-        several = np.flatnonzero(~alone)
+    gram, size, ord_, key, places, starts, raw = (np.concatenate([p[k] for p in parts]) for k in range(7))
+    size = size.astype(np.int64)
+    begin = np.cumsum(size) - size
+    same = textvec.span_hashes(raw, begin, begin + size)
+    order = np.lexsort((same, gram))
+    cut = _runs(gram[order], same[order])
+    count = np.diff(np.append(cut, len(order)))
+    entry = np.empty(len(order), np.int64)
+    entry[order] = np.repeat(np.arange(len(cut)), count)
+    owner = np.minimum.reduceat(ord_[order], cut)
+    lead = order[cut]
+    egram = gram[lead]
+    g = _runs(egram)
+    alone = np.repeat(np.diff(np.append(g, len(egram))), np.diff(np.append(g, len(egram)))) == 1
+    masks = np.where(owner[entry] < ord_, _windows(size, length), 0)
+    several = np.flatnonzero(~alone)
+    if len(several):
+        # pieces of about _SORT_BYTES that end between two grams
+        total = np.cumsum(size[lead[several]] + 1)
+        ends = np.append(_runs(egram[several])[1:], len(several))
+        piece = total[ends - 1] // _SORT_BYTES
+        stops = ends[np.append(np.flatnonzero(piece[1:] != piece[:-1]), len(ends) - 1)]
+        bits = np.int64(1) << np.arange(span, dtype=np.int64)
+        members = np.flatnonzero(~alone[entry])
+        members = members[np.argsort(entry[members], kind="stable")]
         at = 0
-        while at < len(several):
-            stop, amount = at, 0
-            while stop < len(several) and (amount < _SORT_BYTES or egram[several[stop]] == egram[several[stop - 1]]):
-                amount += sizes[several[stop]] + 1
-                stop += 1
+        for stop in stops:
             part = several[at:stop]
-            joined = np.zeros(amount, np.uint16)
-            begins = np.cumsum(sizes[part] + 1) - sizes[part] - 1
-            flat = np.frombuffer(b"".join(texts[i] + b"\0" for i in part), np.uint8).astype(np.uint16) + 1
-            flat[begins + sizes[part]] = 0
-            joined[:] = flat
-            least[part] = _decide(joined, begins, sizes[part], owner[part], length)
+            n = size[lead[part]]
+            begins = np.cumsum(n + 1) - n - 1
+            text = np.zeros(int((n + 1).sum()), np.uint16)
+            text[_spread(begins, n)] = raw[_spread(begin[lead[part]], n)].astype(np.uint16) + 1
+            least = _decide(text, begins, n, owner[part], length)
+            lo, hi = np.searchsorted(entry[members], [part[0], part[-1] + 1])
+            mine = members[lo:hi]
+            row = np.searchsorted(part, entry[mine])
+            masks[mine] = ((least[row] < ord_[mine][:, None]) * bits).sum(axis=1) & _windows(size[mine], length)
             at = stop
-        bits = np.int64(1) << np.arange(span, dtype=np.int64)
-        masks = ((least[entry] < ords[:, None]) * bits).sum(axis=1) & _windows(None, sizes[entry], length)
-        for i in np.flatnonzero(masks):
-            places = rows[i][4]
-            yield rows[i][2], rows[i][3], places, np.full(len(places) // 8, masks[i]).tobytes()
-
-    def batch(found: list[tuple]) -> pa.RecordBatch:
-        cols = list(zip(*found, strict=True)) if found else [[]] * 4
-        return pa.RecordBatch.from_arrays(
-            [pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.binary(), pa.binary()), strict=True)],
-            names=["ord", "key", "places", "masks"],
-        )
+    hit = np.flatnonzero(masks)
+    n = places[hit].astype(np.int64)
+    first = np.cumsum(places.astype(np.int64)) - places
+    return np.repeat(ord_[hit], n), np.repeat(key[hit], n), starts[_spread(first[hit], n)], np.repeat(masks[hit], n)
+
+
+def _compare(length: int, buckets: int):
+    """Contexts of the same gram against each other; all decisions, packed by groups of keys."""
+    groups = np.uint64(4 * buckets)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
-        amount = 0
-        for b in batches:  # sorted by route, then context
-            route, context, ord_, key, places, masks = (b.column(c).to_pylist() for c in ("route", "context", "ord", "key", "places", "masks"))
-            through = [(ord_[i], key[i], places[i], masks[i]) for i in range(len(route)) if context[i] is None]
-            if through:
-                yield batch(through)
-            for i in range(len(route)):
-                if context[i] is None:
-                    continue
-                if amount >= 4 * _SORT_BYTES and route[i] != held[-1][0]:
-                    yield batch(list(judged(held)))
-                    held, amount = [], 0
-                held.append((route[i], context[i], ord_[i], key[i], places[i]))
-                amount += len(context[i])
-        if held:
-            yield batch(list(judged(held)))
+        held: dict[int, list] = {}
+        made: list[list[np.ndarray]] = []
+        for batch in batches:
+            for bucket, kind, payload in zip(*(batch.column(c).to_pylist() for c in ("bucket", "kind", "payload")), strict=True):
+                if kind:
+                    made.append(unpack(payload, *_DECISION))
+                else:
+                    held.setdefault(bucket, []).append(payload)
+        for bucket in list(held):
+            made.append(list(_judged([unpack(x, *_CONTEXT) for x in held.pop(bucket)], length)))
+        if not made:
+            return
+        ord_, key, start, mask = (np.concatenate([m[k] for m in made]) for k in range(4))
+        dest = (textvec.mix(key.view(np.uint64)) % groups).astype(np.int64)
+        order = np.argsort(dest, kind="stable")
+        cut = _runs(dest[order])
+        rows = []
+        for a, b in zip(cut, np.append(cut[1:], len(order)), strict=True):
+            at = order[a:b]
+            rows.append((int(dest[at[0]]), 1, pack(ord_[at], key[at], start[at], mask[at])))
+        yield _packed_batch(rows)
 
     return run
 
 
+def _decided(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row for each text that loses something."""
+    made = [unpack(x, *_DECISION) for batch in batches for x in batch.column("payload").to_pylist()]
+    if not made:
+        return
+    ord_, key, start, mask = (np.concatenate([m[k] for m in made]) for k in range(4))
+    order = np.lexsort((start, key, ord_))
+    ord_, key, start, mask = (x[order] for x in (ord_, key, start, mask))
+    cut = _runs(ord_, key)
+    ends = np.append(cut[1:], len(ord_))
+    for a in range(0, len(cut), 10_000):
+        c, e = cut[a : a + 10_000], ends[a : a + 10_000]
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(ord_[c]), pa.array(key[c]), *(pa.array([x[i:j].tobytes() for i, j in zip(c, e, strict=True)], pa.binary()) for x in (start, mask))],
+            names=["ord", "key", "starts", "masks"],
+        )
+
+
 _REMOVED = "ord long, key long, removed array<struct<start:long,end:long>>, kept_sha256 string"
 
 
@@ -408,25 +452,27 @@ def _cut_out(length: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            spans, digests = [], []
-            for text, places, masks in zip(b.column("text"), b.column("places").to_pylist(), b.column("masks").to_pylist(), strict=True):
-                raw = np.frombuffer((text.as_py() or "").encode(), np.uint8)
-                start = np.frombuffer(b"".join(places), np.int64)
-                mask = np.frombuffer(b"".join(masks), np.int64)
-                starts = np.zeros(len(raw) + span + 1, bool)
-                for j in range(span):
-                    starts[start[(mask >> j) & 1 == 1] + j] = True
-                begin = np.flatnonzero(starts)
-                change = np.zeros(len(raw) + 1, np.int32)
-                change[begin] += 1
-                np.subtract.at(change, begin + length, 1)
+            sizes, edges, digests = [0], [], []
+            raw, at = textvec.string_parts(b.column("text"))
+            for i, (starts, masks) in enumerate(zip(b.column("starts").to_pylist(), b.column("masks").to_pylist(), strict=True)):
+                text = raw[at[i] : at[i + 1]]
+                start = np.frombuffer(starts, np.int64)
+                bits = np.unpackbits(np.frombuffer(masks, np.uint8), bitorder="little").reshape(-1, 64)[:, :span]
+                place, shift = np.nonzero(bits)
+                begin = np.unique(start[place] + shift)
+                change = np.zeros(len(text) + 1, np.int32)
+                change[begin] = 1
+                change[begin + length] -= 1
                 gone = np.cumsum(change[:-1]) > 0
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], gone.view(np.int8), [0]))))
-                spans.append([{"start": int(x), "end": int(y)} for x, y in zip(edge[::2], edge[1::2], strict=True)])
-                digests.append(hashlib.sha256(raw[~gone].tobytes()).hexdigest())
+                edges.append(edge)
+                sizes.append(len(edge) // 2)
+                digests.append(hashlib.sha256(text[~gone].tobytes()).hexdigest())
+            flat = np.concatenate(edges) if edges else np.zeros(0, np.int64)
+            structs = pa.StructArray.from_arrays([pa.array(flat[::2]), pa.array(flat[1::2])], names=["start", "end"])
+            spans = pa.ListArray.from_arrays(pa.array(np.cumsum(sizes).astype(np.int32)), structs).cast(kind)
             yield pa.RecordBatch.from_arrays(
-                [b.column("ord"), b.column("key"), pa.array(spans, kind), pa.array(digests, pa.string())],
-                names=["ord", "key", "removed", "kept_sha256"],
+                [b.column("ord"), b.column("key"), spans, pa.array(digests, pa.string())], names=["ord", "key", "removed", "kept_sha256"]
             )
 
     return run
@@ -451,17 +497,18 @@ def dedup_substrings(docs: DataFrame, length: int = 50) -> DataFrame:
     grams = packed.mapInArrow(_by_key, "key long, grams binary")
     lead = base.where("ord = first").select("ord", "key").distinct()
     wanted = lead.join(grams, "key").select("ord", "key", "grams")
-    candidates = materialize(docs.select("ord", "key", "text").join(wanted, ["ord", "key"]), "candidates")
-    contexts = candidates.select("ord", "key", "text", "grams").mapInArrow(_contexts(length, buckets), _CONTEXTS)
-    met = contexts.repartition(buckets, "route").sortWithinPartitions("route", "context")
-    decided = met.mapInArrow(_compare(length), _DECISIONS)
-    decided = decided.groupBy("ord", "key").agg(F.collect_list("places").alias("places"), F.collect_list("masks").alias("masks"))
-    texts = candidates.select("ord", "key", "text").dropDuplicates(["ord", "key"])
-    removed = texts.join(decided, ["ord", "key"]).mapInArrow(_cut_out(length), _REMOVED)
+    # both joins with the texts use one and the same exchange of them
+    texts = docs.where(F.octet_length("text") >= length).select("ord", "key", "text")
+    contexts = texts.hint("merge").join(wanted, ["ord", "key"]).mapInArrow(_contexts(length, buckets), _PACKED)
+    met = contexts.repartition(buckets, "bucket").mapInArrow(_compare(length, buckets), _PACKED)
+    decided = met.repartition(buckets, "bucket").mapInArrow(_decided, "ord long, key long, starts binary, masks binary")
+    removed = texts.hint("merge").join(decided, ["ord", "key"]).mapInArrow(_cut_out(length), _REMOVED)
+    if not base.groupBy("ord", "key").count().where("count > 1").isEmpty():  # repeated rows
+        removed = removed.dropDuplicates(["ord", "key"])
     nothing = F.array().cast("array<struct<start:long,end:long>>")
     whole = F.array(F.struct(F.lit(0).cast("long").alias("start"), F.col("n_bytes").alias("end")))
     copy = (F.col("ord") > F.col("first")) & (F.col("n_bytes") >= length)
-    return base.join(removed, ["ord", "key"], "left").select(
+    return base.join(materialize(removed, "removed"), ["ord", "key"], "left").select(
         "doc_id",
         "n_bytes",
         "sha256",
