@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decontamination import op3_decontamination
+from .language_id import op8_language_id
 from .mixing import op7_mixing
 from .near_duplicates import op6_near_duplicates
 from .quality_rules import OP4_SQL, op4_quality_rules
@@ -18,6 +19,7 @@ QUERIES = {
     "op5_url_filter": op5_url_filter,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_mixing": op7_mixing,
+    "op8_language_id": op8_language_id,
     "op9_substring_dedup": op9_substring_dedup,
     "op10_token_counts": op10_token_counts,
 }
