@@ -27,7 +27,7 @@ _SYMBOL[list(b"#*$%&|<>")] = True
 #: A hot host's rows are dealt to this many tasks in the join with the verdicts.
 SALTS = 16
 
-_COUNTS = "doc_id long, source string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
+_COUNTS = "doc_id long, source string, key long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 
 
 def _per_row(flags: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -79,7 +79,7 @@ def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for a, b, raw, at in textvec.pieces(batch.column("text")):
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").slice(a, b - a), batch.column("source").slice(a, b - a)]
+                [batch.column(c).slice(a, b - a) for c in ("doc_id", "source", "key")]
                 + [pa.array(x.astype(np.int64)) for x in measure(raw, at)],
                 names=[x.split()[0] for x in _COUNTS.split(", ")],
             )
@@ -108,8 +108,8 @@ def host_rates(judged: DataFrame) -> DataFrame:
 
 
 def judge(docs: DataFrame, max_host_rate: float = 0.5) -> DataFrame:
-    """For each row of docs(doc_id, source, text): the counts, base_failed, host_rate, kept."""
-    counts = docs.select("doc_id", "source", "text").mapInArrow(_measure, _COUNTS)
+    """For each row of docs(doc_id, source, text): key (a hash of the text), the counts, base_failed, host_rate, kept."""
+    counts = docs.select("doc_id", "source", "text", F.xxhash64("text").alias("key")).mapInArrow(_measure, _COUNTS)
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
     judged = materialize(counts.withColumn("base_failed", failed), "counts")
     rates = host_rates(judged).select(
@@ -124,12 +124,10 @@ def judge(docs: DataFrame, max_host_rate: float = 0.5) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, **options) -> DataFrame:
-    """The rows of docs whose document is kept; a document's rows share a verdict if its texts do."""
-    bad = judge(docs, **options).where("not kept").select(
-        F.col("doc_id").alias("bad_id"), *(F.col(c).alias(f"bad_{c}") for c in ("n_words", "word_chars"))
-    ).distinct()
-    bad = bad.select("bad_id").distinct()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["bad_id"]), "left_anti")
+    """The rows of docs whose document is kept."""
+    bad = judge(docs, **options).where("not kept").select(F.col("doc_id").alias("bad_id"), F.col("source").alias("bad_source"), F.col("key").alias("bad_key")).distinct()
+    same = docs["doc_id"].eqNullSafe(bad["bad_id"]) & docs["source"].eqNullSafe(bad["bad_source"]) & (F.xxhash64(docs["text"]) == bad["bad_key"])
+    return docs.join(bad, same, "left_anti")
 
 
 def op4_quality_rules(spark, sf_dir) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decontamination import op3_decontamination
+from .html_text import op2_html_text
 from .language_id import op8_language_id
 from .mixing import op7_mixing
 from .near_duplicates import op6_near_duplicates
@@ -14,6 +15,7 @@ from .url_filter import OP5_SQL, op5_url_filter
 
 QUERIES = {
     "op1_secret_scan": op1_secret_scan,
+    "op2_html_text": op2_html_text,
     "op3_decontamination": op3_decontamination,
     "op4_quality_rules": op4_quality_rules,
     "op5_url_filter": op5_url_filter,

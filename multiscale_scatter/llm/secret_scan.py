@@ -164,10 +164,9 @@ def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
 
 def redact(docs: DataFrame, scope: int = SCOPE, mark: str = "[SECRET]") -> DataFrame:
     """docs with each finding in text, and n_chars if there is one, replaced by mark; overlaps count as one."""
-    found = scan(docs, scope).where(F.size("spans") > 0).select(F.col("doc_id").alias("found_id"), F.col("key").alias("found_key"), "spans")
-    found = found.dropDuplicates(["found_id", "found_key"])
-    joined = docs.withColumn("found_key0", F.xxhash64("text")).alias("d")
-    joined = joined.join(found, joined["doc_id"].eqNullSafe(found["found_id"]) & (joined["found_key0"] == found["found_key"]), "left")
+    found = scan(docs, scope).where(F.size("spans") > 0)
+    found = found.select(F.col("doc_id").alias("__id"), F.col("key").alias("__key"), F.col("spans").alias("__spans")).dropDuplicates(["__id", "__key"])
+    joined = docs.join(found, docs["doc_id"].eqNullSafe(found["__id"]) & (F.xxhash64(docs["text"]) == found["__key"]), "left")
     start = F.struct(F.lit("").alias("out"), F.lit(0).cast("long").alias("at"))
 
     def step(state: Column, span: Column) -> Column:
@@ -175,9 +174,9 @@ def redact(docs: DataFrame, scope: int = SCOPE, mark: str = "[SECRET]") -> DataF
         out = F.when(fresh, F.concat(state["out"], F.substr(F.col("text"), (state["at"] + 1).cast("int"), (span["start"] - state["at"]).cast("int")), F.lit(mark)))
         return F.struct(out.otherwise(state["out"]).alias("out"), F.greatest(state["at"], span["end"]).alias("at"))
 
-    whole = F.aggregate("spans", start, step, lambda s: F.concat(s["out"], F.substr(F.col("text"), (s["at"] + 1).cast("int"))))
-    text = F.when(F.col("spans").isNotNull(), whole).otherwise(F.col("text"))
-    joined = joined.withColumn("text", text).drop("found_key0", "found_id", "found_key", "spans")
+    whole = F.aggregate("__spans", start, step, lambda s: F.concat(s["out"], F.substr(F.col("text"), (s["at"] + 1).cast("int"))))
+    text = F.when(F.col("__spans").isNotNull(), whole).otherwise(F.col("text"))
+    joined = joined.withColumn("text", text)
     if "n_chars" in docs.columns:
         joined = joined.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars")))
     return joined.select(*docs.columns)
