@@ -34,10 +34,10 @@ from .shared import materialize
 
 GRAM = 16
 #: Text bytes that share one bucket of grams, and that a map task works on before it sends.
-BUCKET_BYTES, FLUSH_BYTES = 16 << 20, 24 << 20
+BUCKET_BYTES, FLUSH_BYTES = 8 << 20, 16 << 20
 _IDENT = 1 << 40
 _LAST_ID = (1 << 63) - 1
-_SORT_BYTES = 1 << 20
+_SORT_BYTES = 1 << 19
 
 
 def _sliding(values: np.ndarray, width: int, least: bool) -> np.ndarray:
@@ -354,7 +354,7 @@ def _judged(parts: list[list[np.ndarray]], length: int) -> tuple[np.ndarray, ...
     gram, size, ord_, key, places, starts, raw = (np.concatenate([p[k] for p in parts]) for k in range(7))
     size = size.astype(np.int64)
     begin = np.cumsum(size) - size
-    same = textvec.span_hashes(raw, begin, begin + size)
+    same = textvec.laid_hashes(raw, size)
     order = np.lexsort((same, gram))
     cut = _runs(gram[order], same[order])
     count = np.diff(np.append(cut, len(order)))

@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Bytes of text worked on at once; a longer text is a piece of its own.
-PIECE = 1 << 20
+PIECE = 1 << 18
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -98,6 +98,19 @@ def span_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
     return mix((total[ends] - total[starts]) * down[starts] ^ (ends - starts).astype(np.uint64))
 
 
+def laid_hashes(raw: np.ndarray, sizes: np.ndarray, limit: int = PIECE) -> np.ndarray:
+    """span_hashes of strings that lie end to end, with working memory for limit bytes at once."""
+    ends = np.cumsum(sizes)
+    out = np.empty(len(sizes), np.uint64)
+    a = 0
+    while a < len(sizes):
+        base = ends[a] - sizes[a]
+        b = max(a + 1, int(np.searchsorted(ends, base + limit, side="right")))
+        out[a:b] = span_hashes(raw[base : ends[b - 1]], ends[a:b] - sizes[a:b] - base, ends[a:b] - base)
+        a = b
+    return out
+
+
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 
