@@ -229,8 +229,10 @@ def _predict(model: Model | None):
 def training_rows(docs: DataFrame, max_docs: int = MAX_TRAINING_DOCS) -> list[tuple[str, str]]:
     """At most max_docs labelled rows that are not held out."""
     usable = docs.where("not held_out and lang is not null and text is not null")
-    picked = usable.select("text", "lang", F.xxhash64("doc_id", "text").alias("h")).orderBy("h", "lang").limit(max_docs)
-    rows = picked.select(F.substr("text", F.lit(1), F.lit(MAX_TRAINING_BYTES)).alias("text"), "lang").collect()
+    picked = usable.select(F.substr("text", F.lit(1), F.lit(MAX_TRAINING_BYTES)).alias("text"), "lang", F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 40)).alias("h"))
+    # a few times as many rows as wanted come before the sort, however many there are
+    share = min(1.0, 4 * max_docs / max(usable.count(), 1))
+    rows = picked.where(F.col("h") < int(share * (1 << 40))).orderBy("h", "lang", "text").limit(max_docs).collect()
     return sorted((r["text"], r["lang"]) for r in rows)
 
 
