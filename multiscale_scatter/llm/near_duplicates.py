@@ -47,8 +47,8 @@ _FLIP = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64)
 _TIMES = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64) | np.uint64(1)
 
 #: Keys that two prefixes must share; the longest list whose pairs are all counted; pivots of a longer one;
-#: ids that are broadcast at most.
-PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST = 4, 64, 4, 1_000_000
+#: ids that are broadcast at most; links whose components one task finds at most.
+PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST, MAX_EDGES = 4, 64, 2, 1_000_000, 1_000_000
 
 _SIGNED = "doc_id long, n_shingles long, cid long, keys array<long>, brief array<int>"
 
@@ -203,9 +203,9 @@ def _with_labels(members: DataFrame, labels: DataFrame) -> DataFrame:
     return named.select("key", "cid", "n", F.coalesce("component", "cid").alias("component"))
 
 
-def _pivot_pairs(members: DataFrame, percent: int, first: int) -> DataFrame:
-    """Each member of a list with PIVOTS members of other components that could be similar by size."""
-    picks = [F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))) for k in range(first, first + PIVOTS)]
+def _pivot_pairs(members: DataFrame, percent: int, first: int, count: int) -> DataFrame:
+    """Each member of a list with `count` members of other components that could be similar by size."""
+    picks = [F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))) for k in range(first, first + count)]
     pivots = members.groupBy("key").agg(F.array(*picks).alias("p")).select("key", F.explode(F.array_distinct("p")).alias("p"))
     return members.join(
         pivots, (members["key"] == pivots["key"]) & (F.col("component") != F.col("p.component"))
@@ -247,7 +247,7 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
     chosen, postings = _postings(signed, classes, min_matches, short)
     brief = chosen.select("cid", "brief")
     long_lists = materialize(postings.where("long").select("key", "cid", "n", F.col("cid").alias("component")), "long-lists")
-    near = _alike(_counted_pairs(postings, percent).unionByName(_pivot_pairs(long_lists, percent, 0)).distinct(), brief, min_matches)
+    near = _alike(_counted_pairs(postings, percent).unionByName(_pivot_pairs(long_lists, percent, 0, 1)).distinct(), brief, min_matches)
     wanted = near.select(F.col("a").alias("cid")).unionByName(near.select(F.col("b").alias("cid"))).unionByName(long_lists.select("cid")).distinct()
     wanted = materialize(chosen.join(wanted, "cid", "left_semi").select("doc_id"), "wanted")
     texts = docs.join(_few(wanted), "doc_id").select("text")
@@ -260,19 +260,19 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
     best = ways.groupBy("a").agg(F.max_by("b", F.struct("matches", "b")).alias("b")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     best = materialize(best, "best-pairs")
     found = materialize(_confirmed(best, sets, percent), "links")
-    labels = components(found)
+    labels = components(found, MAX_EDGES)
     one, two = (labels.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")) for c in "ab")
     rest = near.select("a", "b").join(best, ["a", "b"], "left_anti").join(one, "a", "left").join(two, "b", "left")
     rest = rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
     found = materialize(found.unionByName(_confirmed(rest, sets, percent)), "links")
-    labels = components(found)
+    labels = components(found, MAX_EDGES)
     for last in (False, True):
         members = materialize(_open(_with_labels(long_lists, labels)), "open-lists")
         if members.isEmpty():
             break
-        pairs = _all_pairs(members, sets, percent).distinct() if last else _pivot_pairs(members, percent, PIVOTS)
+        pairs = _all_pairs(members, sets, percent).distinct() if last else _pivot_pairs(members, percent, 1, PIVOTS)
         found = materialize(found.unionByName(_confirmed(_alike(pairs, brief, min_matches), sets, percent)), "links")
-        labels = components(found)
+        labels = components(found, MAX_EDGES)
     return labels
 
 
@@ -289,11 +289,15 @@ def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     bound = shingles.join(common, "shingle").groupBy("cid").agg(F.count(F.lit(1)).alias("s"))
     bounded = members.join(bound, "cid").where(F.col("s") * 100 >= F.col("n") * percent)
     bounded = materialize(_open(bounded), "bounded-postings")
-    other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s")))
+    # a pair meets in the first list that both are in, not in all of them
+    own = bounded.groupBy("cid").agg(F.collect_list("key").alias("lists"))
+    bounded = bounded.join(own, "cid")
+    other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s", "lists")))
     return bounded.join(
         other,
         (bounded["key"] == other["key"]) & F.expr("cid < cid2 and component != component2")
-        & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent),
+        & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent)
+        & (F.array_min(F.array_intersect("lists", "lists2")) == bounded["key"]),
     ).select(F.col("cid").alias("a"), F.col("cid2").alias("b"))
 
 

@@ -1,57 +1,20 @@
-"""Pieces that several corpus operators use: tables in the shared folder, and graph components."""
+"""Pieces that several corpus operators use: word counts and graph components."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: White space that separates words, as a class for Java and DuckDB patterns.
-WORD = r"[^\x20\x09-\x0D]+"
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a local one only where the session names none (tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        named = _local_folder()
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(named)
-    return named
-
-
-_LOCAL: list[str] = []
-
-
-def _local_folder() -> str:
-    if not _LOCAL:
-        _LOCAL.append(tempfile.mkdtemp(prefix="corpus-tables-"))
-    return _LOCAL[0]
-
+from ..plans.materialize import materialize, shared_folder
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Writes df as Parquet in the shared folder and reads it back.
+__all__ = ["WORD", "components", "materialize", "shared_folder", "tables", "words_of"]
 
-    This cuts the lineage: a lost executor costs a read of the table, never the steps before it.
-    The table is removed when the driver's process ends.
-    """
-    spark = df.sparkSession
-    path = f"{shared_folder(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        target = jvm.org.apache.hadoop.fs.Path(path)
-        target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
-    except Exception:  # noqa: BLE001  the session may have gone first; the folder is then the cluster's to clear
-        pass
+#: White space that separates words, as a class for Java and DuckDB patterns.
+WORD = r"[^\x20\x09-\x0D]+"
 
 
 def tables(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -63,9 +26,34 @@ def words_of(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def _components_here(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, component) of all edges of one task; nodes are numbers."""
+    parts = [(b.column("a").to_numpy(zero_copy_only=False), b.column("b").to_numpy(zero_copy_only=False)) for b in batches]
+    if not parts:
+        return
+    a, b = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+    nodes, place = np.unique(np.concatenate([a, b]), return_inverse=True)
+    a, b = place[: len(a)], place[len(a) :]
+    label = np.arange(len(nodes))
+    while True:
+        low = np.minimum(label[a], label[b])
+        new = label.copy()
+        # hook both ends' roots to the lower label, then halve the paths
+        np.minimum.at(new, label[a], low)
+        np.minimum.at(new, label[b], low)
+        while (new[new] != new).any():
+            new = new[new]
+        if (new == label).all():
+            break
+        label = new
+    yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(nodes[label])], names=["node", "component"])
+
+
+def components(edges: DataFrame, one_task: int = 0, max_rounds: int = 60) -> DataFrame:
     """(node, component) for the nodes of edges(a, b); a component's id is its smallest node.
 
+    At most `one_task` edges between numbers are left to one task; more of them take rounds.
+
     Alternating star contraction.  Each round needs only a minimum per node (combined before the
     shuffle) and an equi-join of the edges with those minima, which adaptive execution splits when a
     hub holds a large share of the edges.  Every round is written to the shared folder.  No neighbour
@@ -78,6 +66,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         "edges",
     )
     before = _fingerprint(current)
+    if 0 < before[0] <= one_task:
+        return materialize(current.coalesce(1).mapInArrow(_components_here, "node long, component long"), "components")
     for _ in range(max_rounds):
         if before[0] == 0:
             break
