@@ -34,7 +34,7 @@ def hull_of(points: pd.Series) -> pd.Series:
     return points.map(one)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def hull_area(points: pd.Series) -> pd.Series:
     return points.map(lambda ps: polygon_area(convex_hull(np.array([(p["x"], p["y"]) for p in ps], float))) if ps is not None and len(ps) else 0.0)
 
