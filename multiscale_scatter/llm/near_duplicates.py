@@ -291,7 +291,7 @@ def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     bounded = materialize(_open(bounded), "bounded-postings")
     # a pair meets in the first list that both are in, not in all of them
     own = bounded.groupBy("cid").agg(F.collect_list("key").alias("lists"))
-    bounded = bounded.join(own, "cid")
+    bounded = materialize(bounded.join(own, "cid"), "bounded-lists")
     other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s", "lists")))
     return bounded.join(
         other,
