@@ -293,11 +293,12 @@ def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     own = bounded.groupBy("cid").agg(F.collect_list("key").alias("lists"))
     bounded = materialize(bounded.join(own, "cid"), "bounded-lists")
     other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s", "lists")))
+    other = other.withColumnRenamed("key", "key2")
     return bounded.join(
         other,
-        (bounded["key"] == other["key"]) & F.expr("cid < cid2 and component != component2")
+        F.expr("key = key2 and cid < cid2 and component != component2")
         & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent)
-        & (F.array_min(F.array_intersect("lists", "lists2")) == bounded["key"]),
+        & (F.array_min(F.array_intersect("lists", "lists2")) == F.col("key")),
     ).select(F.col("cid").alias("a"), F.col("cid2").alias("b"))
 
 

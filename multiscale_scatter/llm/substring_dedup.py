@@ -34,8 +34,8 @@ from .shared import materialize
 
 GRAM = 16
 #: Text bytes that share one bucket of grams, and that a map task works on before it sends.
-BUCKET_BYTES, FLUSH_BYTES = 8 << 20, 16 << 20
-_IDENT = 1 << 40
+BUCKET_BYTES, FLUSH_BYTES = 16 << 20, 16 << 20
+_IDENT = 1 << 32
 _LAST_ID = (1 << 63) - 1
 _SORT_BYTES = 1 << 19
 
@@ -73,7 +73,7 @@ def anchors(raw: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, n
 
 
 def _gram_ids(grams: np.ndarray, buckets: int) -> np.ndarray:
-    """Bucket and 40 further bits of a gram in one number, ident * buckets + bucket."""
+    """Bucket and 32 further bits of a gram in one number, ident * buckets + bucket."""
     m = textvec.mix(grams ^ np.uint64(0x632BE59BD9B4E019))
     k = np.uint64(buckets)
     return ((m // k) % np.uint64(_IDENT)) * k + m % k
@@ -128,8 +128,9 @@ def _grams(length: int, buckets: int):
         cut = _runs(bucket)
         for a, b in zip(cut, np.append(cut[1:], len(g)), strict=True):
             c = _runs(k[a:b])
-            packed = (g[a:b] // np.uint64(buckets)).view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
-            counts = np.diff(np.append(c, b - a)).astype(np.uint32).tobytes()
+            packed = (g[a:b] // np.uint64(buckets)).astype(np.uint32).tobytes()
+            counts = np.diff(np.append(c, b - a))
+            counts = counts.astype(np.uint16 if counts.max() < 1 << 16 else np.uint32).tobytes()
             rows.append((int(bucket[a]), None, packed, counts, k[a:b][c].tobytes()))
         yield _gram_batch(rows)
 
@@ -187,11 +188,8 @@ def _shared_grams(buckets: int):
                     g = np.frombuffer(idents, np.uint64)
                     local.append((np.full(len(g), key, np.int64).view(np.uint64), g))
                     continue
-                wide = np.zeros((len(idents) // 5, 8), np.uint8)
-                wide[:, :5] = np.frombuffer(idents, np.uint8).reshape(-1, 5)
-                held.setdefault(bucket, []).append(
-                    (wide.reshape(-1).view(np.uint64), np.repeat(np.frombuffer(keys, np.uint64), np.frombuffer(counts, np.uint32)))
-                )
+                n = np.frombuffer(counts, np.uint16 if len(counts) == len(keys) // 4 else np.uint32)
+                held.setdefault(bucket, []).append((np.frombuffer(idents, np.uint32).astype(np.uint64), np.repeat(np.frombuffer(keys, np.uint64), n)))
         if local:
             yield packed(np.concatenate([x[0] for x in local]), np.concatenate([x[1] for x in local]))
         for bucket in list(held):
@@ -266,7 +264,8 @@ def _windows(size: np.ndarray, length: int) -> np.ndarray:
     return (np.int64(1) << np.maximum(size.astype(np.int64) - length + 1, 0)) - 1
 
 
-def _contexts(length: int, buckets: int):
+def _contexts(length: int, buckets: int, spread: int):
+    """Contexts of shared grams, dealt to `spread` parts by gram."""
     reach = length - GRAM
 
     def flush(held: list) -> Iterator[pa.RecordBatch]:
@@ -281,7 +280,7 @@ def _contexts(length: int, buckets: int):
         rows = []
         # strings of the others are those of a smaller id: decided here
         late = np.flatnonzero(ord_ > least)
-        goal = (textvec.mix(key[late].view(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+        goal = (textvec.mix(key[late].view(np.uint64)) % np.uint64(spread)).astype(np.int64)
         by = np.argsort(goal, kind="stable")
         late, goal = late[by], goal[by]
         cut = _runs(goal)
@@ -289,7 +288,7 @@ def _contexts(length: int, buckets: int):
             at = late[a:b]
             rows.append((int(goal[a]), 1, pack(ord_[at], key[at], start[at], _windows(size[at], length))))
         first = np.flatnonzero(ord_ == least)
-        goal = (gram[first] % np.uint64(buckets)).astype(np.int64)
+        goal = (gram[first] % np.uint64(spread)).astype(np.int64)
         by = np.argsort(goal, kind="stable")
         first, goal = first[by], goal[by]
         cut = _runs(goal)
@@ -499,9 +498,9 @@ def dedup_substrings(docs: DataFrame, length: int = 50) -> DataFrame:
     wanted = lead.join(grams, "key").select("ord", "key", "grams")
     # both joins with the texts use one and the same exchange of them
     texts = docs.where(F.octet_length("text") >= length).select("ord", "key", "text")
-    contexts = texts.hint("merge").join(wanted, ["ord", "key"]).mapInArrow(_contexts(length, buckets), _PACKED)
-    met = contexts.repartition(buckets, "bucket").mapInArrow(_compare(length, buckets), _PACKED)
-    decided = met.repartition(buckets, "bucket").mapInArrow(_decided, "ord long, key long, starts binary, masks binary")
+    contexts = texts.hint("merge").join(wanted, ["ord", "key"]).mapInArrow(_contexts(length, buckets, 2 * buckets), _PACKED)
+    met = contexts.repartition(2 * buckets, "bucket").mapInArrow(_compare(length, 2 * buckets), _PACKED)
+    decided = met.repartition(2 * buckets, "bucket").mapInArrow(_decided, "ord long, key long, starts binary, masks binary")
     removed = texts.hint("merge").join(decided, ["ord", "key"]).mapInArrow(_cut_out(length), _REMOVED)
     if not base.groupBy("ord", "key").count().where("count > 1").isEmpty():  # repeated rows
         removed = removed.dropDuplicates(["ord", "key"])
