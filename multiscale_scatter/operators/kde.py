@@ -55,7 +55,7 @@ def contours(density: DataFrame, levels: list[float], cell: float) -> DataFrame:
             F.struct((x + cell).alias("x"), (y + cut("lr", "ur") * cell).alias("y")),
             F.struct((x + cut("ul", "ur") * cell).alias("x"), (y + cell).alias("y")),
             F.struct(x.alias("x"), (y + cut("ll", "ul") * cell).alias("y")),
-        )
+        ).cast("array<struct<x:double,y:double>>")
         pieces = F.lit(None).cast("array<array<int>>")
         for case, lines in SEGMENTS.items():
             pieces = F.when(F.col("case") == case, F.array(*(F.array(*(F.lit(s) for s in line)) for line in lines))).otherwise(pieces)

@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import geometry_queries, layout_queries
+from . import geometry_queries, layout_queries, relational_queries, stats_queries
 
-MODULES = (geometry_queries, layout_queries)
+MODULES = (geometry_queries, layout_queries, stats_queries, relational_queries)
 QUERIES = {name: f for m in MODULES for name, f in m.QUERIES.items()}
 ORACLES = {name: sql for m in MODULES for name, sql in m.SQL.items()}
