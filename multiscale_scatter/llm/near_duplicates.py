@@ -270,18 +270,22 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
         members = materialize(_open(_with_labels(long_lists, labels)), "open-lists")
         if members.isEmpty():
             break
-        pairs = _all_pairs(members, sets, percent).distinct() if last else _pivot_pairs(members, percent, 1, PIVOTS)
-        found = materialize(found.unionByName(_confirmed(_alike(pairs, brief, min_matches), sets, percent)), "links")
+        if last:
+            links = _all_links(members, sets, percent)
+        else:
+            links = _confirmed(_alike(_pivot_pairs(members, percent, 1, PIVOTS), brief, min_matches), sets, percent)
+        found = materialize(found.unionByName(links), "links")
         labels = components(found, MAX_EDGES)
     return labels
 
 
-def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Every pair of a list whose classes lie in different components and could be similar.
+def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Every link (a, b) of a list between classes of different components.
 
     A shingle that no other class here has cannot be in an intersection.  What a class has besides such
     shingles bounds every intersection with it; this leaves out the loose members of a group of near
-    copies, which resemble all of it but nothing closely enough.
+    copies, which resemble all of it but nothing closely enough.  The sets are compared within the join,
+    so only links leave it.
     """
     here = members.select("cid").distinct()
     shingles = sets.join(here, "cid", "left_semi").select("cid", F.explode("shingles").alias("shingle"))
@@ -292,13 +296,15 @@ def _all_pairs(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     # a pair meets in the first list that both are in, not in all of them
     own = bounded.groupBy("cid").agg(F.collect_list("key").alias("lists"))
     bounded = materialize(bounded.join(own, "cid"), "bounded-lists")
-    other = bounded.select("key", *(F.col(c).alias(f"{c}2") for c in ("cid", "component", "n", "s", "lists")))
-    other = other.withColumnRenamed("key", "key2")
-    return bounded.join(
+    whole = bounded.join(sets, "cid")
+    other = whole.select(*(F.col(c).alias(f"{c}2") for c in whole.columns))
+    both = F.size(F.array_intersect("shingles", "shingles2"))
+    return whole.join(
         other,
         F.expr("key = key2 and cid < cid2 and component != component2")
         & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent)
-        & (F.array_min(F.array_intersect("lists", "lists2")) == F.col("key")),
+        & (F.array_min(F.array_intersect("lists", "lists2")) == F.col("key"))
+        & (both * (100 + percent) >= (F.col("n") + F.col("n2")) * percent),
     ).select(F.col("cid").alias("a"), F.col("cid2").alias("b"))
 
 
