@@ -287,16 +287,14 @@ def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     copies, which resemble all of it but nothing closely enough.  The sets are compared within the join,
     so only links leave it.
     """
-    here = members.select("cid").distinct()
+    here = materialize(members.groupBy("cid").agg(F.first("n").alias("n"), F.first("component").alias("component"), F.collect_list("key").alias("lists")), "members")
     shingles = sets.join(here, "cid", "left_semi").select("cid", F.explode("shingles").alias("shingle"))
     common = shingles.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1").select("shingle")
     bound = shingles.join(common, "shingle").groupBy("cid").agg(F.count(F.lit(1)).alias("s"))
-    bounded = members.join(bound, "cid").where(F.col("s") * 100 >= F.col("n") * percent)
-    bounded = materialize(_open(bounded), "bounded-postings")
+    within = here.join(bound.where("s > 0"), "cid").where(F.col("s") * 100 >= F.col("n") * percent)
+    within = materialize(within.join(sets, "cid"), "within-reach")
     # a pair meets in the first list that both are in, not in all of them
-    own = bounded.groupBy("cid").agg(F.collect_list("key").alias("lists"))
-    bounded = materialize(bounded.join(own, "cid"), "bounded-lists")
-    whole = bounded.join(sets, "cid")
+    whole = within.withColumn("key", F.explode("lists"))
     other = whole.select(*(F.col(c).alias(f"{c}2") for c in whole.columns))
     both = F.size(F.array_intersect("shingles", "shingles2"))
     return whole.join(

@@ -90,6 +90,10 @@ def _runs(*keys: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
+def _ends(cut: np.ndarray, n: int) -> np.ndarray:
+    return np.append(cut[1:], n) if len(cut) else cut
+
+
 _GRAMS = "bucket int, key long, idents binary, counts binary, keys binary"
 
 
@@ -119,14 +123,14 @@ def _grams(length: int, buckets: int):
         by = np.argsort(k[many], kind="stable")
         sk, sg = k[many][by], g[many][by]
         cut = _runs(sk)
-        for a, b in zip(cut, np.append(cut[1:], len(sk)), strict=True):
+        for a, b in zip(cut, _ends(cut, len(sk)), strict=True):
             rows.append((None, int(sk[a].view(np.int64)), sg[a:b].tobytes(), None, None))
         g, k = g[first], k[first]
         bucket = (g % np.uint64(buckets)).astype(np.int64)
         order = np.lexsort((k, bucket))
         g, k, bucket = g[order], k[order], bucket[order]
         cut = _runs(bucket)
-        for a, b in zip(cut, np.append(cut[1:], len(g)), strict=True):
+        for a, b in zip(cut, _ends(cut, len(g)), strict=True):
             c = _runs(k[a:b])
             packed = (g[a:b] // np.uint64(buckets)).astype(np.uint32).tobytes()
             counts = np.diff(np.append(c, b - a))
@@ -161,7 +165,7 @@ def _shared_batch(dest: np.ndarray, k: np.ndarray, g: np.ndarray) -> pa.RecordBa
     """Rows for (key, gram) pairs, sorted by dest, then key; one for each dest."""
     cut = _runs(dest)
     rows = []
-    for a, b in zip(cut, np.append(cut[1:], len(dest)), strict=True):
+    for a, b in zip(cut, _ends(cut, len(dest)), strict=True):
         c = _runs(k[a:b])
         rows.append((int(dest[a]), k[a:b][c].tobytes(), np.diff(np.append(c, b - a)).astype(np.uint32).tobytes(), g[a:b].tobytes()))
     cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
@@ -220,7 +224,7 @@ def _by_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     order = np.argsort(k, kind="stable")
     k, g = k[order], g[order]
     cut = _runs(k)
-    ends = np.append(cut[1:], len(k))
+    ends = _ends(cut, len(k))
     for a in range(0, len(cut), 10_000):
         yield pa.RecordBatch.from_arrays(
             [
@@ -284,7 +288,7 @@ def _contexts(length: int, buckets: int, spread: int):
         by = np.argsort(goal, kind="stable")
         late, goal = late[by], goal[by]
         cut = _runs(goal)
-        for a, b in zip(cut, np.append(cut[1:], len(goal)), strict=True):
+        for a, b in zip(cut, _ends(cut, len(goal)), strict=True):
             at = late[a:b]
             rows.append((int(goal[a]), 1, pack(ord_[at], key[at], start[at], _windows(size[at], length))))
         first = np.flatnonzero(ord_ == least)
@@ -292,7 +296,7 @@ def _contexts(length: int, buckets: int, spread: int):
         by = np.argsort(goal, kind="stable")
         first, goal = first[by], goal[by]
         cut = _runs(goal)
-        for a, b in zip(cut, np.append(cut[1:], len(goal)), strict=True):
+        for a, b in zip(cut, _ends(cut, len(goal)), strict=True):
             at = first[a:b]
             c = _runs(gram[at], same[at], ord_[at], key[at])
             e = at[c]
@@ -416,7 +420,7 @@ def _compare(length: int, buckets: int):
         order = np.argsort(dest, kind="stable")
         cut = _runs(dest[order])
         rows = []
-        for a, b in zip(cut, np.append(cut[1:], len(order)), strict=True):
+        for a, b in zip(cut, _ends(cut, len(order)), strict=True):
             at = order[a:b]
             rows.append((int(dest[at[0]]), 1, pack(ord_[at], key[at], start[at], mask[at])))
         yield _packed_batch(rows)
@@ -433,7 +437,7 @@ def _decided(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     order = np.lexsort((start, key, ord_))
     ord_, key, start, mask = (x[order] for x in (ord_, key, start, mask))
     cut = _runs(ord_, key)
-    ends = np.append(cut[1:], len(ord_))
+    ends = _ends(cut, len(ord_))
     for a in range(0, len(cut), 10_000):
         c, e = cut[a : a + 10_000], ends[a : a + 10_000]
         yield pa.RecordBatch.from_arrays(
