@@ -324,3 +324,23 @@ def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
 
 def op6_near_duplicates(spark, sf_dir) -> DataFrame:
     return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"), width=2, percent=80)
+
+
+#: All pairs by shared shingles; for small tables.
+OP6_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+u AS (
+  SELECT DISTINCT doc_id, unnest(CASE WHEN len(ws) > 1 THEN list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]) ELSE ws END) AS s FROM w),
+n AS (SELECT doc_id, count(*) AS n FROM u GROUP BY doc_id),
+s AS (SELECT u.doc_id, s, n FROM u JOIN n ON u.doc_id = n.doc_id WHERE s IN (SELECT s FROM u GROUP BY s HAVING count(*) > 1)),
+p AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, any_value(a.n) AS nx, any_value(b.n) AS ny, count(*) AS c
+  FROM s a JOIN s b ON a.s = b.s AND a.doc_id < b.doc_id AND 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n) GROUP BY 1, 2),
+e AS (SELECT x, y FROM p WHERE 100 * c >= 80 * (nx + ny - c)),
+b AS (SELECT x, y FROM e UNION SELECT y, x FROM e),
+reach(x, y) AS (SELECT x, y FROM b UNION SELECT reach.x, b.y FROM reach JOIN b ON reach.y = b.x),
+g AS (SELECT x, least(x, min(y)) AS component_id FROM reach GROUP BY x)
+SELECT w.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(g.component_id, w.doc_id) AS component_id, w.doc_id = coalesce(g.component_id, w.doc_id) AS kept
+FROM w LEFT JOIN n ON w.doc_id = n.doc_id LEFT JOIN g ON w.doc_id = g.x
+"""

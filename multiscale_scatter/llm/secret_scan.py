@@ -194,3 +194,37 @@ def op1_secret_scan(spark, sf_dir) -> DataFrame:
         "doc_id", count("assign").alias("n_assign"), count("access").alias("n_access"), count("hex").alias("n_hex"),
         F.sha2(_joined(base), 256).alias("base_sha256"), _joined(F.col("spans")).alias("spans"),
     )
+
+
+def oracle_sql(scope: int = SCOPE) -> str:
+    """The scan in DuckDB's SQL.  Its patterns lack look-around: opaque strings are runs that are then tested."""
+    text = lambda s: "'" + s.replace("'", "''") + "'"
+    parts = []
+    for rank, kind in enumerate(KINDS):
+        pattern, more = kind.pattern, "true"
+        if kind.name == "opaque":
+            pattern = "[A-Za-z0-9+/_=-]+"
+            more = "regexp_full_match(v, '[A-Za-z0-9+/]{40}') AND regexp_matches(v, '[0-9]') AND regexp_matches(v, '[a-z]') AND regexp_matches(v, '[A-Z]')"
+        value = f"regexp_extract_all(t, {text(pattern)}, {kind.group})"
+        parts.append(
+            f"""SELECT r, {text(kind.name)} AS kind, {rank} AS rank, {str(kind.part == "secret").lower()} AS secret, {str(kind.weak).lower()} AS weak, v, {kind.least} AS least, ({more}) AS fine,
+       sum(length(gap) + length(f)) OVER (PARTITION BY r ORDER BY n) AS e, length(f) AS size
+FROM (SELECT r, n, fs[n] AS f, vs[n] AS v, gs[n] AS gap FROM (SELECT r, fs, vs, gs, unnest(range(1, len(fs) + 1)) AS n
+      FROM (SELECT r, regexp_extract_all(t, {text(pattern)}) AS fs, {value} AS vs, string_split_regex(t, {text(pattern)}) AS gs FROM d)))"""
+        )
+    count = lambda n: f"count(*) FILTER (kind = {text(n)})"
+    joined = "string_agg(kind || ':' || s || ':' || e, ',' ORDER BY s, rank, e)"
+    return f"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t FROM documents),
+m AS ({" UNION ALL ".join(parts)}),
+c AS (SELECT r, kind, rank, secret, weak, CAST(e - size AS BIGINT) AS s, CAST(e AS BIGINT) AS e FROM m WHERE length(v) >= least AND fine),
+o AS (SELECT * FROM c a WHERE NOT weak OR EXISTS (SELECT 1 FROM c b WHERE a.r = b.r AND a.secret <> b.secret AND abs(a.s - b.s) <= {scope})),
+x AS (SELECT r, {count("assign")} AS n_assign, {count("access")} AS n_access, {count("hex")} AS n_hex,
+             coalesce({joined} FILTER (NOT weak), '') AS base, {joined} AS spans FROM o GROUP BY r)
+SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex,
+       sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans
+FROM d LEFT JOIN x ON d.r = x.r
+"""
+
+
+OP1_SQL = oracle_sql()

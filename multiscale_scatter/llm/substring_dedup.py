@@ -526,3 +526,21 @@ def op9_substring_dedup(spark, sf_dir) -> DataFrame:
     return spans.select(
         "doc_id", "n_bytes", gone.alias("n_removed"), F.size("removed").cast("long").alias("n_spans"), "kept_sha256"
     )
+
+
+#: Every string of every text; for small tables.
+OP9_SQL = """
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+n AS (SELECT r, doc_id, h, length(h) // 2 AS n FROM d),
+w AS (SELECT r, doc_id, p, substr(h, 2 * p + 1, 100) AS g FROM (SELECT *, unnest(range(0, n - 49)) AS p FROM n WHERE n >= 50)),
+f AS (SELECT g, min(doc_id) AS m FROM w GROUP BY g HAVING count(*) > 1),
+s AS (SELECT w.r, w.p FROM w JOIN f ON w.g = f.g WHERE f.m < w.doc_id),
+i AS (SELECT r, p, CASE WHEN p <= lag(p) OVER (PARTITION BY r ORDER BY p) + 50 THEN 0 ELSE 1 END AS new FROM s),
+k AS (SELECT r, p, sum(new) OVER (PARTITION BY r ORDER BY p) AS k FROM i),
+a AS (SELECT r, k, min(p) AS b, max(p) + 50 AS e FROM k GROUP BY r, k),
+q AS (SELECT a.r, b, e, substr(h, 2 * coalesce(lag(e) OVER (PARTITION BY a.r ORDER BY b), 0) + 1, 2 * (b - coalesce(lag(e) OVER (PARTITION BY a.r ORDER BY b), 0))) AS piece FROM a JOIN n ON a.r = n.r),
+x AS (SELECT r, sum(e - b) AS n_removed, count(*) AS n_spans, string_agg(piece, '' ORDER BY b) AS head, max(e) AS e FROM q GROUP BY r)
+SELECT doc_id, n AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans,
+       sha256(unhex(coalesce(head, '') || substr(h, 2 * coalesce(e, 0) + 1))) AS kept_sha256
+FROM n LEFT JOIN x ON n.r = x.r
+"""
