@@ -200,12 +200,16 @@ def _few(df: DataFrame) -> DataFrame:
 
 def _with_labels(members: DataFrame, labels: DataFrame) -> DataFrame:
     named = members.drop("component").join(labels, members["cid"] == labels["node"], "left")
-    return named.select("key", "cid", "n", F.coalesce("component", "cid").alias("component"))
+    return named.select("key", "cid", "n", "c", F.coalesce("component", "cid").alias("component"))
 
 
 def _pivot_pairs(members: DataFrame, percent: int, first: int, count: int) -> DataFrame:
-    """Each member of a list with `count` members of other components that could be similar by size."""
-    picks = [F.min_by(F.struct("cid", "component", "n"), F.xxhash64("cid", F.lit(k))) for k in range(first, first + count)]
+    """Each member of a list with up to `count` members of other components that could be similar by size.
+
+    Those with the most shared keys come first: they lie in the middle of a group of near copies.
+    """
+    middle = -F.col("c")
+    picks = [F.min_by(F.struct("cid", "component", "n"), F.struct(middle.alias("m"), F.xxhash64("cid", F.lit(k)).alias("h"))) for k in range(first, first + count)]
     pivots = members.groupBy("key").agg(F.array(*picks).alias("p")).select("key", F.explode(F.array_distinct("p")).alias("p"))
     return members.join(
         pivots, (members["key"] == pivots["key"]) & (F.col("component") != F.col("p.component"))
@@ -214,7 +218,7 @@ def _pivot_pairs(members: DataFrame, percent: int, first: int, count: int) -> Da
 
 
 def _postings(signed: DataFrame, classes: DataFrame, min_matches: int, short: int) -> tuple[DataFrame, DataFrame]:
-    """Representatives, and the prefix postings (key, cid, n, long: the list has more than short classes)."""
+    """Representatives, and the prefix postings (key, cid, n, c: shared keys of the class, long: the list has more than short classes)."""
     chosen = signed.join(classes.select("cid", "doc_id"), ["cid", "doc_id"], "left_semi").dropDuplicates(["cid"])
     posted = chosen.select("cid", F.col("n_shingles").cast("int").alias("n"), F.explode("keys").alias("key"))
     # counts are combined before the shuffle; the join back is one that adaptive execution can split
@@ -225,9 +229,9 @@ def _postings(signed: DataFrame, classes: DataFrame, min_matches: int, short: in
         "cid", "n", "key", F.row_number().over(of_class.orderBy("df", "key")).alias("r"), F.count("key").over(of_class).alias("c")
     )
     prefix = ranked.where(F.col("c") >= min_matches).where(F.col("r") <= F.col("c") - min_matches + PREFIX_HITS)
-    prefix = materialize(prefix.select("key", "cid", "n"), "prefixes")
+    prefix = materialize(prefix.select("key", "cid", "n", "c"), "prefixes")
     lists = prefix.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    return chosen, materialize(prefix.join(lists, "key").select("key", "cid", "n", (F.col("size") > short).alias("long")), "postings")
+    return chosen, materialize(prefix.join(lists, "key").select("key", "cid", "n", "c", (F.col("size") > short).alias("long")), "postings")
 
 
 def _counted_pairs(postings: DataFrame, percent: int) -> DataFrame:
@@ -246,7 +250,7 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
     """(node, component) of the classes that have a link."""
     chosen, postings = _postings(signed, classes, min_matches, short)
     brief = chosen.select("cid", "brief")
-    long_lists = materialize(postings.where("long").select("key", "cid", "n", F.col("cid").alias("component")), "long-lists")
+    long_lists = materialize(postings.where("long").select("key", "cid", "n", "c", F.col("cid").alias("component")), "long-lists")
     near = _alike(_counted_pairs(postings, percent).unionByName(_pivot_pairs(long_lists, percent, 0, 1)).distinct(), brief, min_matches)
     wanted = near.select(F.col("a").alias("cid")).unionByName(near.select(F.col("b").alias("cid"))).unionByName(long_lists.select("cid")).distinct()
     wanted = materialize(chosen.join(wanted, "cid", "left_semi").select("doc_id"), "wanted")
@@ -291,10 +295,14 @@ def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     shingles = sets.join(here, "cid", "left_semi").select("cid", F.explode("shingles").alias("shingle"))
     common = shingles.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1").select("shingle")
     bound = shingles.join(common, "shingle").groupBy("cid").agg(F.count(F.lit(1)).alias("s"))
-    within = here.join(bound.where("s > 0"), "cid").where(F.col("s") * 100 >= F.col("n") * percent)
-    within = materialize(within.join(sets, "cid"), "within-reach")
+    near = here.join(bound, "cid").withColumn("key", F.explode("lists")).drop("lists")
+    # even with the smallest class of the list
+    low = near.groupBy("key").agg(F.min("n").alias("low"))
+    near = near.join(low, "key").where(F.col("s") * (100 + percent) >= (F.col("n") + F.col("low")) * percent).drop("low")
+    near = materialize(_open(near), "within-reach")
     # a pair meets in the first list that both are in, not in all of them
-    whole = within.withColumn("key", F.explode("lists"))
+    own = near.groupBy("cid").agg(F.first("n").alias("n"), F.first("component").alias("component"), F.first("s").alias("s"), F.collect_list("key").alias("lists"))
+    whole = materialize(own.join(sets, "cid"), "members").withColumn("key", F.explode("lists"))
     other = whole.select(*(F.col(c).alias(f"{c}2") for c in whole.columns))
     both = F.size(F.array_intersect("shingles", "shingles2"))
     return whole.join(
