@@ -24,6 +24,10 @@ class Split:
     right: int | Split
     depth: int
     number: int = 0
+    #: Leaves below: first to middle - 1 on the left, middle to end - 1 on the right.
+    first: int = 0
+    middle: int = 0
+    end: int = 0
 
 
 @dataclass
@@ -76,6 +80,25 @@ class KDTree:
                 stack.append(node.right)
         return sorted(out)
 
+    def path(self, leaf: int) -> list[Split]:
+        """Splits above a leaf, the root first."""
+        out, node = [], self.root
+        while isinstance(node, Split):
+            out.append(node)
+            node = node.left if leaf < node.middle else node.right
+        return out
+
+    def splits_over(self, low: int, high: int, depths: range) -> list[Split]:
+        """Splits of some depths with leaves between low and high below them, deepest first."""
+        out, stack = [], [self.root]
+        while stack:
+            node = stack.pop()
+            if isinstance(node, Split) and node.first <= high and node.end > low and node.depth < depths.stop:
+                if node.depth in depths:
+                    out.append(node)
+                stack += [node.left, node.right]
+        return sorted(out, key=lambda s: (-s.depth, s.first))
+
     def paths(self) -> list[list[Split]]:
         """Splits above each leaf, the root first."""
         out: list[list[Split]] = [[] for _ in range(self.leaves)]
@@ -131,9 +154,11 @@ def build(points: np.ndarray, most: int, weight: float = 1.0, first_axis: int =
                 value = _cut(points[rows, a])
                 if value is not None:
                     below = points[rows, a] < value
-                    split = Split(a, value, 0, 0, depth)
+                    split = Split(a, value, 0, 0, depth, first=tree.leaves)
                     split.left = grow(rows[below], 1 - a, depth + 1)
+                    split.middle = tree.leaves
                     split.right = grow(rows[~below], 1 - a, depth + 1)
+                    split.end = tree.leaves
                     tree.splits.append(split)
                     return split
         tree.leaves += 1
@@ -161,8 +186,4 @@ def build_kdtree(objects: DataFrame, most: int, sketch_rows: int = SKETCH_ROWS,
 
 def tree_rows(tree: KDTree) -> list[tuple]:
     """(split, depth, axis, value, leaves below) for reports."""
-
-    def below(node: int | Split) -> int:
-        return below(node.left) + below(node.right) if isinstance(node, Split) else 1
-
-    return [(s.number, s.depth, "xy"[s.axis], s.value, below(s)) for s in tree.splits]
+    return [(s.number, s.depth, "xy"[s.axis], s.value, s.end - s.first) for s in tree.splits]

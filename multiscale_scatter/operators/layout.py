@@ -197,37 +197,37 @@ def assign_leaf(rows: DataFrame, tree: kdtree.KDTree, x: str = "x", y: str = "y"
 
 
 class _Borders:
-    """Splits of a tree in box units of one level: which rows are near them, and the repair."""
+    """Splits of a tree in box units of one level: which rows are near them, and the repair.
 
-    def __init__(self, tree: kdtree.KDTree, plan: LayoutPlan, level: int):
-        self.theta = plan.theta
-        extents = (plan.x_extent, plan.y_extent)
-        size = [G.level_size(plan.top[k], plan.zoom, level) / plan.box[k] for k in (0, 1)]
-        self.splits = []
+    A task looks at the splits above its own leaves only, so its work doesn't grow with the tree.
+    """
 
-        def leaves(node: int | kdtree.Split) -> list[int]:
-            return [*leaves(node.left), *leaves(node.right)] if isinstance(node, kdtree.Split) else [node]
+    def __init__(self, tree: kdtree.KDTree, plan: LayoutPlan, level: int):
+        self.tree, self.theta = tree, plan.theta
+        self.extents = (plan.x_extent, plan.y_extent)
+        self.sizes = [G.level_size(plan.top[k], plan.zoom, level) / plan.box[k] for k in (0, 1)]
 
-        for s in tree.splits:
-            lo, hi = extents[s.axis]
-            below = leaves(s)
-            self.splits.append((s.depth, s.axis, (s.value - lo) / (hi - lo) * size[s.axis], min(below), max(below)))
-        self.splits.sort(key=lambda s: -s[0])
+    def _from_split(self, split: kdtree.Split, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+        lo, hi = self.extents[split.axis]
+        return np.abs((u, v)[split.axis] - (split.value - lo) / (hi - lo) * self.sizes[split.axis])
 
-    def near(self, u: np.ndarray, v: np.ndarray, leaf: np.ndarray) -> np.ndarray:
+    def near(self, u: np.ndarray, v: np.ndarray, leaf: int) -> np.ndarray:
+        """Rows of one leaf that lie near a split above it."""
         out = np.zeros(len(u), bool)
-        for _, axis, value, lo, hi in self.splits:
-            out |= (leaf >= lo) & (leaf <= hi) & (np.abs((u, v)[axis] - value) < self.theta)
+        for split in self.tree.path(leaf):
+            out |= self._from_split(split, u, v) < self.theta
         return out
 
     def repair(self, u: np.ndarray, v: np.ndarray, leaf: np.ndarray, rank: np.ndarray, depths: range) -> np.ndarray:
         """Row that each row merges into once the splits of these depths are closed, deepest first."""
         into = np.arange(len(u))
-        for depth, axis, value, lo, hi in self.splits:
-            if depth in depths:
-                near = np.flatnonzero((into == np.arange(len(u))) & (leaf >= lo) & (leaf <= hi) & (np.abs((u, v)[axis] - value) < self.theta))
-                along, across = ((v, u) if axis == 0 else (u, v))
-                into[near] = near[kernels.sweep_split(along[near], across[near], rank[near], self.theta)]
+        if not len(u):
+            return into
+        for split in self.tree.splits_over(int(leaf.min()), int(leaf.max()), depths):
+            alive = into == np.arange(len(u))
+            near = np.flatnonzero(alive & (leaf >= split.first) & (leaf < split.end) & (self._from_split(split, u, v) < self.theta))
+            along, across = (v, u) if split.axis == 0 else (u, v)
+            into[near] = near[kernels.sweep_split(along[near], across[near], rank[near], self.theta)]
         return kernels.settle(into)
 
 
@@ -242,7 +242,7 @@ def _place_leaf(plan: LayoutPlan, scale: float, borders: _Borders, index: str):
         ids = pdf["obj_id"].to_numpy(np.int64)
         stays = into == np.arange(len(into))
         border = np.zeros(len(into), bool)
-        border[stays] = borders.near(u[stays], v[stays], pdf["pid"].to_numpy()[stays])
+        border[stays] = borders.near(u[stays], v[stays], int(pdf["pid"].iloc[0]))
         return pd.DataFrame({"child": ids, "parent": ids[into], "u": pdf["u"], "v": pdf["v"], "w": pdf["w"], "pid": pdf["pid"], "border": border})
 
     return run

@@ -145,7 +145,7 @@ QUERIES = {
 }
 
 
-def greedy_sql(fixture: Fixture, levels: int) -> str:
+def greedy_sql(fixture: Fixture, levels: int, lowest_only: bool = False) -> str:
     """Edges of all levels, row by row in order of importance with the list of placed marks carried along."""
     size = 1000.0 * 2 ** (levels - 1)
     (x0, x1), (y0, y1) = fixture.x_extent, fixture.y_extent
@@ -153,7 +153,7 @@ def greedy_sql(fixture: Fixture, levels: int) -> str:
         f"o{levels} AS (SELECT obj_id, (x - {x0!r}::DOUBLE) / {x1 - x0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS u, (y - {y0!r}::DOUBLE) / {y1 - y0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS v, "
         f"row_number() OVER (ORDER BY z DESC, obj_id) AS r FROM {fixture.sql()} WHERE x BETWEEN {x0!r} AND {x1!r} AND y BETWEEN {y0!r} AND {y1!r})"
     ]
-    for level in range(levels, 0, -1):
+    for level in range(levels, levels - 1 if lowest_only else 0, -1):
         scale = 2.0 ** (level - levels)
         if level < levels:
             ctes.append(f"o{level} AS (SELECT obj_id, u, v, row_number() OVER (ORDER BY r) AS r FROM (SELECT o.obj_id, o.u, o.v, o.r FROM o{level + 1} o JOIN g{level + 1} g ON o.obj_id = g.child WHERE g.child = g.parent))")
@@ -167,7 +167,7 @@ def greedy_sql(fixture: Fixture, levels: int) -> str:
            WHERE greatest(abs(k.u - o.u * {scale!r}), abs(k.v - o.v * {scale!r})) < 1) AS near
         FROM g{level} g JOIN o{level} o ON o.r = g.r + 1))"""
         )
-    parts = " UNION ALL ".join(f"SELECT {level} AS level, child, parent FROM g{level} WHERE child IS NOT NULL" for level in range(levels, 0, -1))
+    parts = " UNION ALL ".join(f"SELECT {level} AS level, child, parent FROM g{level} WHERE child IS NOT NULL" for level in range(levels, levels - 1 if lowest_only else 0, -1))
     return "WITH RECURSIVE " + ",\n".join(ctes) + "\n" + parts
 
 
@@ -190,8 +190,7 @@ SQL = {
     "boundary_band": f"""WITH m AS (SELECT x AS median FROM {EVENTS.sql()} ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM events))
       SELECT count(*) AS near FROM {EVENTS.pixels_sql(6)}, m WHERE abs(cx - (median - 1704067200.0) / 2592000.0 * 32000.0) < 100.0""",
     "grid_partition_skew": f"SELECT CAST(least(floor(cx / 125.0), 7) + least(floor(cy / 125.0), 7) * 8 AS INTEGER) AS pid, count(*) AS n FROM {EVENTS.pixels_sql(1)} GROUP BY 1",
-    "layout_outliers_part": None,
+    "layout_outliers_part": f"SELECT child AS cluster_id FROM ({greedy_sql(PART, 6, True)}) WHERE child = parent",
 }
-SQL = {k: v for k, v in SQL.items() if v}
 for _name, _fixture, _levels in (("layout_single_customer", CUSTOMER, 6), ("layout_distributed_one_leaf", CUSTOMER, 6), ("layout_single_part", PART, 3), ("layout_rounds_part", PART, 3)):
     SQL[_name] = greedy_sql(_fixture, _levels)
