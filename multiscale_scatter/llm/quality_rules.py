@@ -90,21 +90,17 @@ def host_rates(judged: DataFrame) -> DataFrame:
     hosts = judged.groupBy("source").agg(
         F.count(F.lit(1)).alias("n_docs"), F.sum(F.col("base_failed").cast("long")).alias("n_failed")
     )
-    rate, mean = F.col("n_failed") / F.col("n_docs"), F.col("m")
-    total = hosts.agg((F.sum("n_failed") / F.sum("n_docs")).alias("m"), F.sum("n_docs").alias("n"), F.count(F.lit(1)).alias("h"))
+    hosts = materialize(hosts, "hosts")
+    n, failed, h = hosts.agg(F.sum("n_docs"), F.sum("n_failed"), F.count(F.lit(1))).first()
+    mean = failed / n if n else 0.0
+    gap = F.col("n_failed") / F.col("n_docs") - F.lit(float(mean))
+    around = hosts.agg(F.sum(F.col("n_docs") * gap * gap)).first()[0] or 0.0
     # variance between hosts: what the rates vary by, less what sampling alone would give
-    spread = hosts.crossJoin(F.broadcast(total)).agg(
-        F.first("m").alias("m"),
-        F.greatest(
-            F.sum(F.col("n_docs") * (rate - mean) * (rate - mean)) / F.first("n") - F.first("m") * (1 - F.first("m")) * F.first("h") / F.first("n"),
-            F.lit(1e-9),
-        ).alias("v"),
-    )
-    strength = F.least(F.greatest(mean * (1 - mean) / F.col("v") - 1, F.lit(1.0)), F.lit(1e6))
-    prior = spread.select((mean * strength).alias("alpha"), ((1 - mean) * strength).alias("beta"))
-    return hosts.crossJoin(F.broadcast(prior)).select(
-        "source", "n_docs", "n_failed", ((F.col("n_failed") + F.col("alpha")) / (F.col("n_docs") + F.col("alpha") + F.col("beta"))).alias("shrunk_rate")
-    )
+    between = max(around / n - mean * (1 - mean) * h / n, 1e-9) if n else 1e-9
+    strength = min(max(mean * (1 - mean) / between - 1, 1.0), 1e6)
+    alpha, beta = mean * strength, (1 - mean) * strength
+    shrunk = (F.col("n_failed") + F.lit(float(alpha))) / (F.col("n_docs") + F.lit(float(alpha + beta)))
+    return hosts.select("source", "n_docs", "n_failed", shrunk.alias("shrunk_rate"))
 
 
 def judge(docs: DataFrame, max_host_rate: float = 0.5) -> DataFrame:
