@@ -343,6 +343,11 @@ def compile_spec(spark: SparkSession, spec: ScatterSpec) -> Compiled:
     return Compiled(spec, objects, plan)
 
 
+def drill(target: ScatterSpec, condition: str) -> ScatterSpec:
+    """Semantic zoom: another visualisation, of the rows that a mark of this one points to."""
+    return replace(target, data=f"SELECT * FROM ({target.data}) WHERE {condition}")
+
+
 def expand_low_level(compiled: Compiled) -> dict:
     """What an author writes without a layout generator: a canvas, a query and a renderer for every level."""
     p, spec = compiled.plan, compiled.spec

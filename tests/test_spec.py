@@ -5,7 +5,7 @@ import pytest
 from conftest import SMALL
 
 from multiscale_scatter.plans import workloads as W
-from multiscale_scatter.plans.spec import Axis, Mode, ScatterSpec, authoring_effort, compile_spec, expand_low_level
+from multiscale_scatter.plans.spec import Axis, Mode, ScatterSpec, authoring_effort, compile_spec, drill, expand_low_level
 from multiscale_scatter.sources.fixtures import register
 from multiscale_scatter.sources.synthetic import register_source
 
@@ -60,6 +60,13 @@ def test_effort(spark):
         assert authoring_effort(c)["line_ratio"] > 3
 
 
+def test_drill(spark):
+    register(spark, SMALL)
+    whole = compile_spec(spark, W.CIRCLE).objects
+    part = compile_spec(spark, drill(W.CIRCLE, "event_type = 'click'")).objects
+    assert part.count() == whole.where("event_type = 'click'").count() > 0
+
+
 def test_synthetic_source(spark):
     register_source(spark)
     a = spark.read.format("scatter_synth").option("rows", 5000).option("partitions", 3).load()
