@@ -165,7 +165,7 @@ def _search(index: Index):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows: list[tuple] = []
-            ids = batch.column("doc_id")
+            ids, keys = batch.column("doc_id"), batch.column("key")
             for a, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text"))):
                 words, n = hashed_words(raw, at)
                 if not len(words) or not n_units:
@@ -206,11 +206,11 @@ def _search(index: Index):
                     if r not in runs:
                         runs[r] = np.unique(textvec.shingle_hashes(words[begin[r] : begin[r] + n[r]], n[r : r + 1], 3)[0])
                     share = [float(np.isin(x, runs[r]).mean()) if len(x) else 1.0 for x in (index.question[item], index.answer[item], index.whole[item])]
-                    rows.append((ids[a + r].as_py(), index.item_ids[item], min(score, 1.0), *share))
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
-            kinds = [pa.int64(), pa.int64(), *[pa.float64()] * 4]
+                    rows.append((ids[a + r].as_py(), keys[a + r].as_py(), index.item_ids[item], min(score, 1.0), *share))
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 7
+            kinds = [pa.int64(), pa.int64(), pa.int64(), *[pa.float64()] * 4]
             yield pa.RecordBatch.from_arrays(
-                [pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["doc_id", "item_id", "score", "question_overlap", "answer_overlap", "item_overlap"]
+                [pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["doc_id", "key", "item_id", "score", "question_overlap", "answer_overlap", "item_overlap"]
             )
 
     return run
@@ -234,6 +234,12 @@ def _usage(terms: np.ndarray):
 
 def retrieve(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, item_id, score, and the overlaps of question, answer and item) of all items above the threshold."""
+    return _retrieved(docs, items, threshold).drop("key")
+
+
+def _retrieved(docs: DataFrame, items: DataFrame, threshold: float) -> DataFrame:
+    """retrieve with key, a hash of the document's text."""
+    docs = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
     sized = items.select("item_id", "text", F.octet_length("text").alias("size")).where("size > 0")
     total = sized.agg(F.sum("size")).first()[0] or 0
     n_slices = -(-total // SLICE_BYTES) or 1
@@ -245,21 +251,26 @@ def retrieve(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD) ->
         if len(index.terms):
             used = docs.select("text").mapInArrow(_usage(index.terms), "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
             index = build_index(rows, threshold, {int(index.terms[r["term"]]): r["n"] for r in used})
-        found = docs.select("doc_id", "text").mapInArrow(_search(index), "doc_id long, item_id long, score double, question_overlap double, answer_overlap double, item_overlap double")
+        found = docs.mapInArrow(_search(index), "doc_id long, key long, item_id long, score double, question_overlap double, answer_overlap double, item_overlap double")
         out = found if out is None else out.unionByName(found)
     return out
 
 
 def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP) -> DataFrame:
     """The retrieved pairs whose question and answer both occur in the document, or the item as a whole but for a word or two."""
+    return _confirmed(retrieve(docs, items, threshold), overlap)
+
+
+def _confirmed(found: DataFrame, overlap: float) -> DataFrame:
     both = (F.col("question_overlap") >= overlap) & (F.col("answer_overlap") >= overlap)
-    return retrieve(docs, items, threshold).where(both | (F.col("item_overlap") >= (1 + overlap) / 2))
+    return found.where(both | (F.col("item_overlap") >= (1 + overlap) / 2))
 
 
-def drop_contaminated(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
-    """docs without the documents that hold an item."""
-    bad = materialize(contaminated(docs, items, **options).select(F.col("doc_id").alias("bad_id")).distinct(), "contaminated")
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["bad_id"]), "left_anti")
+def drop_contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP) -> DataFrame:
+    """docs without the documents that hold an item; other texts under the same id, or without one, stay."""
+    found = _confirmed(_retrieved(docs, items, threshold), overlap)
+    bad = materialize(found.select(F.col("doc_id").alias("bad_id"), F.col("key").alias("bad_key")).distinct(), "contaminated")
+    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["bad_id"]) & (F.xxhash64(docs["text"]) == bad["bad_key"]), "left_anti")
 
 
 def op3_decontamination(spark, sf_dir) -> DataFrame:

@@ -50,7 +50,7 @@ _TIMES = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64) | np.uint64(1)
 #: ids that are broadcast at most; links whose components one task finds at most.
 PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST, MAX_EDGES = 4, 64, 2, 1_000_000, 1_000_000
 
-_SIGNED = "doc_id long, n_shingles long, cid long, keys array<long>, brief array<int>"
+_SIGNED = "doc_id long, key long, n_shingles long, cid long, keys array<long>, brief array<int>"
 
 
 def _distinct(hashes: np.ndarray, per_row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -90,7 +90,7 @@ def _class_ids(sets: np.ndarray, n: np.ndarray) -> np.ndarray:
 def _sign(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = batch.column("doc_id")
+            ids, text_keys = batch.column("doc_id"), batch.column("key")
             for a, b, raw, at in textvec.pieces(batch.column("text")):
                 sets, n = _sets(raw, at, width)
                 full = n > 0
@@ -106,12 +106,13 @@ def _sign(width: int):
                 yield pa.RecordBatch.from_arrays(
                     [
                         ids.slice(a, b - a),
+                        text_keys.slice(a, b - a),
                         pa.array(n),
                         pa.array(cid, mask=~full),
                         pa.ListArray.from_arrays(offsets, pa.array(keys.reshape(-1).view(np.int64))),
                         pa.ListArray.from_arrays(offsets, pa.array(brief.reshape(-1).view(np.int32))),
                     ],
-                    names=["doc_id", "n_shingles", "cid", "keys", "brief"],
+                    names=["doc_id", "key", "n_shingles", "cid", "keys", "brief"],
                 )
 
     return run
@@ -163,7 +164,12 @@ def near_duplicates(
 
     Linked: 100 * intersection >= percent * union of the sets of width-word shingles.
     """
-    docs = docs.select("doc_id", "text")
+    return _judged(docs, width, percent, min_matches, short).drop("key", "component")
+
+
+def _judged(docs: DataFrame, width: int = 5, percent: int = 80, min_matches: int = 32, short: int = SHORT) -> DataFrame:
+    """near_duplicates with key, a hash of the text, and component, which tells components apart that share their smallest id."""
+    docs = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
     signed = materialize(docs.mapInArrow(_sign(width), _SIGNED), "signatures")
     classes = materialize(
         signed.where("n_shingles > 0").groupBy("cid").agg(F.min("doc_id").alias("doc_id"), F.max("n_shingles").alias("n")), "classes"
@@ -174,10 +180,12 @@ def near_duplicates(
         .select("cid", "doc_id", F.coalesce("component", "cid").alias("component"))
     )
     lowest = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    by_class = named.join(lowest, "component").select(F.col("cid").alias("class_id"), "component_id")
+    by_class = named.join(lowest, "component").select(F.col("cid").alias("class_id"), "component", "component_id")
     return signed.join(by_class, signed["cid"] == by_class["class_id"], "left").select(
         "doc_id",
+        "key",
         "n_shingles",
+        "component",
         F.when(F.col("cid").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"),
     ).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
@@ -317,17 +325,20 @@ def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """docs without near-duplicates: of each component the document with the smallest id stays, once.
 
-    Repeated rows of that document are dropped as well; documents without words all stay.
+    Decisions go by id and text, so other texts under the same id, or without one, are judged by themselves.
+    Further rows of what stays of a component are dropped as well, and so are repeats of a text that has no
+    id anywhere; documents without words all stay.
     """
-    judged = near_duplicates(docs, **options)
-    gone = judged.where(~F.col("kept")).select(F.col("doc_id").alias("gone_id")).distinct()
-    rest = docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti")
-    again = (
-        judged.where("kept and n_shingles > 0").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("again_id"))
-    )
-    twice = rest.join(again, rest["doc_id"].eqNullSafe(again["again_id"]), "left_semi")
-    once = rest.join(again, rest["doc_id"].eqNullSafe(again["again_id"]), "left_anti")
-    return once.unionByName(twice.dropDuplicates(["doc_id"]))
+    judged = _judged(docs, **options)
+    gone = judged.where(~F.col("kept")).select(F.col("doc_id").alias("gone_id"), F.col("key").alias("gone_key")).distinct()
+    rest = docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]) & (F.xxhash64(docs["text"]) == gone["gone_key"]), "left_anti")
+    stays = judged.where("kept and n_shingles > 0").select("doc_id", "key", "component")
+    again = stays.groupBy("component").count().where("count > 1").select("component")
+    again = stays.join(again, "component").select(F.col("doc_id").alias("again_id"), F.col("key").alias("again_key"), F.col("component").alias("again_component")).distinct()
+    same = rest["doc_id"].eqNullSafe(again["again_id"]) & (F.xxhash64(rest["text"]) == again["again_key"])
+    once = rest.join(again, same, "left_anti")
+    twice = rest.join(again, same).dropDuplicates(["again_component"]).select(*docs.columns)
+    return once.unionByName(twice)
 
 
 def op6_near_duplicates(spark, sf_dir) -> DataFrame:
