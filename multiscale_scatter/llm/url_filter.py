@@ -6,7 +6,7 @@ aliases: connected components over those edges.  A url without a rule is blocked
 blocked url and none that a rule allows explicitly; else it is allowed.
 
 Edges come from a page's canonical link and its refresh address, and from `redirects(source, target)` if
-given.  Urls are compared without scheme, fragment, letter case of the host, and a slash at the end.
+given.  A target without a scheme is meant relative to its page's address.  Urls are compared without scheme, fragment, letter case of the host, and a slash at the end.
 
 Defined cases: a null url, or one without "://", has an empty host and path, fits no rule and is an alias
 of nothing; a null page has no edges; repeated rows give a row each; an empty table gives an empty
@@ -74,19 +74,41 @@ def address(url: Column) -> Column:
     return F.when(url.contains("://"), F.concat(host_of(url), rest))
 
 
+def resolved(source: Column, target: Column) -> Column:
+    """The url that target means on the page source; a target with a scheme of its own stays as it is."""
+    site = F.regexp_extract(source, r"(?s)^(.*?://[^/?#]*)", 1)
+    path, query = path_of(source), F.regexp_extract(source, r"(?s)^.*?://[^?#]*(\?[^#]*)", 1)
+    own, rest = F.regexp_extract(target, r"(?s)^([^?#]*)", 1), F.regexp_extract(target, r"(?s)^[^?#]*(.*)", 1)
+    # beside the page: its path up to the last slash, then the target's without steps "." and ".."
+    steps = F.split(F.concat(F.regexp_extract(path, r"(?s)^/(.*/)?", 1), own), "/", -1)
+    steps = F.when(F.element_at(steps, -1).isin(".", ".."), F.concat(steps, F.array(F.lit("")))).otherwise(steps)
+    walked = F.aggregate(
+        steps,
+        F.array().cast("array<string>"),
+        lambda done, s: F.when(s == ".", done).when(s == "..", F.slice(done, F.lit(1), F.greatest(F.size(done) - 1, F.lit(0)))).otherwise(F.concat(done, F.array(s))),
+    )
+    beside = F.concat(site, F.lit("/"), F.array_join(walked, "/"), rest)
+    return (
+        F.when(target.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*:"), target)
+        .when(target.startswith("//"), F.concat(F.lit("http:"), target))
+        .when(target.startswith("/"), F.concat(site, target))
+        .when(target.startswith("?"), F.concat(site, path, target))
+        .when(target.startswith("#"), F.concat(site, path, query, target))
+        .otherwise(beside)
+    )
+
+
 def page_links(pages: DataFrame) -> DataFrame:
     """(source, target) urls from canonical links and refresh directions."""
     tag = r"(?is)<link\b[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"
     refresh = r"(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b[^>]*>"
-    with_tags = pages.where(F.col("html").contains("canonical") | F.col("html").contains("efresh") | F.col("html").contains("EFRESH") | F.col("html").contains("ANONICAL"))
+    small = F.lower("html")
+    with_tags = pages.where(small.contains("canonical") | small.contains("refresh"))
     canonical = F.regexp_extract(F.regexp_extract("html", tag, 0), r"(?is)\bhref\s*=\s*[\"']?([^\"'\s>]+)", 1)
     moved = F.regexp_extract(F.regexp_extract("html", refresh, 0), r"(?is)\burl\s*=\s*[\"']?([^\"'\s>]+)", 1)
     target = F.explode(F.array(canonical, moved))
     found = with_tags.select(F.col("url").alias("source"), target.alias("target")).where("target != ''")
-    # addresses within the site take its scheme and host
-    site = F.regexp_extract("source", r"(?s)^(.*?://[^/?#]*)", 1)
-    whole = F.when(F.col("target").startswith("//"), F.concat(F.lit("http:"), F.col("target"))).when(F.col("target").startswith("/"), F.concat(site, F.col("target")))
-    return found.select("source", whole.otherwise(F.col("target")).alias("target"))
+    return found.select("source", resolved(F.col("source"), F.col("target")).alias("target"))
 
 
 def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] = RULES, redirects: DataFrame | None = None) -> DataFrame:
