@@ -1,15 +1,19 @@
 """Cluster statistics, payloads, measures and baselines, on clusters that SQL can form too.
 
-Where a set of visible marks is needed, it is the nested sample by id: on level i the objects whose id is
-a multiple of 4^(6 - i).  Clusters are the cells of a grid.
+Where SQL needs a set of visible marks, it is the nested sample by id: on level i the objects whose id is
+a multiple of 4^(6 - i).  Clusters are the cells of a grid.  The queries layout_* measure the marks of all
+levels of a layout of the whole table; SQL has no such marks, so tests hold them against brute force.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..operators import baselines, kde, marks, measures
+from ..operators import layout as L
 from ..operators.rollup import hull_area, hull_of, variance_of
 from ..sources.fixtures import CUSTOMER, EVENTS, LINEITEM, ORDERS, PIE, SUPPLIER, table
 
@@ -235,13 +239,52 @@ def mark_bbox(spark, d):
     return SUPPLIER.pixels(spark, d, 1).select("obj_id", box.alias("b")).select("obj_id", *(F.round(f"b.{c}", 6).alias(c) for c in ("x0", "y0", "x1", "y1")))
 
 
+def _laid_out(spark, d, fixture):
+    return L.layout_distributed(fixture.objects(spark, d), fixture.plan(mem_cap=2000))
+
+
+def layout_overlap(spark, d):
+    layout = _laid_out(spark, d, ORDERS)
+    return measures.overlap_violations(layout.marks(), *layout.plan.box, layout.plan.theta)
+
+
+def layout_viewport_density(spark, d):
+    return measures.viewport_density(_laid_out(spark, d, SUPPLIER).marks(), 1000.0, 1000.0)
+
+
+def layout_zoom_consistency(spark, d):
+    layout = _laid_out(spark, d, ORDERS)
+    return measures.zoom_violations(layout.visible(), layout.plan.levels)
+
+
+def layout_fullness(spark, d):
+    layout = _laid_out(spark, d, ORDERS)
+    return measures.fullness(layout.marks(), layout.plan)
+
+
+def layout_importance(spark, d):
+    layout = _laid_out(spark, d, ORDERS)
+    return measures.importance_by_level(layout.visible(), layout.objects)
+
+
+def layout_variation(spark, d):
+    """Mean distance of objects from the mark that stands for them, on every level."""
+    layout = _laid_out(spark, d, ORDERS)
+    return reduce(lambda a, b: a.unionByName(b), (measures.within_cluster_variation(layout, level) for level in range(1, layout.plan.levels + 1)))
+
+
+def layout_object_level(spark, d):
+    return marks.find_object(_laid_out(spark, d, ORDERS).marks(), 64)
+
+
 QUERIES = {
     f.__name__: f
     for f in (
         agg_measures, agg_by_dimension, hover_topk, hover_bbox, hover_details, hull_area_cells, hull_corners, agg_derived_var, rep_by_struct, overlap_violations, viewport_density,
         zoom_consistency, fullness, importance_by_level, within_cluster_variation, mass_conservation, p95_nearest_rank, provisioning, circle_marks, heatmap_kde, heatmap_raw,
         contour_bands, contour_cells, contour_segments, radar_axes, pie_slices, text_marks, find_object_level, xy_correlation, binned_aggregate, sampled_points, jittered_points,
-        cell_topk, tile_pyramid, opacity_marks, mark_bbox,
+        cell_topk, tile_pyramid, opacity_marks, mark_bbox, layout_overlap, layout_viewport_density, layout_zoom_consistency, layout_fullness, layout_importance, layout_variation,
+        layout_object_level,
     )
 }
 
