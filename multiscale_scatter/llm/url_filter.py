@@ -5,8 +5,12 @@ rule that fits a url decides.  Urls that redirect to each other, or name the sam
 aliases: connected components over those edges.  A url without a rule is blocked if its component holds a
 blocked url and none that a rule allows explicitly; else it is allowed.
 
-Edges come from a page's canonical link and its refresh address, and from `redirects(source, target)` if
-given.  A target without a scheme is meant relative to its page's address.  Urls are compared without scheme, fragment, letter case of the host, and a slash at the end.
+Edges come from all canonical links and refresh directions of a page that stand neither in a comment nor in
+a script, and from `redirects(source, target)` if given.  A target without a scheme is meant relative to its
+page's base, which is its url unless a base tag says otherwise; character references in it are decoded.  Urls
+are compared without scheme, fragment, letter case of the host, and a slash at the path's end.
+
+Rules are an expression of the plan while they are few; more of them, or a table of rules, are joined by host.
 
 Defined cases: a null url, or one without "://", has an empty host and path, fits no rule and is an alias
 of nothing; a null page has no edges; repeated rows give a row each; an empty table gives an empty
@@ -23,8 +27,8 @@ from pyspark.sql import functions as F
 from .shared import components, materialize
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Rules are an expression of the plan; more of them than this are refused.
-MAX_RULES = 500
+#: More rules than this are joined as a table; the results are the same.
+MAX_INLINE = 200
 
 
 @dataclass(frozen=True)
@@ -57,8 +61,6 @@ def path_of(url: Column) -> Column:
 
 def matched_rule(host: Column, path: Column, rules: tuple[Rule, ...] = RULES) -> tuple[Column, Column]:
     """(text, verdict) of the longest rule that fits, nulls if none does; of equally long ones, allow first."""
-    if len(rules) > MAX_RULES:
-        raise ValueError(f"more than {MAX_RULES} rules")
     text = verdict = None
     for rule in sorted(rules, key=lambda r: (-len(r.text), r.verdict, r.text)):
         fits = ((host == rule.host) | host.endswith("." + rule.host)) & path.startswith(rule.path)
@@ -68,16 +70,56 @@ def matched_rule(host: Column, path: Column, rules: tuple[Rule, ...] = RULES) ->
     return (null, null) if text is None else (text, verdict)
 
 
+def with_rules(rows: DataFrame, rules: tuple[Rule, ...] | DataFrame) -> DataFrame:
+    """rows(host, path, ...) with rule and own, the text and the verdict of the rule that fits; rules: or a table (text, verdict)."""
+    if not isinstance(rules, DataFrame):
+        if len(rules) <= MAX_INLINE:
+            text, verdict = matched_rule(F.col("host"), F.col("path"), rules)
+            return rows.withColumn("rule", text).withColumn("own", verdict)
+        rules = rows.sparkSession.createDataFrame([(r.text, r.verdict) for r in rules], "text string, verdict string")
+    cut = F.split("text", "/", 2)
+    table = rules.select(cut[0].alias("at_host"), F.concat(F.lit("/"), F.coalesce(F.get(cut, F.lit(1)), F.lit(""))).alias("at_path"), "text", "verdict")
+    names = rows.select("host", "path").distinct()
+    labels = F.split("host", r"\.")
+    above = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda k: F.array_join(F.slice(labels, k, F.size(labels)), "."))
+    met = names.select("host", "path", F.explode(above).alias("at_host")).join(table, "at_host").where(F.col("path").startswith(F.col("at_path")))
+    best = met.groupBy("host", "path").agg(F.min(F.struct(-F.length("text"), "verdict", "text")).alias("best"))
+    best = best.select("host", "path", F.col("best.text").alias("rule"), F.col("best.verdict").alias("own"))
+    return rows.join(best, ["host", "path"], "left")
+
+
+def query_of(url: Column) -> Column:
+    return F.coalesce(F.regexp_extract(url, r"(?s)^.*?://[^?#]*(\?[^#]*)", 1), F.lit(""))
+
+
 def address(url: Column) -> Column:
     """What two spellings of a url share; null without "://"."""
-    rest = F.regexp_replace(F.regexp_extract(url, r"(?s)^.*?://[^/?#]*([^#]*)", 1), r"/(?=\?|$)", "")
-    return F.when(url.contains("://"), F.concat(host_of(url), rest))
+    return F.when(url.contains("://"), F.concat(host_of(url), F.regexp_replace(path_of(url), r"/\z", ""), query_of(url)))
+
+
+# Character references that addresses have, the ampersand's last.
+REFERENCES = (("&quot;", '"'), ("&#34;", '"'), ("&apos;", "'"), ("&#39;", "'"), ("&lt;", "<"), ("&gt;", ">"), ("&#47;", "/"), ("&#x2F;", "/"), ("&#38;", "&"), ("&#x26;", "&"), ("&amp;", "&"))
+# What holds no tags, the tags, and their addresses, in quotes of either kind or in none.
+UNSEEN = r"(?is)<!--.*?-->|<script\b.*?</script\s*>"
+CANONICAL = r"""(?is)<link\b[^>]*[\s"']rel\s*=\s*(?:"[^">]*\bcanonical\b[^">]*"|'[^'>]*\bcanonical\b[^'>]*'|canonical\b)[^>]*>"""
+REFRESH = r"""(?is)<meta\b[^>]*[\s"']http-equiv\s*=\s*["']?\s*refresh\b[^>]*>"""
+BASE = r"""(?is)<base\b[^>]*[\s"']href\s*=[^>]*>"""
+HREF = r"""(?is)[\s"']href\s*=\s*(?:"\s*([^">]*?)\s*"|'\s*([^'>]*?)\s*'|([^\s"'>]+))"""
+MOVED = r"""(?is)\burl\s*=\s*(?:"\s*([^">]*?)\s*"|'\s*([^'>]*?)\s*'|([^\s"'>]+))"""
+
+
+def _value(tag: Column, pattern: str) -> Column:
+    """The address in a tag, decoded; empty without one."""
+    out = F.concat(*(F.regexp_extract(tag, pattern, k) for k in (1, 2, 3)))
+    for name, char in REFERENCES:
+        out = F.replace(out, F.lit(name), F.lit(char))
+    return out
 
 
 def resolved(source: Column, target: Column) -> Column:
     """The url that target means on the page source; a target with a scheme of its own stays as it is."""
     site = F.regexp_extract(source, r"(?s)^(.*?://[^/?#]*)", 1)
-    path, query = path_of(source), F.regexp_extract(source, r"(?s)^.*?://[^?#]*(\?[^#]*)", 1)
+    path, query = path_of(source), query_of(source)
     own, rest = F.regexp_extract(target, r"(?s)^([^?#]*)", 1), F.regexp_extract(target, r"(?s)^[^?#]*(.*)", 1)
     # beside the page: its path up to the last slash, then the target's without steps "." and ".."
     steps = F.split(F.concat(F.regexp_extract(path, r"(?s)^/(.*/)?", 1), own), "/", -1)
@@ -100,43 +142,46 @@ def resolved(source: Column, target: Column) -> Column:
 
 def page_links(pages: DataFrame) -> DataFrame:
     """(source, target) urls from canonical links and refresh directions."""
-    tag = r"(?is)<link\b[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"
-    refresh = r"(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b[^>]*>"
     small = F.lower("html")
-    with_tags = pages.where(small.contains("canonical") | small.contains("refresh"))
-    canonical = F.regexp_extract(F.regexp_extract("html", tag, 0), r"(?is)\bhref\s*=\s*[\"']?([^\"'\s>]+)", 1)
-    moved = F.regexp_extract(F.regexp_extract("html", refresh, 0), r"(?is)\burl\s*=\s*[\"']?([^\"'\s>]+)", 1)
-    target = F.explode(F.array(canonical, moved))
-    found = with_tags.select(F.col("url").alias("source"), target.alias("target")).where("target != ''")
-    return found.select("source", resolved(F.col("source"), F.col("target")).alias("target"))
+    marked = pages.where(small.contains("canonical") | small.contains("refresh"))
+    shown = marked.select(F.col("url").alias("source"), F.regexp_replace("html", UNSEEN, "").alias("html"))
+    tags = F.concat(
+        F.transform(F.regexp_extract_all("html", F.lit(CANONICAL), F.lit(0)), lambda tag: _value(tag, HREF)),
+        F.transform(F.regexp_extract_all("html", F.lit(REFRESH), F.lit(0)), lambda tag: _value(tag, MOVED)),
+    )
+    base = _value(F.regexp_extract("html", BASE, 0), HREF)
+    found = shown.select("source", base.alias("base"), F.explode(F.array_distinct(tags)).alias("target")).where("target != ''")
+    beside = F.when(F.col("base") == "", F.col("source")).otherwise(resolved(F.col("source"), F.col("base")))
+    return found.select("source", beside.alias("base"), "target").select("source", resolved(F.col("base"), F.col("target")).alias("target"))
 
 
-def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] = RULES, redirects: DataFrame | None = None) -> DataFrame:
-    """For each row of pages(page_id, url, html): page_id, url, host, path, rule, own verdict, verdict."""
+def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] | DataFrame = RULES, redirects: DataFrame | None = None) -> DataFrame:
+    """For each row of pages(page_id, url, html): page_id, url, host, path, rule, alias (its component), verdict."""
     links = page_links(pages)
     if redirects is not None:
         links = links.unionByName(redirects.select("source", "target"))
     links = materialize(links.where("source is not null and target is not null"), "links")
     named = links.select(address(F.col("source")).alias("a"), address(F.col("target")).alias("b"))
     alias = components(named.where("a is not null and b is not null"))
+    host, path = host_of(F.col("url")), path_of(F.col("url"))
+    rows = pages.select("page_id", "url").withColumn("host", host).withColumn("path", path)
+    rows = with_rules(rows, rules).withColumn("node", address(F.col("url")))
     # an alias's own rule counts whether the page is in the table or not
-    ends = links.select("source").unionByName(links.select(F.col("target").alias("source"))).distinct()
-    _, end_verdict = matched_rule(host_of(F.col("source")), path_of(F.col("source")), rules)
-    known = ends.select(address(F.col("source")).alias("node"), end_verdict.alias("verdict")).where("node is not null")
-    at_page = pages.select(address(F.col("url")).alias("node"), matched_rule(host_of(F.col("url")), path_of(F.col("url")), rules)[1].alias("verdict"))
-    known = known.unionByName(at_page.where("node is not null")).where("verdict is not null").groupBy("node").agg(
-        F.bool_or(F.col("verdict") == "block").alias("block"), F.bool_or(F.col("verdict") == "allow").alias("allow")
-    )
+    ends = links.select(F.col("source").alias("url")).unionByName(links.select(F.col("target").alias("url"))).distinct()
+    ends = with_rules(ends.withColumn("host", host).withColumn("path", path), rules).withColumn("node", address(F.col("url")))
+    known = ends.select("node", "own").unionByName(rows.select("node", "own")).where("node is not null and own is not null")
+    known = known.groupBy("node").agg(F.bool_or(F.col("own") == "block").alias("block"), F.bool_or(F.col("own") == "allow").alias("allow"))
     sides = alias.join(known, "node").groupBy("component").agg(F.bool_or("block").alias("block"), F.bool_or("allow").alias("allow"))
-    blocked = alias.join(sides.where("block and not allow").select("component"), "component").select(F.col("node").alias("blocked_node"))
-    blocked = materialize(blocked, "blocked")
-    host, path = host_of(F.col("url")), path_of(F.col("url"))
-    text, verdict = matched_rule(F.col("host"), F.col("path"), rules)
-    rows = pages.select("page_id", "url").select("page_id", "url", host.alias("host"), path.alias("path"), address(F.col("url")).alias("node"))
-    rows = rows.withColumn("rule", text).withColumn("own", verdict)
-    return rows.join(blocked, rows["node"] == blocked["blocked_node"], "left").select(
-        "page_id", "url", "host", "path", "rule",
-        F.coalesce("own", F.when(F.col("blocked_node").isNotNull(), "block"), F.lit("allow")).alias("verdict"),
+    # one row per url that is linked at all: its component, and whether that is blocked
+    judged = materialize(
+        alias.join(sides, "component", "left").select(
+            F.col("node").alias("alias_node"), F.col("component").alias("alias"), F.coalesce(F.col("block") & ~F.col("allow"), F.lit(False)).alias("blocked")
+        ),
+        "aliases",
+    )
+    return rows.join(judged, rows["node"] == judged["alias_node"], "left").select(
+        "page_id", "url", "host", "path", "rule", "alias",
+        F.coalesce("own", F.when(F.col("blocked"), "block"), F.lit("allow")).alias("verdict"),
     )
 
 
@@ -144,47 +189,63 @@ def op5_url_filter(spark, sf_dir) -> DataFrame:
     return judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet")).drop("url")
 
 
-_OP5_ADDRESS = r"""CASE WHEN contains({u}, '://') THEN
-  translate(regexp_extract({u}, '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')
-  || regexp_replace(regexp_extract({u}, '(?s)^.*?://[^/?#]*([^#]*)', 1), '/($|\?)', '\1') END"""
-_OP5_RULE = r"""CASE WHEN (h = 'example.net' OR ends_with(h, '.example.net')) AND starts_with(p, '/en/') THEN 'example.net/en/'
-  WHEN (h = 'example.com' OR ends_with(h, '.example.com')) AND starts_with(p, '/de/') THEN 'example.com/de/'
-  WHEN (h = 'org' OR ends_with(h, '.org')) AND starts_with(p, '/fr/') THEN 'org/fr/'
-  WHEN (h = 'net' OR ends_with(h, '.net')) AND starts_with(p, '/') THEN 'net/' END"""
-OP5_SQL = rf"""
-WITH RECURSIVE parts AS (
-  SELECT page_id, url, coalesce(html, '') AS html,
-         translate(coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS h,
-         coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') AS p
-  FROM pages),
-ruled AS (SELECT *, {_OP5_RULE} AS rule, {_OP5_ADDRESS.format(u="url")} AS node FROM parts),
+def _sql_text(s: str) -> str:
+    return "'" + s.replace("'", "''") + "'"
+
+
+def oracle_sql(rules: tuple[Rule, ...] = RULES) -> str:
+    """judge_urls in DuckDB's SQL."""
+    site = "regexp_extract({u}, '(?s)^(.*?://[^/?#]*)', 1)"
+    host = f"translate(coalesce(regexp_extract({{u}}, '(?s)^.*?://([^/?#]*)', 1), ''), '{UPPER}', '{LOWER}')"
+    path = "coalesce(regexp_extract({u}, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '')"
+    query = r"coalesce(regexp_extract({u}, '(?s)^.*?://[^?#]*(\?[^#]*)', 1), '')"
+    node = rf"CASE WHEN contains({{u}}, '://') THEN {host} || regexp_replace({path}, '/\z', '') || {query} END"
+    best = sorted(rules, key=lambda r: (-len(r.text), r.verdict, r.text))
+    fits = lambda r: f"(h = {_sql_text(r.host)} OR ends_with(h, {_sql_text('.' + r.host)})) AND starts_with(p, {_sql_text(r.path)})"
+    ruled = "CASE " + " ".join(f"WHEN {fits(r)} THEN {_sql_text(r.text)}" for r in best) + " END"
+    side = lambda verdict: ", ".join(_sql_text(r.text) for r in rules if r.verdict == verdict)
+
+    def value(tag: str, pattern: str) -> str:
+        out = " || ".join(f"regexp_extract({tag}, {_sql_text(pattern)}, {k})" for k in (1, 2, 3))
+        for name, char in REFERENCES:
+            out = f"replace({out}, {_sql_text(name)}, {_sql_text(char)})"
+        return out
+
+    def meant(u: str, t: str) -> str:
+        own, rest = f"regexp_extract({t}, '(?s)^([^?#]*)', 1)", f"regexp_extract({t}, '(?s)^[^?#]*(.*)', 1)"
+        steps = f"string_split(regexp_extract({path.format(u=u)}, '(?s)^/(.*/)?', 1) || {own}, '/')"
+        steps = f"CASE WHEN {steps}[-1] IN ('.', '..') THEN list_append({steps}, '') ELSE {steps} END"
+        walked = f"""list_reduce(list_concat([CAST([] AS VARCHAR[])], list_transform({steps}, lambda s: [s])),
+          lambda done, s: CASE WHEN s[1] = '.' THEN done WHEN s[1] = '..' THEN done[1:len(done) - 1] ELSE list_concat(done, s) END)"""
+        return rf"""CASE WHEN regexp_matches({t}, '^[A-Za-z][A-Za-z0-9+.-]*:') THEN {t} WHEN starts_with({t}, '//') THEN 'http:' || {t}
+      WHEN starts_with({t}, '/') THEN {site.format(u=u)} || {t} WHEN starts_with({t}, '?') THEN {site.format(u=u)} || {path.format(u=u)} || {t}
+      WHEN starts_with({t}, '#') THEN {site.format(u=u)} || {path.format(u=u)} || {query.format(u=u)} || {t}
+      ELSE {site.format(u=u)} || '/' || coalesce(array_to_string({walked}, '/'), '') || {rest} END"""
+
+    return f"""
+WITH RECURSIVE parts AS (SELECT page_id, url, coalesce(html, '') AS html, {host.format(u="url")} AS h, {path.format(u="url")} AS p FROM pages),
+ruled AS (SELECT *, {ruled} AS rule, {node.format(u="url")} AS node FROM parts),
+shown AS (SELECT url, regexp_replace(html, {_sql_text(UNSEEN)}, '', 'g') AS html FROM parts WHERE url IS NOT NULL AND (html ILIKE '%canonical%' OR html ILIKE '%refresh%')),
 tags AS (
-  SELECT url AS source, unnest([
-    regexp_extract(regexp_extract(html, '(?is)<link\b[^>]*\brel\s*=\s*["'']?canonical\b[^>]*>', 0), '(?is)\bhref\s*=\s*["'']?([^"''\s>]+)', 1),
-    regexp_extract(regexp_extract(html, '(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*["'']?refresh\b[^>]*>', 0), '(?is)\burl\s*=\s*["'']?([^"''\s>]+)', 1)]) AS target
-  FROM parts WHERE url IS NOT NULL),
-links AS (
-  SELECT source, CASE WHEN starts_with(target, '//') THEN 'http:' || target
-    WHEN starts_with(target, '/') THEN regexp_extract(source, '(?s)^(.*?://[^/?#]*)', 1) || target ELSE target END AS target
-  FROM tags WHERE target <> ''),
-ends AS (SELECT source AS url FROM links UNION SELECT target FROM links),
-end_parts AS (
-  SELECT url, translate(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS h,
-         regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS p FROM ends),
-known AS (
-  SELECT node, rule FROM ruled WHERE node IS NOT NULL AND rule IS NOT NULL
-  UNION SELECT {_OP5_ADDRESS.format(u="url")}, {_OP5_RULE} FROM end_parts),
+  SELECT url, base, unnest(list_distinct(list_concat(list_transform(canon, lambda c: {value("c", HREF)}), list_transform(fresh, lambda c: {value("c", MOVED)})))) AS target
+  FROM (SELECT url, {value(f"regexp_extract(html, {_sql_text(BASE)}, 0)", HREF)} AS base,
+               regexp_extract_all(html, {_sql_text(CANONICAL)}) AS canon, regexp_extract_all(html, {_sql_text(REFRESH)}) AS fresh FROM shown)),
+beside AS (SELECT url, CASE WHEN base = '' THEN url ELSE {meant("url", "base")} END AS base, target FROM tags WHERE target <> ''),
+links AS (SELECT url AS source, {meant("base", "target")} AS target FROM beside),
+ends AS (SELECT url, {host.format(u="url")} AS h, {path.format(u="url")} AS p FROM (SELECT source AS url FROM links UNION SELECT target FROM links)),
+known AS (SELECT node, rule FROM ruled WHERE rule IS NOT NULL UNION SELECT {node.format(u="url")}, {ruled} FROM ends),
 sides AS (
-  SELECT node, bool_or(rule IN ('net/', 'example.com/de/')) AS block, bool_or(rule IN ('example.net/en/', 'org/fr/')) AS allow
+  SELECT node, bool_or(rule IN ({side("block")})) AS block, bool_or(rule IN ({side("allow")})) AS allow
   FROM known WHERE node IS NOT NULL AND rule IS NOT NULL GROUP BY node),
-edges AS (
-  SELECT {_OP5_ADDRESS.format(u="source")} AS a, {_OP5_ADDRESS.format(u="target")} AS b FROM links),
+edges AS (SELECT {node.format(u="source")} AS a, {node.format(u="target")} AS b FROM links),
 both_ways AS (SELECT a, b FROM edges WHERE a <> b UNION SELECT b, a FROM edges WHERE a <> b),
 reach(a, b) AS (SELECT a, b FROM both_ways UNION SELECT r.a, e.b FROM reach r JOIN both_ways e ON r.b = e.a),
 near AS (SELECT a, b FROM reach UNION SELECT a, a FROM both_ways),
-blocked AS (SELECT near.a FROM near JOIN sides ON near.b = sides.node GROUP BY near.a HAVING bool_or(block) AND NOT bool_or(allow))
-SELECT page_id, h AS host, p AS path, rule,
-       CASE WHEN rule IN ('net/', 'example.com/de/') THEN 'block' WHEN rule IS NOT NULL THEN 'allow'
-            WHEN node IN (SELECT a FROM blocked) THEN 'block' ELSE 'allow' END AS verdict
-FROM ruled
+alias AS (SELECT near.a AS node, min(near.b) AS alias, bool_or(block) AND NOT bool_or(allow) AS blocked FROM near LEFT JOIN sides ON near.b = sides.node GROUP BY near.a)
+SELECT page_id, h AS host, p AS path, rule, alias.alias AS alias,
+       CASE WHEN rule IN ({side("block")}) THEN 'block' WHEN rule IS NOT NULL THEN 'allow' WHEN alias.blocked THEN 'block' ELSE 'allow' END AS verdict
+FROM ruled LEFT JOIN alias ON ruled.node = alias.node
 """
+
+
+OP5_SQL = oracle_sql()
