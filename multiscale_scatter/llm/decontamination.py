@@ -13,8 +13,13 @@ An item that is found is then verified on the whole document: the three-word run
 its answer, must occur there.  The answer is what follows an "answer:" mark, else the last sentence, else
 the last third of the words.
 
-The index is sent to every task.  A benchmark of more than `SLICE_BYTES` of text is searched slice by
-slice, each with statistics of its own.
+The index is sent to every task.  A benchmark of more than `SLICE_BYTES` of text is searched slice by slice;
+document frequencies, the number of units and their mean length are those of the whole benchmark, counted
+before, so scores and pairs don't depend on how many slices there are.
+
+The walk over postings is not WAND's: the lists of a passage aren't advanced to a pivot, but all units that
+meet one of their essential terms are taken, then blocks and units as above.  The bounds (a term's greatest
+impact, a block's) are the same, nothing above the threshold is lost, and whole batches go through numpy.
 
 Defined cases: null or empty texts and items match nothing; repeated rows match each; null ids are kept;
 empty tables give an empty result; further columns are ignored by the search and kept by the filter.
@@ -92,14 +97,27 @@ class Index:
     threshold: float
 
 
-def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[int, int] | None = None) -> Index:
-    """items: (item_id, text); usage: how often documents use a term, by its hash."""
+def _units(text: str) -> list[np.ndarray]:
+    """The words of each unit of an item's text, which is in lower case."""
+    words = _words(text)
+    return np.array_split(words, -(-len(words) // UNIT_WORDS)) if len(words) else []
+
+
+@dataclass
+class Statistics:
+    """Of all units of a benchmark: how many, their mean length, and in how many a term occurs, by its hash."""
+
+    n_units: int
+    mean: float
+    frequency: dict[int, int]
+
+
+def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[int, int] | None = None, statistics: Statistics | None = None) -> Index:
+    """items: (item_id, text); usage: how often documents use a term, by its hash; statistics: of the benchmark, if items are a part of it."""
     items = [(i, pc.utf8_lower(t).as_py()) for i, t in items if t and re.search(r"[^\W_]", t)]
     units, owner = [], []
     for k, (_, text) in enumerate(items):
-        raw = np.frombuffer(text.encode(), np.uint8)
-        words, _ = hashed_words(raw, np.array([0, len(raw)]))
-        for part in np.array_split(words, -(-len(words) // UNIT_WORDS)):
+        for part in _units(text):
             units.append(part)
             owner.append(k)
     lengths = np.array([len(u) for u in units], np.float64)
@@ -108,8 +126,11 @@ def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[in
     word = np.concatenate([c[0] for c in counts]) if units else np.zeros(0, np.uint64)
     tf = np.concatenate([c[1] for c in counts]).astype(np.float64) if units else np.zeros(0)
     terms, term, df = np.unique(word, return_inverse=True, return_counts=True)
-    idf = np.log(1 + (len(units) - df + 0.5) / (df + 0.5))
-    mean = lengths.mean() if len(units) else 1.0
+    n_units, mean = len(units), lengths.mean() if len(units) else 1.0
+    if statistics is not None:
+        n_units, mean = statistics.n_units, statistics.mean
+        df = np.array([statistics.frequency[int(t)] for t in terms], np.int64)
+    idf = np.log(1 + (n_units - df + 0.5) / (df + 0.5))
     score = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * lengths[unit] / mean))
     impact = score / np.bincount(unit, score, len(units))[unit] if len(units) else score
     # the terms used most that together stay below the threshold are not essential; without usage, the weakest
@@ -232,25 +253,55 @@ def _usage(terms: np.ndarray):
     return run
 
 
-def retrieve(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+def _unit_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(term, units that hold it, -) of items, and for each batch one row without a term: (-, units, words)."""
+    for batch in batches:
+        frequency: dict[int, int] = {}
+        n_units = n_words = 0
+        for text in pc.utf8_lower(batch.column("text")).to_pylist():
+            for unit in _units(text) if text else []:
+                n_units, n_words = n_units + 1, n_words + len(unit)
+                for t in np.unique(unit).view(np.int64).tolist():
+                    frequency[t] = frequency.get(t, 0) + 1
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([None, *frequency], pa.int64()), pa.array([n_units, *frequency.values()], pa.int64()), pa.array([n_words] + [0] * len(frequency), pa.int64())],
+            names=["term", "units", "words"],
+        )
+
+
+def _statistics(part: DataFrame, whole: DataFrame) -> Statistics:
+    """The benchmark's statistics as far as a slice's terms need them; whole: (term, units, words) of all items."""
+    total = whole.where("term is null").agg(F.sum("units"), F.sum("words")).first()
+    mine = part.select("text").mapInArrow(_unit_terms, "term long, units long, words long").where("term is not null").select("term").distinct()
+    rows = whole.where("term is not null").join(mine, "term").select("term", "units").collect()
+    frequency = {r["term"] & 0xFFFFFFFFFFFFFFFF: r["units"] for r in rows}
+    return Statistics(total[0] or 0, (total[1] or 0) / max(total[0] or 0, 1), frequency)
+
+
+def retrieve(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, slice_bytes: int = SLICE_BYTES) -> DataFrame:
     """(doc_id, item_id, score, and the overlaps of question, answer and item) of all items above the threshold."""
-    return _retrieved(docs, items, threshold).drop("key")
+    return _retrieved(docs, items, threshold, slice_bytes).drop("key")
 
 
-def _retrieved(docs: DataFrame, items: DataFrame, threshold: float) -> DataFrame:
+def _retrieved(docs: DataFrame, items: DataFrame, threshold: float, slice_bytes: int = SLICE_BYTES) -> DataFrame:
     """retrieve with key, a hash of the document's text."""
     docs = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
     sized = items.select("item_id", "text", F.octet_length("text").alias("size")).where("size > 0")
     total = sized.agg(F.sum("size")).first()[0] or 0
-    n_slices = -(-total // SLICE_BYTES) or 1
+    n_slices = -(-total // slice_bytes) or 1
+    whole = None
+    if n_slices > 1:
+        whole = sized.select("text").mapInArrow(_unit_terms, "term long, units long, words long").groupBy("term").agg(F.sum("units").alias("units"), F.sum("words").alias("words"))
+        whole = materialize(whole, "item-terms")
     out = None
     for k in range(n_slices):
         part = sized if n_slices == 1 else sized.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n_slices)) == k)
         rows = sorted(((r["item_id"], r["text"]) for r in part.collect()), key=lambda r: (r[0] is None, r))
-        index = build_index(rows, threshold)
+        statistics = None if whole is None else _statistics(part, whole)
+        index = build_index(rows, threshold, statistics=statistics)
         if len(index.terms):
             used = docs.select("text").mapInArrow(_usage(index.terms), "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
-            index = build_index(rows, threshold, {int(index.terms[r["term"]]): r["n"] for r in used})
+            index = build_index(rows, threshold, {int(index.terms[r["term"]]): r["n"] for r in used}, statistics)
         found = docs.mapInArrow(_search(index), "doc_id long, key long, item_id long, score double, question_overlap double, answer_overlap double, item_overlap double")
         out = found if out is None else out.unionByName(found)
     return out

@@ -16,6 +16,7 @@ task.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -29,6 +30,8 @@ from .shared import materialize, words_of
 
 WEIGHTS = (5, 2, 1)
 BLOCK_WORDS, SHARD_SLOTS, BUCKET_DOCS, MAX_SOURCES, SEED = 64, 4096, 4096, 100_000, 7
+#: What numpy draws from; more slots than this are drawn from the same law by `picked`.
+GENERATOR_LIMIT = 900_000_000
 
 
 @dataclass
@@ -88,13 +91,64 @@ def permuted(index: np.ndarray, size: np.ndarray, key: np.ndarray) -> np.ndarray
 
 def _halved(slots: np.ndarray, left: int, total: int, seed: tuple) -> np.ndarray:
     """How many of each source's slots fall into the first left of total places."""
-    if total > 900_000_000:  # beyond the generator's range; there the law is as good as its mean
-        exact = slots.astype(np.float64) * left / total
-        out = np.floor(exact).astype(np.int64)
-        short = left - int(out.sum())
-        out[np.argsort(-(exact - out), kind="stable")[:short]] += 1
-        return out
-    return np.random.Generator(np.random.PCG64(list(seed))).multivariate_hypergeometric(slots, left, method="marginals")
+    draw = np.random.Generator(np.random.PCG64(list(seed)))
+    if total < GENERATOR_LIMIT:
+        return draw.multivariate_hypergeometric(slots, left, method="marginals")
+    out, rest = np.zeros(len(slots), np.int64), total
+    for k, n in enumerate(slots.tolist()):  # source by source: what is left of the places, out of what is left of the slots
+        rest -= n
+        out[k] = picked(draw, n, rest, left - int(out.sum()))
+    return out
+
+
+def _deviance(x: float, mean: float) -> float:
+    """x log(x / mean) + mean - x without cancellation where the two are close."""
+    if abs(x - mean) >= 0.1 * (x + mean):
+        return x * math.log(x / mean) + mean - x
+    v = (x - mean) / (x + mean)
+    out, term, j = (x - mean) * v, 2 * x * v, 1
+    while True:
+        term *= v * v
+        more = out + term / (2 * j + 1)
+        if more == out:
+            return out
+        out, j = more, j + 1
+
+
+def _stirling_rest(n: float) -> float:
+    """log n! less Stirling's formula."""
+    if n < 16:
+        return math.lgamma(n + 1) - (n + 0.5) * math.log(n) + n - 0.5 * math.log(2 * math.pi)
+    return (1 / 12 - (1 / 360 - 1 / (1260 * n * n)) / (n * n)) / n
+
+
+def _log_binomial(k: int, n: int, p: float, q: float) -> float:
+    """log of the binomial law at k, by deviances: exact to rounding at any size."""
+    if k in (0, n):
+        return n * (math.log1p(-p) if p < 0.5 else math.log(q)) if k == 0 else n * (math.log1p(-q) if q < 0.5 else math.log(p))
+    rest = _stirling_rest(n) - _stirling_rest(k) - _stirling_rest(n - k) - _deviance(k, n * p) - _deviance(n - k, n * q)
+    return rest + 0.5 * (math.log(n) - math.log(2 * math.pi) - math.log(k) - math.log(n - k))
+
+
+def picked(draw: np.random.Generator, good: int, bad: int, sample: int) -> int:
+    """How many of a sample without replacement are good: the hypergeometric law for numbers of any size.
+
+    Ratio of uniforms under a hat for laws of this shape; a proposal is accepted by the law's own values.
+    """
+    total = good + bad
+    low, high = max(0, sample - bad), min(good, sample)
+    if low == high:
+        return low
+    p, q = sample / total, (total - sample) / total
+    value = lambda k: _log_binomial(k, good, p, q) + _log_binomial(sample - k, bad, p, q)
+    top = value((sample + 1) * (good + 1) // (total + 2))
+    mean = sample * good / total
+    width = 2 * math.sqrt(2 / math.e) * math.sqrt(mean * (bad / total) * q + 0.5) + 3 - 2 * math.sqrt(3 / math.e)
+    while True:
+        u, v = draw.random(2)
+        k = math.floor(mean + 0.5 + width * (v - 0.5) / u) if u else low - 1
+        if low <= k <= high and 2 * math.log(u) <= value(k) - top:
+            return k
 
 
 def shard_counts(slots: np.ndarray, shard: int, n_shards: int, width: int, seed: int) -> tuple[np.ndarray, np.ndarray]:

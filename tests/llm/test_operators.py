@@ -167,7 +167,7 @@ def test_search_equals_scoring_all():
     items = [(k, prose(k % 7, 25 + k % 5) + " " + prose(900 + k, 12)) for k in range(60)]
     index = decontamination.build_index(items, 0.4)
     texts = [prose(k % 7, 40) + " " + prose(900 + 2 * k, 12) for k in range(25)]
-    batch = pa.RecordBatch.from_arrays([pa.array(range(25), pa.int64()), pa.array(texts)], names=["doc_id", "text"])
+    batch = pa.RecordBatch.from_arrays([pa.array(range(25), pa.int64()), pa.array(range(25), pa.int64()), pa.array(texts)], names=["doc_id", "key", "text"])
     got = {(d, i): s for b in decontamination._search(index)(iter([batch])) for d, i, s in zip(*(b.column(c).to_pylist() for c in ("doc_id", "item_id", "score")))}
     want = {}
     for d, text in enumerate(texts):
