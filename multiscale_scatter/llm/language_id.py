@@ -1,25 +1,26 @@
 """Language identification with a linear-chain conditional random field over words.
 
 A word's potentials are sums of learned weights of hashed features: its prefixes and suffixes of one to
-three bytes, its byte bigrams and trigrams (mean over the word), and the word itself, for which the
-training vocabulary is the lexicon.  Transitions between the languages of neighbouring words are learned
-too.  A chain is a line of text, cut every `CHAIN` words.  Forward-backward gives each word's probability
+three bytes, its byte bigrams and trigrams (mean over the word), the word itself, and the lexicons that it
+stands in: a language's lexicon has the words that occur in two of its training texts at least; a word in none
+has a feature of its own.  The weights of a chain's first language and of the transitions between the languages
+of neighbouring words are learned too.  A chain is a line of text, cut every `CHAIN` words.  Forward-backward gives each word's probability
 of each language; a document's language has the largest mean probability, which is its score.
 
 Training uses at most `MAX_TRAINING_DOCS` labelled rows, those with the smallest hash of id and text, and
 of each at most `MAX_TRAINING_BYTES` bytes; chains are built from pieces of documents of different
 languages as well, so that transitions away from a language are seen.  Everything else covers all data.
 
-Defined cases: a null text, or one without letters, is `und` with score 0; repeated rows are scored alike;
+Defined cases: a null text, or one without letters (of any alphabet), is `und` with score 0; repeated rows are scored alike;
 a table without a usable label gives `und` throughout; an empty table gives an empty result; further
 columns are ignored.
 """
 
 from __future__ import annotations
 
-import re
+from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +41,9 @@ class Model:
     weights: np.ndarray  # features x labels
     transitions: np.ndarray  # from x to
     first: np.ndarray
+    words: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # hashes of the lexicons' words, sorted
+    known: np.ndarray | None = None  # words x labels: whose lexicon has the word
+    lexicon: np.ndarray | None = None  # (labels + 1) x labels: weights of standing in a lexicon, or in none
 
 
 def _slots(h: np.ndarray, kind: int) -> np.ndarray:
@@ -72,10 +76,26 @@ def _features(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np
     return np.stack(cols, axis=1), _slots(two, 11), _slots(three, 13)
 
 
-def potentials(weights: np.ndarray, raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+def lexicon_features(model: Model, raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """words x (labels + 1): whether a word is in each language's lexicon, and whether it is in none."""
+    n = len(model.labels)
+    out = np.zeros((len(starts), n + 1), np.float32)
+    if len(model.words) and len(starts):
+        h = textvec.span_hashes(raw, starts, ends)
+        at = np.minimum(np.searchsorted(model.words, h), len(model.words) - 1)
+        hit = model.words[at] == h
+        out[hit, :n] = model.known[at[hit]]
+    out[:, n] = ~out[:, :n].any(axis=1)
+    return out
+
+
+def potentials(model: Model, raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """words x labels."""
+    weights = model.weights
     words, two, three = _features(raw, starts, ends)
     out = np.zeros((len(starts), weights.shape[1]), np.float32)
+    if model.lexicon is not None:
+        out += lexicon_features(model, raw, starts, ends) @ model.lexicon.astype(np.float32)
     for c in range(words.shape[1]):
         out += weights[words[:, c]]
     size = (ends - starts)[:, None].astype(np.float32)
@@ -86,6 +106,18 @@ def potentials(weights: np.ndarray, raw: np.ndarray, starts: np.ndarray, ends: n
     return out
 
 
+def lexicons(texts: list[tuple[bytes, int]], n_labels: int) -> tuple[np.ndarray, np.ndarray]:
+    """(sorted word hashes, words x labels) of texts(bytes, label): the words that at least two texts of a label hold."""
+    seen: list[Counter] = [Counter() for _ in range(n_labels)]
+    for raw_text, label in texts:
+        raw = np.frombuffer(raw_text, np.uint8)
+        starts, ends, _ = textvec.word_bounds(raw, np.array([0, len(raw)]))
+        seen[label].update(np.unique(textvec.span_hashes(raw, starts, ends)).tolist())
+    kept = [np.array(sorted(w for w, k in c.items() if k >= 2), np.uint64) for c in seen]
+    words = np.unique(np.concatenate(kept))
+    return words, np.stack([np.isin(words, k) for k in kept], axis=1)
+
+
 def chains(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(starts, ends, row of each word, chain of each word, place in the chain): lines, cut every CHAIN words."""
     starts, ends, n = textvec.word_bounds(raw, at)
@@ -145,17 +177,21 @@ def train(rows: list[tuple[str, str]], epochs: int = EPOCHS, seed: int = 11) ->
     n = len(labels)
     rng = np.random.Generator(np.random.PCG64(seed))
     model = Model(labels, np.zeros((1 << SPACE_BITS, n), np.float32), np.zeros((n, n)), np.zeros(n))
+    cut = [(text.encode()[:MAX_TRAINING_BYTES].decode("utf-8", "ignore"), labels.index(lang)) for text, lang in rows]
+    model.words, model.known = lexicons([(text.encode(), y) for text, y in cut], n)
+    model.lexicon = np.zeros((n + 1, n))
     texts: list[list[tuple[bytes, int]]] = []
-    for text, lang in rows:
-        for line in text.encode()[:MAX_TRAINING_BYTES].decode("utf-8", "ignore").split("\n"):
+    for text, y in cut:
+        for line in text.split("\n"):
             if words := line.split():
-                texts.append([(w.encode(), labels.index(lang)) for w in words])
+                texts.append([(w.encode(), y) for w in words])
     mixed = []
     for k in rng.permutation(len(texts))[: len(texts) // 4]:  # lines of two languages run together
         other = texts[int(rng.integers(len(texts)))]
         mixed.append(texts[k][:12] + other[:12])
     texts += mixed
-    seen_w, seen_t = np.full_like(model.weights, 1e-6), np.full((n, n), 1e-6)
+    seen_w = np.full_like(model.weights, 1e-6)
+    seen = {"transitions": np.full((n, n), 1e-6), "first": np.full(n, 1e-6), "lexicon": np.full((n + 1, n), 1e-6)}
     for _ in range(epochs):
         order = rng.permutation(len(texts))
         for lo in range(0, len(order), 256):
@@ -163,7 +199,7 @@ def train(rows: list[tuple[str, str]], epochs: int = EPOCHS, seed: int = 11) ->
             raw = np.frombuffer(b"\n".join(b" ".join(w for w, _ in line) for line in lines), np.uint8)
             truth = np.array([y for line in lines for _, y in line])
             starts, ends, _, chain, place = chains(raw, np.array([0, len(raw)]))
-            p, moves = forward_backward(model, potentials(model.weights, raw, starts, ends), chain, place)
+            p, moves = forward_backward(model, potentials(model, raw, starts, ends), chain, place)
             want = np.zeros_like(p)
             want[np.arange(len(truth)), truth] = 1
             g = (want - p) / len(lines)
@@ -185,9 +221,15 @@ def train(rows: list[tuple[str, str]], epochs: int = EPOCHS, seed: int = 11) ->
             true_moves = np.zeros((n, n))
             same = chain[1:] == chain[:-1]
             np.add.at(true_moves, (truth[:-1][same], truth[1:][same]), 1)
-            gt = (true_moves - moves) / len(lines)
-            seen_t += gt * gt
-            model.transitions += 0.1 * gt / np.sqrt(seen_t)
+            begins = np.flatnonzero(place == 0)
+            steps = {
+                "transitions": (true_moves - moves) / len(lines),
+                "first": (np.bincount(truth[begins], minlength=n) - p[begins].sum(axis=0)) / len(lines),
+                "lexicon": lexicon_features(model, raw, starts, ends).T @ g,
+            }
+            for name, step in steps.items():
+                seen[name] += step * step
+                setattr(model, name, getattr(model, name) + 0.1 * step / np.sqrt(seen[name]))
     return model
 
 
@@ -195,7 +237,7 @@ def label_words(model: Model, text: str) -> list[tuple[str, str, float]]:
     """(word, language, probability) of each word of a text."""
     raw = np.frombuffer(text.encode(), np.uint8)
     starts, ends, _, chain, place = chains(raw, np.array([0, len(raw)]))
-    p, _ = forward_backward(model, potentials(model.weights, raw, starts, ends), chain, place)
+    p, _ = forward_backward(model, potentials(model, raw, starts, ends), chain, place)
     best = p.argmax(axis=1)
     return [(raw[a:b].tobytes().decode(), model.labels[k], float(q[k])) for a, b, k, q in zip(starts, ends, best, p, strict=True)]
 
@@ -208,11 +250,11 @@ def _predict(model: Model | None):
                 letters = np.diff(np.concatenate(([0], np.cumsum(_LETTER[raw])))[at]) > 0
                 for k in np.flatnonzero(~letters):
                     if (raw[at[k] : at[k + 1]] > 127).any():
-                        letters[k] = bool(re.search(r"[^\W\d_]", raw[at[k] : at[k + 1]].tobytes().decode("utf-8", "ignore")))
+                        letters[k] = any(map(str.isalpha, raw[at[k] : at[k + 1]].tobytes().decode("utf-8", "ignore")))
                 pred, score = np.full(rows, "und", object), np.zeros(rows)
                 if model is not None:
                     starts, ends, row, chain, place = chains(raw, at)
-                    p, _ = forward_backward(model, potentials(model.weights, raw, starts, ends), chain, place)
+                    p, _ = forward_backward(model, potentials(model, raw, starts, ends), chain, place)
                     total = np.stack([np.bincount(row, p[:, y], rows) for y in range(p.shape[1])], axis=1)
                     mean = total / np.maximum(np.bincount(row, minlength=rows), 1)[:, None]
                     best = mean.argmax(axis=1)
