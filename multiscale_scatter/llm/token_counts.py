@@ -6,49 +6,87 @@ prefix; the best segmentation of the prefix depends on nothing else, so its scor
 tokens are computed once from the nodes above it, however many pre-tokens share it.  The count is stored
 at the nodes where pre-tokens end.  A character that no piece covers falls back to its UTF-8 bytes.
 
-A piece's log probability follows from its place in the vocabulary by a shifted power law; the vocabulary
-itself is the public file, read on the driver and sent to the tasks.  Of equally likely segmentations the
-one with fewer tokens counts.
+The vocabulary is a public file, read on the driver and sent to the tasks; nothing in it is changed.  It has
+no unigram probabilities, so they are estimated: a piece's is its share, plus one, of the pieces into which
+the file's own merges cut all words of all texts.  Words are counted before they are cut, per task, and only
+one number per piece reaches the driver.  Of equally likely segmentations the one with fewer tokens counts.
 
 Defined cases: a null or empty text has no tokens; repeated rows give a row each; null ids are kept; an
 empty table gives an empty result; further columns are ignored.  The table of counted pre-tokens of a
-task is bounded; when full it starts anew.
+task is bounded; when full it starts anew.  Of a word, states are kept for the first PATH characters and for
+as many as the longest piece has, whatever its length.
 """
 
 from __future__ import annotations
 
-import importlib.util
 import math
 from collections.abc import Iterator
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from . import textvec
 
 MARK = "▁"
 #: Pre-tokens whose counts a task keeps.
 KEPT = 400_000
-MODEL = "piece_bpe_32k.model"
+#: Characters of a word whose states the next word may share.
+PATH = 1024
+#: The public 32,000-piece file as this environment has it; a path elsewhere is a parameter.
+DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
-def default_model() -> str:
-    spec = importlib.util.find_spec("public_tokenizers")
-    folder = Path(spec.origin).parent if spec and spec.origin else Path("/opt/tokenizers")
-    return str(folder / MODEL)
+def _processor(path: str | None = None, proto: bytes | None = None):
+    import sentencepiece
 
+    return sentencepiece.SentencePieceProcessor(model_file=path) if proto is None else sentencepiece.SentencePieceProcessor(model_proto=proto)
+
+
+def _piece_uses(proto: bytes):
+    """How often each piece (by its id) is used in the words of a task's rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = _processor(proto=proto)
+        uses = np.zeros(model.get_piece_size(), np.int64)
+        words: dict[bytes, int] = {}
+
+        def cut() -> None:
+            names = list(words)
+            for a in range(0, len(names), 20_000):
+                some = names[a : a + 20_000]
+                ids = model.encode([w.decode("utf-8", "replace") for w in some], num_threads=1)
+                sizes = [len(x) for x in ids]
+                flat = np.fromiter((i for x in ids for i in x), np.int64, sum(sizes))
+                uses[:] += np.bincount(flat, np.repeat([words[w] for w in some], sizes), len(uses)).astype(np.int64)
+            words.clear()
+
+        for batch in batches:
+            for _, _, raw, at in textvec.pieces(batch.column("text")):
+                starts, ends, _ = textvec.word_bounds(raw, at)
+                _, first, n = np.unique(textvec.span_hashes(raw, starts, ends), return_index=True, return_counts=True)
+                text = raw.tobytes()
+                for a, b, k in zip(starts[first].tolist(), ends[first].tolist(), n.tolist(), strict=True):
+                    word = text[a:b]
+                    words[word] = words.get(word, 0) + k
+                if len(words) > KEPT:
+                    cut()
+        cut()
+        some = np.flatnonzero(uses)
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(uses[some])], names=["piece", "n"])
+
+    return run
 
-def load_vocabulary(path: str) -> dict[str, float]:
-    """Piece to log probability."""
-    import sentencepiece
 
-    model = sentencepiece.SentencePieceProcessor(model_file=path)
-    pieces = [model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i))]
-    shift = 2.7
-    total = math.log(math.fsum(1 / (k + shift) for k in range(len(pieces))))
-    return {p: -math.log(k + shift) - total for k, p in enumerate(pieces)}
+def estimate(docs: DataFrame, model: str = DEFAULT_MODEL) -> dict[str, float]:
+    """Piece to log probability, from all texts of docs(text)."""
+    file = _processor(model)
+    used = docs.select("text").mapInArrow(_piece_uses(file.serialized_model_proto()), "piece long, n long").groupBy("piece").agg(F.sum("n").alias("n")).collect()
+    uses = {r["piece"]: r["n"] for r in used}
+    plain = [i for i in range(file.get_piece_size()) if not (file.is_control(i) or file.is_unknown(i) or file.is_byte(i))]
+    total = math.log(sum(uses.get(i, 0) + 1 for i in plain))
+    return {file.id_to_piece(i): math.log(uses.get(i, 0) + 1) - total for i in plain}
 
 
 class Counter:
@@ -58,45 +96,54 @@ class Counter:
         self.vocabulary = vocabulary
         self.longest = max(map(len, vocabulary), default=1)
         self.fallback = min(vocabulary.values(), default=0.0) - 10.0
-        # pieces by last character: only those can end at a node
-        self.ends: dict[str, tuple[int, ...]] = {}
-        sizes: dict[str, set] = {}
+        # every end of a piece, with its score if it is a piece itself: longer ones are tried while there is such an end
+        self.tails: dict[str, float | None] = {}
         for p in vocabulary:
-            sizes.setdefault(p[-1], set()).add(len(p))
-        self.ends = {c: tuple(sorted(s)) for c, s in sizes.items()}
+            for k in range(1, len(p)):
+                self.tails.setdefault(p[k:], None)
+        self.tails.update(vocabulary)
         self.nodes = 0
 
     def count(self, words: list[str]) -> list[int]:
         """Numbers of tokens of words, which must be sorted: the path to the last one is the live part of the trie."""
         out = []
         path = ""
-        states: list[tuple[float, int]] = [(0.0, 0)]
-        piece, ends, fallback = self.vocabulary.get, self.ends, self.fallback
+        scores, sizes = [0.0], [0]  # of the best segmentation of each prefix of the path
+        tail, fallback, window = self.tails.get, self.fallback, self.longest
         for word in words:
             token = MARK + word
             keep = 0
-            stop = min(len(path), len(token))
+            stop = min(len(path), len(token), PATH)
             while keep < stop and path[keep] == token[keep]:
                 keep += 1
-            del states[keep + 1 :]
+            del scores[keep + 1 :], sizes[keep + 1 :]
+            cut = 0  # states before this place are gone
             for i in range(keep, len(token)):
+                at = i - cut
                 c = token[i]
-                score, n = states[i]
                 size = 1 if c == MARK else len(c.encode())
-                best = (score + fallback * size, -(n + size))
-                for length in ends.get(c, ()):
-                    if length > i + 1:
-                        break
-                    p = piece(token[i + 1 - length : i + 1])
+                best, n = scores[at] + fallback * size, sizes[at] + size
+                begin = i
+                while begin >= 0:
+                    p = tail(token[begin : i + 1], 0)
                     if p is not None:
-                        score, n = states[i + 1 - length]
-                        other = (score + p, -(n + 1))
-                        if other > best:
-                            best = other
-                states.append((best[0], -best[1]))
+                        if p == 0:
+                            break
+                        other = scores[begin - cut] + p
+                        if other > best or (other == best and sizes[begin - cut] + 1 < n):
+                            best, n = other, sizes[begin - cut] + 1
+                    begin -= 1
+                scores.append(best)
+                sizes.append(n)
+                if at > 4 * PATH + window:
+                    drop = at - PATH - window
+                    del scores[:drop], sizes[:drop]
+                    cut += drop
             self.nodes += len(token) - keep
+            out.append(sizes[-1])
             path = token
-            out.append(states[-1][1])
+            if cut:
+                path, scores, sizes = "", [0.0], [0]
         return out
 
 
@@ -135,9 +182,9 @@ def _count(vocabulary: dict[str, float]):
     return run
 
 
-def token_counts(docs: DataFrame, model: str | None = None) -> DataFrame:
-    """For each row of docs(doc_id, text): doc_id, n_pretokens, n_tokens."""
-    vocabulary = load_vocabulary(model or default_model())
+def token_counts(docs: DataFrame, model: str = DEFAULT_MODEL, vocabulary: dict[str, float] | None = None) -> DataFrame:
+    """For each row of docs(doc_id, text): doc_id, n_pretokens, n_tokens; vocabulary: piece to log probability, else estimated."""
+    vocabulary = estimate(docs, model) if vocabulary is None else vocabulary
     return docs.select("doc_id", "text").mapInArrow(_count(vocabulary), "doc_id long, n_pretokens long, n_tokens long")
 
 

@@ -450,8 +450,38 @@ def test_substring_dedup(spark, docs):
 # 10 -----------------------------------------------------------------------------------------------------
 
 
+def test_piece_scores(spark):
+    """Scores are the pieces' shares in the file's own segmentation of all words."""
+    import math
+
+    texts = ["the river the", None, "", "meadow river", "the river the"]
+    file = token_counts._processor(token_counts.DEFAULT_MODEL)
+    uses = Counter(p for t in texts for w in (t or "").split() for p in file.encode(w, out_type=str))
+    got = token_counts.estimate(spark.createDataFrame([(t,) for t in texts], "text string").repartition(3))
+    total = sum(uses[p] + 1 for p in got)
+    assert all(v == pytest.approx(math.log((uses[p] + 1) / total)) for p, v in got.items()) and len(got) > 30000
+
+
+def test_long_words():
+    """A word beyond the kept path has the same count as with all states kept, and the next word is not misled."""
+    r = random.Random(4)
+    counter = token_counts.Counter({"▁": -2.0, "a": -3.0, "b": -3.5, "ab": -3.2, "aba": -4.0, "▁ab": -2.5})
+
+    def alone(token):
+        best = [(0.0, 0)]
+        for i in range(len(token)):
+            options = [(best[i][0] + counter.fallback, -(best[i][1] + 1))]
+            options += [(best[j][0] + counter.vocabulary[token[j : i + 1]], -(best[j][1] + 1)) for j in range(max(0, i - 4), i + 1) if token[j : i + 1] in counter.vocabulary]
+            s, n = max(options)
+            best.append((s, -n))
+        return best[-1][1]
+
+    words = sorted("".join(r.choice("abc" if k % 3 else "ab") for _ in range(n)) for k, n in enumerate([5, 5000, 20000, 30, 1030, 9000])) + ["b" * 6000, "b" * 6001]
+    assert counter.count(sorted(words)) == [alone("▁" + w) for w in sorted(words)]
+
+
 def test_token_counts(docs):
-    vocabulary = token_counts.load_vocabulary(token_counts.default_model())
+    vocabulary = token_counts.estimate(docs)
     counter = token_counts.Counter(vocabulary)
 
     def alone(word):
