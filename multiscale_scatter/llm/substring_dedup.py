@@ -5,10 +5,13 @@ id.  Sorting every suffix of a corpus would ship each byte many times over, so t
 places that can matter:
 
 1. Equal texts form a class; only the document with the smallest id is looked into.
-2. Every 50-byte string holds an anchor: its 16-byte gram of least hash.  Equal strings have equal
-   anchors.  Anchors that occur in one text only are out.  A map task sends one packed entry per gram
-   and group of texts, so a gram of a third of all documents costs one entry a task.
-3. Around each anchor that is left lies a context of up to 84 bytes with all strings that it stands for.
+2. Every 50-byte string holds an anchor: its 16-byte gram of least hash.  Half of the rest at least lies on
+   one side of it, so the anchor with 17 bytes on its right, or 18 on its left, is a longer gram of the string:
+   which of them follows from the anchor's place.  Equal strings have equal ones.  Those that occur in one
+   text only are out; common short grams, a run of spaces say, never gather the texts that have them.  A map
+   task sends one packed entry per gram and group of texts, so a gram of a third of all documents costs one
+   entry a task.
+3. Around each gram that is left lies a context of up to 67 bytes with all strings that it stands for.
    Equal contexts in a task are one entry, sent with the smallest id; the others are covered already.
 4. Contexts with the same gram meet in one task.  Where a gram has several contexts they are laid end to
    end, their suffixes are put in order by two-stage sorting, and strings with a common prefix of 50
@@ -72,6 +75,27 @@ def anchors(raw: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, n
     return found, grams[found]
 
 
+def long_grams(raw: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, ...]:
+    """(row, hash, begin and size of the context) of the grams that stand for the strings of length bytes inside rows."""
+    found, _ = anchors(raw, at, length)
+    row = np.searchsorted(at, found, side="right") - 1
+    low, high = at[row], at[row + 1]
+    reach = length - GRAM
+    half = reach // 2
+    # strings that begin at most half bytes before the anchor have these bytes after it, the others those before it
+    right, left = found + GRAM + reach - half <= high, found - half - 1 >= low
+    place = np.concatenate([found[right], found[left]])
+    hashes = textvec.span_hashes(
+        raw, np.concatenate([found[right], found[left] - half - 1]), np.concatenate([found[right] + GRAM + reach - half, found[left] + GRAM])
+    )
+    hashes[np.count_nonzero(right) :] ^= np.uint64(0x9E3779B97F4A7C15)
+    lows, highs = (np.concatenate([x[right], x[left]]) for x in (low, high))
+    is_right = np.arange(len(place)) < np.count_nonzero(right)
+    begin = np.maximum(place - np.where(is_right, half, reach), lows)
+    end = np.minimum(place + GRAM + np.where(is_right, reach, reach - half - 1), highs)
+    return np.concatenate([row[right], row[left]]), hashes, begin, end - begin
+
+
 def _gram_ids(grams: np.ndarray, buckets: int) -> np.ndarray:
     """Bucket and 32 further bits of a gram in one number, ident * buckets + bucket."""
     m = textvec.mix(grams ^ np.uint64(0x632BE59BD9B4E019))
@@ -143,8 +167,7 @@ def _grams(length: int, buckets: int):
         for batch in batches:
             key = batch.column("key").to_numpy(zero_copy_only=False).view(np.uint64)
             for a, b, raw, at in textvec.pieces(batch.column("text")):
-                found, grams = anchors(raw, at, length)
-                row = np.searchsorted(at, found, side="right") - 1
+                row, grams, _, _ = long_grams(raw, at, length)
                 new = np.array([x not in seen and not seen.add(x) for x in key[a:b].tolist()], bool)
                 use = new[row]
                 ids.append(_gram_ids(grams[use], buckets))
@@ -270,7 +293,6 @@ def _windows(size: np.ndarray, length: int) -> np.ndarray:
 
 def _contexts(length: int, buckets: int, spread: int):
     """Contexts of shared grams, dealt to `spread` parts by gram."""
-    reach = length - GRAM
 
     def flush(held: list) -> Iterator[pa.RecordBatch]:
         if not held:
@@ -311,20 +333,17 @@ def _contexts(length: int, buckets: int, spread: int):
             keys = batch.column("key").to_numpy(zero_copy_only=False)
             shared, shared_at = textvec.string_parts(batch.column("grams"))
             for a, b, raw, at in textvec.pieces(batch.column("text")):
-                found, grams = anchors(raw, at, length)
-                row = np.searchsorted(at, found, side="right") - 1
+                row, grams, begin, size = long_grams(raw, at, length)
                 gram = _gram_ids(grams, buckets)
                 mine = shared[shared_at[a] : shared_at[b]].copy().view(np.uint64)
                 owner = np.repeat(np.arange(b - a), np.diff(shared_at[a : b + 1]) // 8).astype(np.uint64)
                 tag = np.uint64(0x9E3779B97F4A7C15)
                 use = np.isin(textvec.mix(gram ^ (row.astype(np.uint64) * tag)), textvec.mix(mine ^ (owner * tag)))
-                found, row, gram = found[use], row[use], gram[use]
-                begin = np.maximum(found - reach, at[row])
-                size = np.minimum(found + GRAM + reach, at[row + 1]) - begin
+                row, gram, begin, size = row[use], gram[use], begin[use], size[use]
                 same = textvec.span_hashes(raw, begin, begin + size)
                 held.append((gram, size, begin + base, begin - at[row], ords[a:b][row], keys[a:b][row], same, raw.copy()))
                 base += len(raw)
-                amount += len(found) * 84 + len(raw)
+                amount += len(gram) * 67 + len(raw)
                 if amount >= FLUSH_BYTES:
                     yield from flush(held)
                     held, amount, base = [], 0, 0
