@@ -5,15 +5,20 @@ id.  Sorting every suffix of a corpus would ship each byte many times over, so t
 places that can matter:
 
 1. Equal texts form a class; only the document with the smallest id is looked into.
-2. Every 50-byte string holds an anchor: its 16-byte gram of least hash.  Equal strings have equal
+2. Every 50-byte string holds an anchor: its 24-byte gram of least hash.  Equal strings have equal
    anchors.  Anchors that occur in one text only are out.  A map task sends one packed entry per gram
    and group of texts, so a gram of a third of all documents costs one entry a task.
-3. Around each anchor that is left lies a context of up to 84 bytes with all strings that it stands for.
+3. Around each anchor that is left lies a context of up to 76 bytes with all strings that it stands for.
    Equal contexts in a task are one entry, sent with the smallest id; the others are covered already.
 4. Contexts with the same gram meet in one task.  Where a gram has several contexts they are laid end to
    end, their suffixes are put in order by two-stage sorting, and strings with a common prefix of 50
    bytes or more with a neighbour form a run, whose smallest id decides.
 
+Map tasks pack what they send by bucket.  Buckets, and what a task packs at once, grow with the square root of
+the input (16 MB of text at 30 GB, 1 GB at 100 TB), so packed rows are of one size and their number grows
+as the input does; a worker needs some three times a bucket.  A gram that many texts have with ever other bytes
+beside it has all its contexts in one bucket.
+
 Defined cases: a null text is empty; a text of under 50 bytes loses nothing; rows with the same id never
 remove each other's bytes; a null id counts as the greatest; repeated rows give a row each; an empty
 table gives an empty result; further columns are ignored.
@@ -22,6 +27,7 @@ table gives an empty result; further columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,9 +38,10 @@ from pyspark.sql import functions as F
 from . import suffix_sort, textvec
 from .shared import materialize
 
-GRAM = 16
-#: Text bytes that share one bucket of grams, and that a map task works on before it sends.
-BUCKET_BYTES, FLUSH_BYTES = 16 << 20, 16 << 20
+GRAM = 24
+#: Text bytes that share one bucket of grams, and that a map task works on before it sends, at least; and what
+#: the input's bytes are multiplied by before the root is taken.
+BUCKET_BYTES, PACKED_BYTES = 16 << 20, 8192
 _IDENT = 1 << 32
 _LAST_ID = (1 << 63) - 1
 _SORT_BYTES = 1 << 19
@@ -105,7 +112,11 @@ def _gram_batch(rows: list[tuple]) -> pa.RecordBatch:
     )
 
 
-def _grams(length: int, buckets: int):
+def bucket_bytes(total: int) -> int:
+    return max(BUCKET_BYTES, math.isqrt(total * PACKED_BYTES))
+
+
+def _grams(length: int, buckets: int, flush_bytes: int):
     """Packed entries for the buckets, and (key, grams) that are known to be shared already."""
 
     def flush(ids: list, keys: list) -> Iterator[pa.RecordBatch]:
@@ -150,7 +161,7 @@ def _grams(length: int, buckets: int):
                 ids.append(_gram_ids(grams[use], buckets))
                 keys.append(key[a:b][row[use]])
                 held += len(raw)
-                if held >= FLUSH_BYTES:
+                if held >= flush_bytes:
                     yield from flush(ids, keys)
                     ids, keys, held, seen = [], [], 0, set()
         yield from flush(ids, keys)
@@ -268,7 +279,7 @@ def _windows(size: np.ndarray, length: int) -> np.ndarray:
     return (np.int64(1) << np.maximum(size.astype(np.int64) - length + 1, 0)) - 1
 
 
-def _contexts(length: int, buckets: int, spread: int):
+def _contexts(length: int, buckets: int, spread: int, flush_bytes: int):
     """Contexts of shared grams, dealt to `spread` parts by gram."""
     reach = length - GRAM
 
@@ -324,8 +335,8 @@ def _contexts(length: int, buckets: int, spread: int):
                 same = textvec.span_hashes(raw, begin, begin + size)
                 held.append((gram, size, begin + base, begin - at[row], ords[a:b][row], keys[a:b][row], same, raw.copy()))
                 base += len(raw)
-                amount += len(found) * 84 + len(raw)
-                if amount >= FLUSH_BYTES:
+                amount += len(found) * 76 + len(raw)
+                if amount >= flush_bytes:
                     yield from flush(held)
                     held, amount, base = [], 0, 0
         yield from flush(held)
@@ -493,8 +504,10 @@ def dedup_substrings(docs: DataFrame, length: int = 50) -> DataFrame:
     )
     first = base.groupBy("sha256").agg(F.min("ord").alias("first"))
     base = materialize(base.join(first, "sha256"), "text-classes")
-    buckets = max(8, -(-int(base.agg(F.sum("n_bytes")).first()[0] or 0) // BUCKET_BYTES))
-    entries = docs.where(F.octet_length("text") >= length).select("key", "text").mapInArrow(_grams(length, buckets), _GRAMS)
+    total = int(base.agg(F.sum("n_bytes")).first()[0] or 0)
+    at_once = bucket_bytes(total)
+    buckets = max(8, -(-total // at_once))
+    entries = docs.where(F.octet_length("text") >= length).select("key", "text").mapInArrow(_grams(length, buckets, at_once), _GRAMS)
     spread = entries.repartition(buckets, F.coalesce(F.col("bucket").cast("long"), F.col("key")))
     packed = spread.mapInArrow(_shared_grams(buckets), _SHARED).repartition(buckets, "dest")
     grams = packed.mapInArrow(_by_key, "key long, grams binary")
@@ -502,7 +515,7 @@ def dedup_substrings(docs: DataFrame, length: int = 50) -> DataFrame:
     wanted = lead.join(grams, "key").select("ord", "key", "grams")
     # both joins with the texts use one and the same exchange of them
     texts = docs.where(F.octet_length("text") >= length).select("ord", "key", "text")
-    contexts = texts.hint("merge").join(wanted, ["ord", "key"]).mapInArrow(_contexts(length, buckets, 2 * buckets), _PACKED)
+    contexts = texts.hint("merge").join(wanted, ["ord", "key"]).mapInArrow(_contexts(length, buckets, 2 * buckets, at_once), _PACKED)
     met = contexts.repartition(2 * buckets, "bucket").mapInArrow(_compare(length, 2 * buckets), _PACKED)
     decided = met.repartition(2 * buckets, "bucket").mapInArrow(_decided, "ord long, key long, starts binary, masks binary")
     removed = texts.hint("merge").join(decided, ["ord", "key"]).mapInArrow(_cut_out(length), _REMOVED)
