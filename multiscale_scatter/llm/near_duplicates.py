@@ -13,10 +13,11 @@ form one posting key, so two documents agree in as many coordinates as they shar
    paired with a few pivots of the list only.
 4. Every class is confirmed on full sets against its likeliest partner first, then what still lies in
    different components.
-5. Long lists that still span several components get other pivots, and at last all pairs of theirs are
-   compared that lie in different components and whose sizes and numbers of shared shingles leave the
-   threshold within reach.  So no link between components is lost, while a group of copies costs a few
-   pairs a member.
+5. Long lists that still span several components get other pivots.  What is still open then is joined by its
+   rarest shingles: sets that are similar share one of them, at places that leave the threshold within reach.
+   Only ids travel in that join, in shares of a hot shingle, and the pairs of different components that are
+   left are confirmed.  So no link between components is lost, while a group of copies costs a few pairs a
+   member, and a family with much common text but too little for a link meets in its common shingles no more.
 
 The signature step misses a pair at exactly the threshold of 0.8 with a probability below 1e-6 (64
 trials at 0.8, fewer than 32 hits); everything after it is exact.
@@ -47,8 +48,8 @@ _FLIP = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64)
 _TIMES = _RNG.integers(0, 1 << 63, COORDINATES, dtype=np.uint64) | np.uint64(1)
 
 #: Keys that two prefixes must share; the longest list whose pairs are all counted; pivots of a longer one;
-#: ids that are broadcast at most; links whose components one task finds at most.
-PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST, MAX_EDGES = 4, 64, 2, 1_000_000, 1_000_000
+#: ids that are broadcast at most; links whose components one task finds at most; classes of a hot shingle's share.
+PREFIX_HITS, SHORT, PIVOTS, MAX_BROADCAST, MAX_EDGES, SHARE = 4, 64, 2, 1_000_000, 1_000_000, 4096
 
 _SIGNED = "doc_id long, key long, n_shingles long, cid long, keys array<long>, brief array<int>"
 
@@ -292,34 +293,33 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
 
 
 def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Every link (a, b) of a list between classes of different components.
+    """Every link (a, b) between the classes of members that lie in different components.
 
-    A shingle that no other class here has cannot be in an intersection.  What a class has besides such
-    shingles bounds every intersection with it; this leaves out the loose members of a group of near
-    copies, which resemble all of it but nothing closely enough.  The sets are compared within the join,
-    so only links leave it.
+    The shingles of a set are put in order, rarest first.  Of two sets that are similar, the first common
+    shingle is at place i of one and j of the other, counted from 0, and all that they share lies from there on;
+    so n - i and m - j bound the intersection, and neither i nor j lies behind the first 1 - percent / 100 of
+    its set.  Shingles that no other class here has come first and take up places without being posted.
     """
-    here = materialize(members.groupBy("cid").agg(F.first("n").alias("n"), F.first("component").alias("component"), F.collect_list("key").alias("lists")), "members")
-    shingles = sets.join(here, "cid", "left_semi").select("cid", F.explode("shingles").alias("shingle"))
-    common = shingles.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1").select("shingle")
-    bound = shingles.join(common, "shingle").groupBy("cid").agg(F.count(F.lit(1)).alias("s"))
-    near = here.join(bound, "cid").withColumn("key", F.explode("lists")).drop("lists")
-    # even with the smallest class of the list
-    low = near.groupBy("key").agg(F.min("n").alias("low"))
-    near = near.join(low, "key").where(F.col("s") * (100 + percent) >= (F.col("n") + F.col("low")) * percent).drop("low")
-    near = materialize(_open(near), "within-reach")
-    # a pair meets in the first list that both are in, not in all of them
-    own = near.groupBy("cid").agg(F.first("n").alias("n"), F.first("component").alias("component"), F.first("s").alias("s"), F.collect_list("key").alias("lists"))
-    whole = materialize(own.join(sets, "cid"), "members").withColumn("key", F.explode("lists"))
-    other = whole.select(*(F.col(c).alias(f"{c}2") for c in whole.columns))
-    both = F.size(F.array_intersect("shingles", "shingles2"))
-    return whole.join(
-        other,
-        F.expr("key = key2 and cid < cid2 and component != component2")
-        & _enough(F.col("s"), F.col("s2"), F.col("n"), F.col("n2"), percent)
-        & (F.array_min(F.array_intersect("lists", "lists2")) == F.col("key"))
-        & (both * (100 + percent) >= (F.col("n") + F.col("n2")) * percent),
-    ).select(F.col("cid").alias("a"), F.col("cid2").alias("b"))
+    here = members.groupBy("cid").agg(F.first("n").alias("n"), F.first("component").alias("component"))
+    shingles = materialize(sets.join(here, "cid").select("cid", "n", "component", F.explode("shingles").alias("shingle")), "open-shingles")
+    common = shingles.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    of_class = W.partitionBy("cid")
+    ranked = shingles.join(common, "shingle").select(
+        "*", (F.col("n") - F.count(F.lit(1)).over(of_class) + F.row_number().over(of_class.orderBy("df", "shingle")) - 1).alias("place")
+    )
+    posted = ranked.where((F.col("n") - F.col("place")) * 100 >= F.col("n") * percent).select("shingle", "cid", "n", "component", (F.col("n") - F.col("place")).alias("left"))
+    posted = materialize(posted, "rare-postings")
+    shares = posted.groupBy("shingle").agg(F.count(F.lit(1)).alias("m"), F.min("component").alias("lo"), F.max("component").alias("hi"))
+    shares = shares.where("lo < hi").select("shingle", F.ceil(F.col("m") / SHARE).cast("int").alias("shares"))
+    dealt = posted.join(shares, "shingle")
+    one = dealt.withColumn("share", F.pmod(F.xxhash64("cid"), F.col("shares")).cast("int")).drop("shares")
+    two = dealt.withColumn("share", F.explode(F.sequence(F.lit(0), F.col("shares") - 1))).drop("shares")
+    two = two.select(*(F.col(c).alias(c if c in ("shingle", "share") else f"{c}2") for c in two.columns))
+    near = one.join(two, ["shingle", "share"]).where(
+        (F.col("cid") < F.col("cid2")) & (F.col("component") != F.col("component2")) & _enough(F.col("left"), F.col("left2"), F.col("n"), F.col("n2"), percent)
+    )
+    pairs = materialize(near.select(F.col("cid").alias("a"), F.col("cid2").alias("b")).distinct(), "open-pairs")
+    return _confirmed(pairs, sets, percent)
 
 
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
