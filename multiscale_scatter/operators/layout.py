@@ -8,8 +8,9 @@ to the smaller id, so the order is total.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -17,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
-from ..plans.materialize import materialize
+from ..plans.materialize import discard, materialize
 from . import kdtree, kernels
 
 EDGES = "level int, child long, parent long"
@@ -53,6 +54,8 @@ class Layout:
     tree: kdtree.KDTree | None = None
     #: Levels that were placed in a single task, for reports.
     single_levels: tuple[int, ...] = ()
+    #: Seconds by phase: tree, redistribution, clustering, boundary, top.
+    phases: dict[str, float] = field(default_factory=dict)
 
     def visible(self, level: int | None = None) -> DataFrame:
         """(level, cluster_id) of the marks."""
@@ -282,10 +285,14 @@ def layout_distributed(
     """
     objects = prepare(objects, plan)
     spark = objects.sparkSession
+    phases = dict.fromkeys(("tree", "redistribution", "clustering", "boundary", "top"), 0.0)
+    clock = _Clock(phases)
     total = objects.count()
     tree = tree or kdtree.build_kdtree(objects.select("obj_id", "x", "y"), plan.mem_cap, count=total)
+    clock.lap("tree")
     rows = assign_leaf(objects, tree).select("obj_id", "pid", *_units(plan), _weight(plan))
     rows = materialize(rows, "rows")
+    clock.lap("redistribution")
     edges: list[DataFrame] = []
     single: tuple[int, ...] = ()
     for level in range(plan.levels, 0, -1):
@@ -294,18 +301,22 @@ def layout_distributed(
             last = rows.groupBy(F.lit(0).alias("one")).applyInPandas(_all_levels(plan, level, index), EDGES)
             edges.append(materialize(last, "edges-top"))
             single = tuple(range(1, level + 1))
+            clock.lap("top")
             break
         scale = plan.zoom ** (level - plan.levels)
         borders = _Borders(tree, plan, level)
         local = materialize(rows.groupBy("pid").applyInPandas(_place_leaf(plan, scale, borders, index), _LOCAL), f"local-{level}")
+        clock.lap("clustering")
         step = local.select("child", "parent")
         gone: DataFrame | None = None
+        tables = []
         if repair and tree.splits and plan.theta > 0:
             live = local.where("border")
             for low in range(((tree.depth - 1) // supernode_depth) * supernode_depth, -1, -supernode_depth):
                 depths = range(low, low + supernode_depth)
                 grouped = live.join(F.broadcast(_ancestors(spark, tree, low)), "pid")
                 merged = materialize(grouped.groupBy("ancestor").applyInPandas(_close(scale, borders, depths), "loser long, winner long"), f"merged-{level}-{low}")
+                tables.append(merged)
                 live = live.join(merged, live["child"] == merged["loser"], "left_anti")
                 if gone is None:
                     gone = merged
@@ -316,11 +327,49 @@ def layout_distributed(
         step = materialize(step.select(F.lit(level).cast("int").alias("level"), "child", "parent"), f"edges-{level}")
         edges.append(step)
         stays = step.where("child = parent").select("child")
-        rows = materialize(local.join(stays, "child", "left_semi").select(F.col("child").alias("obj_id"), "pid", "u", "v", "w"), f"rows-{level}")
+        below, rows = rows, materialize(local.join(stays, "child", "left_semi").select(F.col("child").alias("obj_id"), "pid", "u", "v", "w"), f"rows-{level}")
+        discard(local, below, *tables)
+        clock.lap("boundary")
+    discard(rows)
     out = edges[0]
     for e in edges[1:]:
         out = out.unionByName(e)
-    return Layout(plan, objects, out, tree, single)
+    return Layout(plan, objects, out, tree, single, phases)
+
+
+class _Clock:
+    """Adds the seconds since the last lap to a phase."""
+
+    def __init__(self, phases: dict[str, float]):
+        self.phases, self.at = phases, time.perf_counter()
+
+    def lap(self, phase: str) -> None:
+        now = time.perf_counter()
+        self.phases[phase] += now - self.at
+        self.at = now
+
+
+def band_sizes(layout: Layout) -> DataFrame:
+    """(level, split, depth, rows): how many rows that enter a level lie near each split of the tree.
+
+    These are what the repair looks at; the splits are few and known to the driver, a row meets those above its leaf.
+    """
+    plan, tree = layout.plan, layout.tree
+    entering = layout.edges.select("level", F.col("child").alias("obj_id")).join(assign_leaf(layout.objects, tree).select("obj_id", "x", "y", "pid"), "obj_id")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            for (level, pid), part in pdf.groupby(["level", "pid"]):
+                borders = _Borders(tree, plan, int(level))
+                size = borders.sizes
+                u, v = ((part[c].to_numpy() - e[0]) / (e[1] - e[0]) * size[k] for k, (c, e) in enumerate((("x", plan.x_extent), ("y", plan.y_extent))))
+                for split in tree.path(int(pid)):
+                    n = int((borders._from_split(split, u, v) < plan.theta).sum())
+                    if n:
+                        yield pd.DataFrame({"level": [level], "split": [split.number], "depth": [split.depth], "n": [n]})
+
+    counted = entering.select("level", "pid", "x", "y").mapInPandas(run, "level int, split int, depth int, n long")
+    return counted.groupBy("level", "split", "depth").agg(F.sum("n").alias("rows"))
 
 
 def layout_hash_partition(objects: DataFrame, plan: LayoutPlan, parts: int) -> Layout:

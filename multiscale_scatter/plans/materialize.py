@@ -5,16 +5,23 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: list[str] = []
+#: Paths of the tables that each open scratch will remove.
+_SCRATCH: list[list[str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a local one only where the session names none (tests)."""
+    """The folder of spark.checkpoint.dir; a local one only where the session names none and all runs in this process (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         if not _LOCAL:
             _LOCAL.append(tempfile.mkdtemp(prefix="scatter-tables-"))
         named = _LOCAL[0]
@@ -27,17 +34,42 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
+def materialize(df: DataFrame, name: str, outside: bool = False) -> DataFrame:
     """Writes df as Parquet in the shared folder and reads it back.
 
     This cuts the lineage: a lost executor costs a read of the table, never the steps before it.
-    The table is removed when the driver's process ends.
+    The table is removed with `discard`, at the end of the innermost `scratch` (outside: of the one around
+    it), or when the driver's process ends.
     """
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.parquet(path)
-    atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    depth = len(_SCRATCH) - 1 - outside
+    if depth >= 0:
+        _SCRATCH[depth].append(path)
+    else:
+        atexit.register(_remove, spark, path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._table_path = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Removes materialized tables that nothing lazy reads any more; anything else is left alone."""
+    for df in tables:
+        if path := getattr(df, "_table_path", None):
+            _remove(df.sparkSession, path)
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Tables that are materialized inside are removed at the end; what must stay is materialized with outside=True."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for path in _SCRATCH.pop():
+            _remove(spark, path)
 
 
 def _remove(spark: SparkSession, path: str) -> None:

@@ -3,15 +3,27 @@
 Marks lie in Parquet, by level and shard of leaves, in Morton order within a file, so that the reader
 skips by folder first and by the ranges of cx and cy next.  The lowest levels are the large ones; the top
 levels, which fit into one task, are one file each and can be cached.
+
+Spark writes and scans the index; `fetch` is one such scan.  A serving session answers single requests and
+has no use for a job: it knows the ranges of all row groups from the files' footers and reads the few that a
+viewport meets.
 """
 
 from __future__ import annotations
 
 import json
+import re
 import time
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+import pyarrow.dataset  # noqa: F401  registers the file systems
+import pyarrow.fs as pafs
+import pyarrow.parquet as pq
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,8 +31,8 @@ from ..functions import geometry as G
 from ..operators import kdtree
 from ..operators.layout import Layout, LayoutPlan, assign_leaf
 
-#: Leaves that share a folder.
-LEAVES_IN_SHARD = 64
+#: Leaves that share a folder; bytes of a row group, the least that a request reads of a level.
+LEAVES_IN_SHARD, ROW_GROUP_BYTES = 64, 1 << 20
 
 
 @dataclass
@@ -48,7 +60,7 @@ def write_index(layout: Layout, path: str, payload: DataFrame | None = None) ->
     size = [G.level_size(s, plan.zoom, plan.levels) for s in plan.top]
     place = G.morton(F.floor(F.col("cx") / size[0] * 65535), F.floor(F.col("cy") / size[1] * 65535))
     laid = marks.withColumn("m", place).repartition("level", "shard", F.when(F.col("shard") >= 0, F.col("pid"))).sortWithinPartitions("level", "shard", "m")
-    laid.drop("m").write.mode("overwrite").option("parquet.block.size", 8 << 20).partitionBy("level", "shard").parquet(path)
+    laid.drop("m").write.mode("overwrite").option("parquet.block.size", ROW_GROUP_BYTES).partitionBy("level", "shard").parquet(path)
     return StoredLayout(path, plan, tree, top, spark.read.parquet(path))
 
 
@@ -95,42 +107,99 @@ def fetch(stored: StoredLayout, view: Viewport, pruned: bool = True, pushdown: b
     return rows.withColumn("box", box).where(meets(F.col("box"))).drop("box")
 
 
+class RowGroups:
+    """The row groups of an index: where they are, their level, and the ranges of cx and cy in them."""
+
+    def __init__(self, path: str):
+        self.fs, root = pafs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (pafs.LocalFileSystem(), path)
+        files = [f.path for f in self.fs.get_file_info(pafs.FileSelector(root, recursive=True)) if f.path.endswith(".parquet")]
+        self.readers: list[pq.ParquetFile] = []
+        rows = []
+        with ThreadPoolExecutor(16) as pool:
+            for k, reader in enumerate(pool.map(lambda p: pq.ParquetFile(self.fs.open_input_file(p)), files)):
+                self.readers.append(reader)
+                meta = reader.metadata
+                at = {meta.schema.column(c).path: c for c in range(meta.num_columns)}
+                level = int(re.search(r"level=(\d+)", files[k])[1])
+                for g in range(meta.num_row_groups):
+                    stats = [meta.row_group(g).column(at[c]).statistics for c in ("cx", "cy")]
+                    known = [(s.min, s.max) if s is not None and s.has_min_max else (-np.inf, np.inf) for s in stats]
+                    rows.append((k, g, level, *known[0], *known[1]))
+        self.table = np.array(rows, float).reshape(-1, 7)
+
+    def fetch(self, view: Viewport, wb: float, hb: float, columns: list[str] | None = None) -> tuple[pa.Table, int]:
+        """(marks whose box meets the viewport, row groups read)."""
+        t = self.table
+        x0, x1, y0, y1 = view.x0 - wb / 2, view.x1 + wb / 2, view.y0 - hb / 2, view.y1 + hb / 2
+        hit = t[(t[:, 2] == view.level) & (t[:, 4] >= x0) & (t[:, 3] <= x1) & (t[:, 6] >= y0) & (t[:, 5] <= y1)]
+        names = columns and sorted({*columns, "cx", "cy"})
+        parts = []
+        for k in np.unique(hit[:, 0]).astype(int):
+            part = self.readers[k].read_row_groups(hit[hit[:, 0] == k, 1].astype(int).tolist(), columns=names, use_threads=False)
+            cx, cy = part.column("cx"), part.column("cy")
+            inside = pc.and_(pc.and_(pc.greater_equal(cx, x0), pc.less_equal(cx, x1)), pc.and_(pc.greater_equal(cy, y0), pc.less_equal(cy, y1)))
+            parts.append(part.filter(inside))
+        if parts:
+            out = pa.concat_tables(parts)
+        else:
+            schema = self.readers[0].schema_arrow if self.readers else pa.schema([("cluster_id", pa.int64()), ("cx", pa.float64()), ("cy", pa.float64())])
+            out = schema.empty_table()
+        return (out.select(columns) if columns else out), len(hit)
+
+
 @dataclass
 class ServingSession:
-    """Requests of one user: the current viewport, its marks, and listeners for what happens."""
+    """Requests of one user: the current viewport, its marks, and listeners for what happens.
+
+    engine "groups" reads row groups in this process, "spark" runs a job for each request.  A sample has the
+    time of planning and reading, the marks, the bytes that go to the client, and how many pieces were read.
+    """
 
     stored: StoredLayout
     view: Viewport
     cache_levels: bool = True
     listeners: list[Callable[[str, Viewport], None]] = field(default_factory=list)
     samples: list[dict] = field(default_factory=list)
+    engine: str = "groups"
 
     def __post_init__(self) -> None:
-        if self.cache_levels and self.stored.top_levels:
+        self._top = self._groups = None
+        if self.engine == "groups":
+            self._groups = RowGroups(self.stored.path)
+        elif self.cache_levels and self.stored.top_levels:
             top = self.stored.marks.where(F.col("level") <= self.stored.top_levels).cache()
             self._top = StoredLayout(self.stored.path, self.stored.plan, None, self.stored.plan.levels, top)
-        else:
-            self._top = None
 
-    def request(self, action: str, view: Viewport, columns: list[str] | None = None) -> list:
-        source = self._top if self._top is not None and view.level <= self.stored.top_levels else self.stored
+    def request(self, action: str, view: Viewport, columns: list[str] | None = None) -> pa.Table:
+        """The marks of a viewport, with all their columns if none are named."""
         began = time.perf_counter()
-        rows = fetch(source, view).select(*(columns or ["cluster_id", "cx", "cy"]))
-        planned = time.perf_counter()
-        items = rows.collect()
+        if self._groups is not None:
+            planned = began
+            items, pieces = self._groups.fetch(view, *self.stored.plan.box, columns)
+        else:
+            source = self._top if self._top is not None and view.level <= self.stored.top_levels else self.stored
+            rows = fetch(source, view)
+            rows = rows.select(*columns) if columns else rows.drop("level", "shard")
+            planned = time.perf_counter()
+            items = rows.toArrow()
+            pieces = 1 if source is not self.stored else len(prune(self.stored, view))
         ended = time.perf_counter()
-        leaves = 1 if source is not self.stored else len(prune(self.stored, view))
-        self.samples.append({"action": action, "level": view.level, "plan_ms": 1000 * (planned - began), "fetch_ms": 1000 * (ended - began), "items": len(items), "partitions": leaves})
+        self.samples.append(
+            {
+                "action": action, "level": view.level, "plan_ms": 1000 * (planned - began), "fetch_ms": 1000 * (ended - began), "items": items.num_rows,
+                "bytes": items.nbytes, "partitions": pieces,
+            }
+        )
         self.view = view
         for tell in self.listeners:
             tell(action, view)
         return items
 
-    def pan(self, dx: float, dy: float) -> list:
+    def pan(self, dx: float, dy: float) -> pa.Table:
         v = self.view
         return self.request("pan", Viewport(v.level, v.x0 + dx, v.y0 + dy, v.x1 + dx, v.y1 + dy))
 
-    def zoom(self, steps: int, anchor: tuple[float, float] | None = None) -> list:
+    def zoom(self, steps: int, anchor: tuple[float, float] | None = None) -> pa.Table:
         """Keeps the anchor, or the middle, in the middle of the viewport."""
         v, f = self.view, self.stored.plan.zoom**steps
         cx, cy = anchor or ((v.x0 + v.x1) / 2, (v.y0 + v.y1) / 2)
@@ -138,7 +207,7 @@ class ServingSession:
         level = min(max(v.level + steps, 1), self.stored.plan.levels)
         return self.request("zoom_in" if steps > 0 else "zoom_out", Viewport(level, cx * f - w / 2, cy * f - h / 2, cx * f + w / 2, cy * f + h / 2))
 
-    def jump(self, level: int, cx: float, cy: float) -> list:
+    def jump(self, level: int, cx: float, cy: float) -> pa.Table:
         v = self.view
         w, h = v.x1 - v.x0, v.y1 - v.y0
         return self.request("jump", Viewport(level, cx - w / 2, cy - h / 2, cx + w / 2, cy + h / 2))
@@ -211,6 +280,7 @@ def latency_report(samples: list[dict]) -> dict[str, float]:
         "requests": len(samples),
         "fetch_p95_ms": nearest_rank([s["fetch_ms"] for s in samples]),
         "items_p95": nearest_rank([s["items"] for s in samples]),
+        "bytes_p95": nearest_rank([s["bytes"] for s in samples]),
         "partitions_p95": nearest_rank([s["partitions"] for s in samples]),
     }
 

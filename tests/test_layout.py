@@ -85,6 +85,22 @@ def test_index_and_serving(spark):
         assert rows(I.fetch(stored, view, pruned=False).select("cluster_id")) == full
     plan = I.fetch(stored, view)._jdf.queryExecution().executedPlan().toString()
     assert "PartitionFilters" in plan and "GreaterThanOrEqual(cx" in plan
+    one, two = (I.ServingSession(stored, view, engine=e) for e in ("groups", "spark"))
+    for k in range(1, 7):
+        for box in ((0.0, 0.0, 1000.0, 1000.0), (250.0, 90.0, 700.0, 480.0), (-50.0, -50.0, 0.0, 0.0), (9e5, 0.0, 1e6, 10.0)):
+            got = [s.request("x", I.Viewport(k, *box), ["cluster_id", "cx", "cy"]) for s in (one, two)]
+            assert sorted(got[0].to_pylist(), key=str) == sorted(got[1].to_pylist(), key=str)
+    assert one.samples[0]["items"] == two.samples[0]["items"] > 0 and one.samples[0]["bytes"] > 0
+    report = I.latency_report(one.samples)
+    assert report["requests"] == 24 and report["bytes_p95"] > 0
+    bands = {}
+    for r in L.band_sizes(lay).collect():
+        bands[r["level"], r["depth"]] = bands.get((r["level"], r["depth"]), 0) + r["rows"]
+    first = lay.tree.splits[0]
+    lo, hi = lay.plan.x_extent
+    xs = [r["x"] for r in lay.objects.select("x").collect()]
+    assert bands[6, 0] == sum(abs(x - first.value) / (hi - lo) * 320.0 < 1 for x in xs)
+    assert set(lay.phases) == {"tree", "redistribution", "clustering", "boundary", "top"} and lay.phases["boundary"] > 0
     seen = []
     session = I.ServingSession(stored, I.Viewport(1, 0.0, 0.0, 1000.0, 1000.0), listeners=[lambda a, v: seen.append(a)])
     session.zoom(1)
