@@ -12,12 +12,11 @@ from pyspark.sql import functions as F
 
 sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
 
-from multiscale_scatter.operators import kdtree  # noqa: E402
 from multiscale_scatter.operators import layout as L  # noqa: E402
 from multiscale_scatter.plans import workloads as W  # noqa: E402
-from multiscale_scatter.plans.materialize import fresh_path  # noqa: E402
+from multiscale_scatter.plans.materialize import fresh_path, materialize  # noqa: E402
 from multiscale_scatter.sources import index as I  # noqa: E402
-from multiscale_scatter.sources.fixtures import skewed  # noqa: E402
+from multiscale_scatter.sources import synthetic  # noqa: E402
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
@@ -41,6 +40,14 @@ def timed(f, *args, **kwargs):
     return out, round(time.perf_counter() - began, 3)
 
 
+def serve(name: str, stored: I.StoredLayout, view: float = 1000.0) -> dict[str, float]:
+    """Times of a trace to the densest places and back; all columns of the marks are fetched."""
+    serving = I.ServingSession(stored, I.Viewport(1, 0.0, 0.0, view, view))
+    I.run_trace(serving, I.generate_trace(stored, view, view))
+    report = I.latency_report(serving.samples)
+    return {f"{name}_{k}": round(v, 1) for k, v in report.items()}
+
+
 def main() -> None:
     spark = session()
     spark.sparkContext.setLogLevel("ERROR")
@@ -50,23 +57,18 @@ def main() -> None:
     specs = {"heatmap": W.HEATMAP, "contour": W.EVENT_CONTOUR, "pies": W.PIES, "text": W.TEXT, "circles": W.CIRCLE}
     for name, spec in specs.items():
         layout, took[f"layout_{name}"] = timed(W.lay_out, spark, SF_DIR, spec)
-        stored, took[f"index_{name}"] = timed(I.write_index, layout, fresh_path(spark, name))
-        view = 1000.0
-        serving = I.ServingSession(stored, I.Viewport(1, 0.0, 0.0, view, view))
-        trace = I.generate_trace(stored, view, view)
-        serving.request("warm", serving.view)
-        serving.samples.clear()
-        _, took[f"trace_{name}"] = timed(I.run_trace, serving, trace)
-        report = I.latency_report(serving.samples)
-        extra |= {f"{name}_fetch_p95_ms": round(report["fetch_p95_ms"], 1), f"{name}_requests": report["requests"]}
-        extra[f"{name}_objects"] = layout.objects.count()
-    for parts in (8, 4, 2, 1):
-        objects = skewed(spark, SF_DIR, parts)
-        total, _ = timed(objects.count)
-        tree, took[f"skew_tree_1_{parts}"] = timed(kdtree.build_kdtree, objects, max(1, total // 50), count=total)
-        plan = L.LayoutPlan((0.0, 1.0), (0.0, 1.0), levels=8, mem_cap=max(1, total // 50))
-        _, took[f"skew_layout_1_{parts}"] = timed(L.layout_distributed, objects, plan, tree=tree)
-        extra[f"skew_objects_1_{parts}"] = total
+        payload, took[f"statistics_{name}"] = timed(lambda: W.statistics(layout, spec.bare()).select("level", "cluster_id", "n"))
+        stored, took[f"index_{name}"] = timed(I.write_index, layout, fresh_path(spark, name), payload)
+        extra |= {f"{name}_phase_{k}_s": round(v, 2) for k, v in layout.phases.items()} | {f"{name}_objects": layout.objects.count()}
+        extra |= serve(name, stored)
+    for millions in (0.5, 1, 2, 4):
+        objects = spark.read.format("scatter_synth").option("rows", int(millions * 1_000_000)).load()
+        objects, took[f"synth_write_{millions}m"] = timed(materialize, objects, "synth")
+        plan = L.LayoutPlan((0.0, 1.0), (0.0, 1.0), levels=10, mem_cap=int(millions * 1_000_000) // 32)
+        layout, took[f"synth_layout_{millions}m"] = timed(L.layout_distributed, objects, plan)
+        stored, took[f"synth_index_{millions}m"] = timed(I.write_index, layout, fresh_path(spark, "synth"))
+        extra |= {f"synth_{millions}m_phase_{k}_s": round(v, 2) for k, v in layout.phases.items()}
+        extra |= serve(f"synth_{millions}m", stored)
     print(json.dumps({"metric": "scatter_layout_index_serve_total", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": os.path.basename(SF_DIR), "measures": extra}))
 
 

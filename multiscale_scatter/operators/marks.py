@@ -21,14 +21,16 @@ def circle_marks(marks: DataFrame, max_radius: float = 25.0) -> DataFrame:
     return marks.select("level", "cluster_id", "cx", "cy", "n", (F.lit(float(max_radius)) * F.sqrt(F.col("n") / most)).alias("radius"))
 
 
-def radar_marks(state: DataFrame, axes: list[tuple[str, str, tuple[float, float]]]) -> DataFrame:
-    """state with axes(array): each measure (name, function, extent) scaled to 0..1."""
+def radar_axes(axes: list[tuple[str, tuple[float, float]]]) -> Column:
+    """Each value column (name, extent) scaled to 0..1, as an array in their order."""
+    scaled = lambda name, extent: F.least(F.greatest((F.col(name) - extent[0]) / (extent[1] - extent[0]), F.lit(0.0)), F.lit(1.0))
+    return F.array(*(scaled(*a) for a in axes))
 
-    def scaled(name: str, function: str, extent: tuple[float, float]) -> Column:
-        v = (value_of(name, function) - extent[0]) / (extent[1] - extent[0])
-        return F.least(F.greatest(v, F.lit(0.0)), F.lit(1.0))
 
-    return state.withColumn("axes", F.array(*(scaled(*a) for a in axes)))
+def radar_marks(state: DataFrame, axes: list[tuple[str, str, tuple[float, float]]]) -> DataFrame:
+    """state with axes(array): each measure (name, function, extent) scaled to 0..1."""
+    named = state.withColumns({f"__{k}": value_of(name, function) for k, (name, function, _) in enumerate(axes)})
+    return named.withColumn("axes", radar_axes([(f"__{k}", extent) for k, (_, _, extent) in enumerate(axes)])).drop(*(f"__{k}" for k in range(len(axes))))
 
 
 def pie_marks(state: DataFrame, dimension: str, value: str = "n", domain: list[str] | None = None) -> DataFrame:
@@ -43,10 +45,9 @@ def pie_marks(state: DataFrame, dimension: str, value: str = "n", domain: list[s
     return rows.select("cluster_id", dimension, share.alias("share"), ((end - share) * turn).alias("angle0"), (end * turn).alias("angle1"))
 
 
-def text_marks(state: DataFrame, objects: DataFrame, text: str, width: int = 80) -> DataFrame:
-    """(cluster_id, text, n): the representative's text, cut for display, and how many it stands for."""
-    own = objects.select(F.col("obj_id").alias("cluster_id"), F.substring(F.col(text), 1, width).alias("text"))
-    return state.select("cluster_id", "n").join(own, "cluster_id")
+def text_marks(state: DataFrame, objects: DataFrame, text: str) -> DataFrame:
+    """state(cluster_id, n, ...) with text, the representative's; how much of it is shown is the client's matter."""
+    return state.join(objects.select(F.col("obj_id").alias("cluster_id"), F.col(text).alias("text")), "cluster_id")
 
 
 def custom_marks(payload: DataFrame, fn: Callable[[dict], dict], schema: str | T.StructType) -> DataFrame:
@@ -60,6 +61,16 @@ def custom_marks(payload: DataFrame, fn: Callable[[dict], dict], schema: str | T
     return payload.mapInPandas(run, schema)
 
 
+def custom_payload(marks: DataFrame, objects: DataFrame, name: str) -> DataFrame:
+    """marks with the payload of a named renderer: "text" has the representative's text and how many it stands for,
+    "profile" a card of all its columns."""
+    own = objects.withColumnRenamed("obj_id", "cluster_id").drop("x", "y", "z")
+    if name == "text":
+        return marks.join(text_marks(marks.select("level", "cluster_id", "n"), objects, "text").drop("n"), ["level", "cluster_id"])
+    card = own.select("cluster_id", F.to_json(F.struct(*(c for c in own.columns if c != "cluster_id"))).alias("card"))
+    return marks.join(card, "cluster_id")
+
+
 def axis_ticks(plan: LayoutPlan, level: int, count: int = 10) -> list[tuple[str, float, float]]:
     """(axis, raw value, pixel) of evenly spaced ticks."""
     out = []

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..functions import geometry as G
+from ..plans.materialize import materialize
 from .layout import Layout, LayoutPlan
 
 
@@ -36,24 +37,21 @@ def overlap_violations(marks: DataFrame, wb: float, hb: float, theta: float) ->
 def viewport_density(marks: DataFrame, wv: float, hv: float) -> DataFrame:
     """(level, most): most marks in a half-open window whose left and lower side each touch a mark.
 
-    No window holds more than such a one.  Marks meet the windows of their own cell of viewport size and
-    of those beside it.
+    No window holds more than such a one.  Each mark meets those to its right within a window's width and
+    above or below within its height, through cells of that size; along their heights a running count
+    tells how many lie in the window that begins at each.
     """
     cell = lambda c, s: F.floor(F.col(c) / s)
-    base = marks.select("level", "cx", "cy").withColumn("a", cell("cx", wv)).withColumn("b", cell("cy", hv))
-    lower = base.select("level", F.col("cx").alias("x0"), F.col("cy").alias("yl"), "a", "b")
-    lower = lower.withColumn("db", F.explode(F.array(*(F.lit(k) for k in (-1, 0, 1)))))
-    beside = lower.withColumn("da", F.explode(F.array(F.lit(0), F.lit(1))))
-    beside = beside.select("level", "x0", "yl", (F.col("a") + F.col("da")).alias("a"), (F.col("b") + F.col("db")).alias("b"))
-    # corners: x of one mark, y of another within the window
-    y_of = base.select("level", "a", "b", F.col("cy").alias("y0"), F.col("cx").alias("xb"))
-    near = (F.col("xb") >= F.col("x0")) & (F.col("xb") < F.col("x0") + wv) & (F.col("y0") <= F.col("yl")) & (F.col("yl") < F.col("y0") + hv)
-    corners = beside.join(y_of, ["level", "a", "b"]).where(near).select("level", "x0", "y0").distinct()
-    spread = corners.withColumn("da", F.explode(F.array(F.lit(0), F.lit(1)))).withColumn("db", F.explode(F.array(F.lit(0), F.lit(1))))
-    spread = spread.select("level", "x0", "y0", (cell("x0", wv) + F.col("da")).alias("a"), (cell("y0", hv) + F.col("db")).alias("b"))
-    inside = (F.col("cx") >= F.col("x0")) & (F.col("cx") < F.col("x0") + wv) & (F.col("cy") >= F.col("y0")) & (F.col("cy") < F.col("y0") + hv)
-    counts = spread.join(base, ["level", "a", "b"]).where(inside).groupBy("level", "x0", "y0").agg(F.count(F.lit(1)).alias("n"))
-    return counts.groupBy("level").agg(F.max("n").alias("most"))
+    base = marks.select("level", "cluster_id", "cx", "cy").withColumn("a", cell("cx", wv)).withColumn("b", cell("cy", hv))
+    left = base.select("level", F.col("cluster_id").alias("left"), F.col("cx").alias("x0"), F.col("cy").alias("yl"), "a", "b")
+    left = left.withColumn("da", F.explode(F.array(F.lit(0), F.lit(1)))).withColumn("db", F.explode(F.array(*(F.lit(k) for k in (-1, 0, 1)))))
+    left = left.select("level", "left", "x0", "yl", (F.col("a") + F.col("da")).alias("a"), (F.col("b") + F.col("db")).alias("b"))
+    beside = (F.col("cx") >= F.col("x0")) & (F.col("cx") < F.col("x0") + wv) & (F.col("cy") > F.col("yl") - hv) & (F.col("cy") < F.col("yl") + hv)
+    met = left.join(base.select("level", "cx", "cy", "a", "b"), ["level", "a", "b"]).where(beside).select("level", "left", "yl", "cy")
+    up = f"count(1) OVER (PARTITION BY level, `left` ORDER BY cy RANGE BETWEEN {{}} AND {float(hv)!r}D FOLLOWING)"
+    # the upper side doesn't belong to the window
+    n = F.expr(up.format("CURRENT ROW")) - F.expr(up.format(f"{float(hv)!r}D FOLLOWING"))
+    return met.withColumn("n", n).where("cy <= yl").groupBy("level").agg(F.max("n").alias("most"))
 
 
 def fullness(marks: DataFrame, plan: LayoutPlan) -> DataFrame:
@@ -83,16 +81,47 @@ def within_cluster_variation(layout: Layout, level: int) -> DataFrame:
     return joined.agg(F.avg(d).alias("variation")).select(F.lit(level).alias("level"), "variation")
 
 
+def percent_ranks(objects: DataFrame) -> DataFrame:
+    """(cluster_id, p): the share of the other objects that are less important, in as many tasks as there are ranges of z.
+
+    Equal values have one rank; only how many rows a range has goes to the driver.
+    """
+    values = objects.groupBy("z").agg(F.count(F.lit(1)).alias("n"))
+    dealt = materialize(values.repartitionByRange(F.col("z").asc_nulls_first()).withColumn("part", F.spark_partition_id()), "ranks")
+    sizes = sorted((r["part"], r["n"]) for r in dealt.groupBy("part").agg(F.sum("n").alias("n")).collect())
+    starts, total = [], 0
+    for part, n in sizes:
+        starts.append((part, total))
+        total += n
+    before = W.partitionBy("part").orderBy(F.col("z").asc_nulls_first()).rowsBetween(W.unboundedPreceding, -1)
+    base = objects.sparkSession.createDataFrame(starts, "part int, base long")
+    below = F.coalesce(F.sum("n").over(before), F.lit(0))
+    ranks = dealt.withColumn("below", below).join(F.broadcast(base), "part").select("z", ((F.col("below") + F.col("base")) / F.lit(float(max(total - 1, 1)))).alias("p"))
+    named = ranks.withColumnRenamed("z", "rz")
+    return objects.select(F.col("obj_id").alias("cluster_id"), "z").join(named, F.col("z").eqNullSafe(F.col("rz"))).select("cluster_id", "p")
+
+
 def importance_by_level(visible: DataFrame, objects: DataFrame, top_share: float = 0.1) -> DataFrame:
     """(level, mean_rank, top_visible): mean percentile of the visible objects' importance (1 best), and the
     share of the most important objects that is visible."""
-    ranked = objects.select(F.col("obj_id").alias("cluster_id"), F.percent_rank().over(W.orderBy(F.col("z").asc_nulls_first())).alias("p"))
+    ranked = percent_ranks(objects)
     top = F.col("p") >= 1 - top_share
     best = ranked.agg(F.sum(top.cast("long")).alias("best"))
     out = visible.join(ranked, "cluster_id").groupBy("level").agg(F.avg("p").alias("mean_rank"), F.sum(top.cast("long")).alias("seen"))
     return out.crossJoin(F.broadcast(best)).select("level", "mean_rank", (F.col("seen") / F.col("best")).alias("top_visible"))
 
 
+def quality(layout: Layout) -> DataFrame:
+    """(level, marks, violations, most, occupied, mean_rank): the measures of a layout's marks side by side."""
+    p = layout.plan
+    marks = materialize(layout.marks(), "marks")
+    full = fullness(marks, p).select("level", "marks", "occupied")
+    clash = overlap_violations(marks, *p.box, p.theta)
+    dense = viewport_density(marks, *p.top)
+    important = importance_by_level(marks.select("level", "cluster_id"), layout.objects).select("level", "mean_rank")
+    return full.join(clash, "level").join(dense, "level").join(important, "level")
+
+
 def mass_conservation(states: DataFrame) -> DataFrame:
     """(level, objects): the counts of a level add up to the number of objects."""
     return states.groupBy("level").agg(F.sum("n").alias("objects"))
@@ -114,7 +143,3 @@ def provision(objects: int, most: int = 2_000_000, per_node: int = 8) -> tuple[i
     """(partitions, nodes)."""
     parts = math.ceil(objects / most)
     return parts, math.ceil(parts / per_node)
-
-
-def visible_in(marks: DataFrame, level: Column | int) -> DataFrame:
-    return marks.where(F.col("level") == level)

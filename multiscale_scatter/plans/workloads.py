@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from ..operators import kde
+from ..operators import kde, marks
 from ..operators import layout as L
-from ..operators.rollup import all_levels
+from ..operators.rollup import all_levels, value_of
+from .materialize import materialize
 from ..sources.fixtures import LINE_ID, register, skewed
 from .spec import (
     AggFn, Aggregate, Axis, Boundary, ClusterMark, Compiled, Config, CustomRef, Dimension, HoverMark, Importance, LayoutSpec, Marks, Measure, Mode, Ranklist, ScatterSpec, compile_spec,
@@ -32,8 +33,8 @@ PROFILE = _spec(
     Axis("c_acctbal"), Axis("total"), "total", Config(id="c_custkey", box_width=160.0, box_height=130.0), theta=0.5, custom=CustomRef("profile"),
 )
 PIES = _spec(
-    Mode.PIE, f"SELECT {LINE_ID} AS id, l_extendedprice / l_quantity AS unit_price, l_quantity, l_shipdate, dayofweek(CAST(l_shipdate AS TIMESTAMP)) - 1 AS weekday FROM lineitem",
-    Axis("unit_price", (0.0, 10000.0)), Axis("l_quantity", (0.0, 51.0)), "l_shipdate", Config(id="id", num_levels=8, mem_cap=67_000),
+    Mode.PIE, f"SELECT {LINE_ID} AS id, log10(l_extendedprice / l_quantity) AS unit_price, l_quantity, l_shipdate, dayofweek(CAST(l_shipdate AS TIMESTAMP)) - 1 AS weekday FROM lineitem",
+    Axis("unit_price", (0.0, 5.5)), Axis("l_quantity", (0.0, 51.0)), "l_shipdate", Config(id="id", num_levels=8, mem_cap=67_000),
     measures=(_COUNT, Measure("l_quantity", AggFn.SUM)), dimensions=(Dimension("weekday", tuple(map(str, range(7)))),), hover=HoverMark(Ranklist(3), Boundary.HULL),
 )
 TEXT = _spec(
@@ -73,6 +74,43 @@ def statistics(layout: L.Layout, spec: ScatterSpec) -> DataFrame:
     return all_levels(layout, measures=sources, dimensions=[d.field for d in agg.dimensions], k=ranks, hull=hull)
 
 
+def payload(layout: L.Layout, spec: ScatterSpec) -> DataFrame:
+    """What a client draws of each mark: level, cluster_id, n; a column for each measure; slices (value of the
+    dimension to count); top (ids of the most important objects); box or hull of the members."""
+    agg, hover = spec.marks.cluster.aggregate, spec.marks.hover
+    measures = {f"m{k}": m for k, m in enumerate(agg.measures) if m.field != "*"}
+    ranks = hover.ranklist.k if hover and hover.ranklist else 0
+    hull = bool(hover and hover.boundary is Boundary.HULL)
+    state = all_levels(layout, measures={n: m.field for n, m in measures.items()}, k=ranks, hull=hull)
+    cols = ["level", "cluster_id", "n", *(value_of(n, m.function.value).alias(f"{m.function.value}_{m.field}") for n, m in measures.items())]
+    cols += [F.col("topk.obj_id").alias("top")] if ranks else []
+    if hover and hover.boundary is not None:
+        cols.append(F.col("hull") if hull else F.struct("x0", "y0", "x1", "y1").alias("members_box"))
+    out = state.select(*cols)
+    if agg.dimensions:
+        names = [d.field for d in agg.dimensions]
+        parts = all_levels(layout, dimensions=names)
+        key = F.concat_ws("|", *names)  # as many as the domains have, whatever the cluster's size
+        slices = parts.groupBy("level", "cluster_id").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct(key.alias("key"), F.col("n").alias("value"))))).alias("slices"))
+        out = out.join(slices, ["level", "cluster_id"])
+    return out
+
+
+def marks_with_payload(layout: L.Layout, spec: ScatterSpec) -> DataFrame:
+    """Marks of all levels with their places, payload, and what the document's mode draws of them."""
+    rows = layout.marks().join(payload(layout, spec), ["level", "cluster_id"])
+    mode, custom = spec.marks.cluster.mode, spec.marks.cluster.custom
+    if mode is Mode.CIRCLE:
+        size = marks.circle_marks(rows, spec.config.max_radius).select("level", "cluster_id", "radius")
+        rows = rows.join(size, ["level", "cluster_id"])
+    elif mode is Mode.RADAR:
+        axes = [(f"{m.function.value}_{m.field}", m.extent) for m in spec.marks.cluster.aggregate.measures]
+        rows = rows.withColumn("axes", marks.radar_axes(axes))
+    elif mode is Mode.CUSTOM and custom is not None:
+        rows = marks.custom_payload(rows, layout.objects, custom.name)
+    return rows
+
+
 def synthetic(spark: SparkSession, sf_dir: str, parts: int = 1, leaves: int = 500) -> L.Layout:
     """The skewed synthetic circles, one of `parts` of the objects, as many leaves as asked for."""
     objects = skewed(spark, sf_dir, parts)
@@ -84,21 +122,16 @@ def _per_level(layout: L.Layout) -> DataFrame:
     return layout.visible().groupBy("level").count().withColumnRenamed("count", "marks")
 
 
-def _workload(spec: ScatterSpec) -> Callable:
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return _per_level(lay_out(spark, sf_dir, spec))
-
-    return run
-
+def density_of_level(layout: L.Layout, spec: ScatterSpec, level: int, cell: float = 10.0) -> DataFrame:
+    """(gx, gy, density): the density grid of a level, from its marks weighted by the objects they stand for."""
+    rows = layout.marks(level).join(payload(layout, spec).where(F.col("level") == level).select("cluster_id", "n"), "cluster_id")
+    return kde.heatmap(rows, cell, spec.config.bandwidth, F.col("n"))
 
-def heatmap_level(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Density grid of the top level of the heatmap, from its weighted marks."""
-    layout = lay_out(spark, sf_dir, HEATMAP)
-    state = statistics(layout, HEATMAP).where("level = 1")
-    marks = layout.marks(1).join(state.select("cluster_id", "n"), "cluster_id")
-    from pyspark.sql import functions as F
 
-    return kde.heatmap(marks, 10.0, HEATMAP.config.bandwidth, F.col("n"))
+def contour_lines(layout: L.Layout, spec: ScatterSpec, level: int, bands: int = 5, cell: float = 10.0) -> DataFrame:
+    """(threshold, x0, y0, x1, y1): the contour lines of a level."""
+    density = materialize(density_of_level(layout, spec, level, cell), "density")
+    return kde.contours(density, kde.thresholds(density, bands), cell)
 
 
 def smaller(spec: ScatterSpec, levels: int) -> ScatterSpec:

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 from ..operators import baselines, kdtree, measures
 from ..operators import layout as L
 from ..operators.rollup import all_levels
-from ..plans.materialize import materialize
 from ..sources.fixtures import CUSTOMER, EVENTS, LINEITEM, ORDERS, PART, SUPPLIER, Fixture
 
 
@@ -24,11 +23,11 @@ def layout_single_customer(spark, d):
 
 
 def layout_single_part(spark, d):
-    return _edges(L.layout_single(PART.objects(spark, d), PART.plan(levels=3)))
+    return _edges(L.layout_single(PART.objects(spark, d), PART.plan()))
 
 
 def layout_rounds_part(spark, d):
-    return _edges(L.layout_rounds(PART.objects(spark, d), PART.plan(levels=3)))
+    return _edges(L.layout_rounds(PART.objects(spark, d), PART.plan()))
 
 
 def layout_rounds_supplier(spark, d):
@@ -45,9 +44,8 @@ def layout_scan_supplier(spark, d):
 
 
 def layout_outliers_part(spark, d):
-    """Isolated objects stay visible on the level, whatever their importance."""
-    layout = L.layout_single(PART.objects(spark, d), PART.plan())
-    return layout.visible(6).select("cluster_id")
+    """Objects without another nearby stay visible on a level, whatever their importance: the marks of all levels."""
+    return L.layout_single(PART.objects(spark, d), PART.plan()).visible()
 
 
 def _violations(layout):
@@ -70,7 +68,7 @@ def no_repair_violations(spark, d):
 
 
 def hash_partition_violations(spark, d):
-    return _violations(L.layout_hash_partition(ORDERS.objects(spark, d), ORDERS.plan(levels=3), 4))
+    return _violations(L.layout_hash_partition(ORDERS.objects(spark, d), ORDERS.plan(), 4))
 
 
 def distributed_zoom_consistency(spark, d):
@@ -118,11 +116,29 @@ def kd_median(spark, d):
 
 
 def boundary_band(spark, d):
-    """Rows near the first split, in box widths of the bottom level."""
-    rows = EVENTS.pixels(spark, d, 6)
-    median = materialize(kd_median(spark, d), "median")
-    split = (F.col("median") - EVENTS.x_extent[0]) / (EVENTS.x_extent[1] - EVENTS.x_extent[0]) * 32000.0
-    return rows.crossJoin(F.broadcast(median)).where(F.abs(F.col("cx") - split) < 100.0).agg(F.count(F.lit(1)).alias("near"))
+    """Rows near the first split of the bottom level, as the repair counts them."""
+    layout = L.layout_distributed(EVENTS.objects(spark, d), EVENTS.plan(mem_cap=-(-EVENTS.pixels(spark, d, 1).count() // 2) + 1), hybrid=False)
+    return L.band_sizes(layout).where("level = 6").agg(F.sum("rows").alias("near"))
+
+
+def band_sizes_by_depth(spark, d):
+    """Where the boundary merge spends its time: rows near the splits, by level and depth of the tree."""
+    layout = L.layout_distributed(EVENTS.objects(spark, d), EVENTS.plan(mem_cap=500), hybrid=False)
+    return L.band_sizes(layout).groupBy("level", "depth").agg(F.count(F.lit(1)).alias("splits"), F.sum("rows").alias("rows"), F.max("rows").alias("largest"))
+
+
+def layout_mark_counts(spark, d):
+    """Marks of each level, for single, distributed, hash-partitioned, top-down, unrepaired layouts and the nested sample."""
+    rows, plan = CUSTOMER.objects(spark, d), CUSTOMER.plan(mem_cap=400)
+    layouts = {
+        "single": L.layout_single(rows, plan), "distributed": L.layout_distributed(rows, plan, hybrid=False), "hybrid": L.layout_distributed(rows, plan),
+        "hash": L.layout_hash_partition(rows, plan, 4), "unrepaired": L.layout_distributed(rows, plan, hybrid=False, repair=False), "top_down": L.layout_top_down(rows, plan),
+    }
+    parts = [measures.quality(lay).select(F.lit(name).alias("layout"), "*") for name, lay in layouts.items()]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
 
 
 def kd_skew(spark, d):
@@ -140,18 +156,24 @@ QUERIES = {
     for f in (
         layout_single_supplier, layout_single_customer, layout_single_part, layout_rounds_part, layout_rounds_supplier, layout_distributed_one_leaf,
         layout_scan_supplier, layout_outliers_part, distributed_violations, hybrid_violations, no_repair_violations, hash_partition_violations,
-        distributed_zoom_consistency, distributed_mass, topdown_sampling, relayout_added, kd_leaf_counts, kd_assign, kd_median, boundary_band, kd_skew, grid_partition_skew,
+        distributed_zoom_consistency, distributed_mass, topdown_sampling, relayout_added, band_sizes_by_depth, layout_mark_counts, kd_leaf_counts, kd_assign, kd_median, boundary_band, kd_skew, grid_partition_skew,
     )
 }
 
 
 def greedy_sql(fixture: Fixture, levels: int, lowest_only: bool = False) -> str:
-    """Edges of all levels, row by row in order of importance with the list of placed marks carried along."""
+    """Edges of all levels of a fixture's layout."""
+    ends = [f"{a!r}::DOUBLE; {b!r}::DOUBLE" for a, b in (fixture.x_extent, fixture.y_extent)]
+    return greedy_sql_of(fixture.sql(), *ends, levels, lowest_only=lowest_only)
+
+
+def greedy_sql_of(objects: str, x_extent: str, y_extent: str, levels: int, box: tuple[float, float] = (100.0, 100.0), theta: float = 1.0, lowest_only: bool = False) -> str:
+    """Edges of all levels, row by row in order of importance with the list of placed marks carried along; extents: "low; high"."""
     size = 1000.0 * 2 ** (levels - 1)
-    (x0, x1), (y0, y1) = fixture.x_extent, fixture.y_extent
+    (x0, x1), (y0, y1) = (tuple(part.strip() for part in e.split(";")) for e in (x_extent, y_extent))
     ctes = [
-        f"o{levels} AS (SELECT obj_id, (x - {x0!r}::DOUBLE) / {x1 - x0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS u, (y - {y0!r}::DOUBLE) / {y1 - y0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS v, "
-        f"row_number() OVER (ORDER BY z DESC, obj_id) AS r FROM {fixture.sql()} WHERE x BETWEEN {x0!r} AND {x1!r} AND y BETWEEN {y0!r} AND {y1!r})"
+        f"o{levels} AS (SELECT obj_id, (x - {x0}) / ({x1} - {x0}) * {size!r}::DOUBLE / {box[0]!r} AS u, (y - {y0}) / ({y1} - {y0}) * {size!r}::DOUBLE / {box[1]!r} AS v, "
+        f"row_number() OVER (ORDER BY z DESC, obj_id) AS r FROM ({objects}) WHERE x BETWEEN {x0} AND {x1} AND y BETWEEN {y0} AND {y1})"
     ]
     for level in range(levels, levels - 1 if lowest_only else 0, -1):
         scale = 2.0 ** (level - levels)
@@ -164,13 +186,37 @@ def greedy_sql(fixture: Fixture, levels: int, lowest_only: bool = False) -> str:
   SELECT r, obj_id, coalesce(near.i, obj_id), CASE WHEN near IS NULL THEN list_append(kept, {{'i': obj_id, 'u': u, 'v': v, 'r': r}}) ELSE kept END
   FROM (SELECT o.r, o.obj_id, o.u * {scale!r} AS u, o.v * {scale!r} AS v, g.kept,
           (SELECT arg_min(k, (greatest(abs(k.u - o.u * {scale!r}), abs(k.v - o.v * {scale!r})), k.r)) FROM unnest(g.kept) AS t(k)
-           WHERE greatest(abs(k.u - o.u * {scale!r}), abs(k.v - o.v * {scale!r})) < 1) AS near
+           WHERE greatest(abs(k.u - o.u * {scale!r}), abs(k.v - o.v * {scale!r})) < {theta!r}) AS near
         FROM g{level} g JOIN o{level} o ON o.r = g.r + 1))"""
         )
     parts = " UNION ALL ".join(f"SELECT {level} AS level, child, parent FROM g{level} WHERE child IS NOT NULL" for level in range(levels, levels - 1 if lowest_only else 0, -1))
     return "WITH RECURSIVE " + ",\n".join(ctes) + "\n" + parts
 
 
+def topdown_sql(fixture: Fixture, levels: int) -> str:
+    """Marks of all levels from the top: the kept of the level above come first, then the others by importance."""
+    size = 1000.0 * 2 ** (levels - 1)
+    (x0, x1), (y0, y1) = fixture.x_extent, fixture.y_extent
+    ctes = [
+        f"o AS (SELECT obj_id, (x - {x0!r}::DOUBLE) / {x1 - x0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS u, (y - {y0!r}::DOUBLE) / {y1 - y0!r}::DOUBLE * {size!r}::DOUBLE / 100.0 AS v, "
+        f"row_number() OVER (ORDER BY z DESC, obj_id) AS w FROM {fixture.sql()} WHERE x BETWEEN {x0!r} AND {x1!r} AND y BETWEEN {y0!r} AND {y1!r})"
+    ]
+    for level in range(1, levels + 1):
+        above = f"obj_id IN (SELECT obj_id FROM t{level - 1} WHERE stays)" if level > 1 else "false"
+        scale = 2.0 ** (level - levels)
+        ctes.append(f"s{level} AS (SELECT obj_id, u * {scale!r} AS u, v * {scale!r} AS v, row_number() OVER (ORDER BY CASE WHEN {above} THEN 0 ELSE 1 END, w) AS r FROM o)")
+        ctes.append(
+            f"""t{level}(r, obj_id, stays, kept) AS (
+  SELECT CAST(0 AS BIGINT), CAST(NULL AS BIGINT), false, CAST([] AS STRUCT(u DOUBLE, v DOUBLE)[])
+  UNION ALL
+  SELECT r, obj_id, free, CASE WHEN free THEN list_append(kept, {{'u': u, 'v': v}}) ELSE kept END
+  FROM (SELECT o.r, o.obj_id, o.u, o.v, t.kept, NOT EXISTS (SELECT 1 FROM unnest(t.kept) AS q(k) WHERE greatest(abs(k.u - o.u), abs(k.v - o.v)) < 1) AS free
+        FROM t{level} t JOIN s{level} o ON o.r = t.r + 1))"""
+        )
+    parts = " UNION ALL ".join(f"SELECT {level} AS level, obj_id AS cluster_id FROM t{level} WHERE stays" for level in range(1, levels + 1))
+    return "WITH RECURSIVE " + ",\n".join(ctes) + "\n" + parts
+
+
 _FIVE = "SELECT level, CAST(0 AS BIGINT) AS violations FROM range(1, {n}) AS t(level)"
 SQL = {
     "layout_single_supplier": greedy_sql(SUPPLIER, 6),
@@ -186,11 +232,12 @@ SQL = {
       h AS (SELECT l, y AS v FROM q WHERE r = n // 2)
       SELECT CASE WHEN s.l AND s.y < h.v THEN 0 WHEN s.l THEN 1 WHEN s.y < h.v THEN 2 ELSE 3 END AS pid, count(*) AS n FROM s JOIN h ON s.l = h.l GROUP BY 1""",
     "kd_assign": f"WITH p AS (SELECT obj_id, x FROM {SUPPLIER.sql()}), m AS (SELECT (SELECT x FROM p ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM p)) AS v) SELECT obj_id, CASE WHEN x < v THEN 0 ELSE 1 END AS pid FROM p, m",
+    "topdown_sampling": topdown_sql(CUSTOMER, 6),
     "kd_median": f"SELECT x AS median FROM {EVENTS.sql()} ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM events)",
     "boundary_band": f"""WITH m AS (SELECT x AS median FROM {EVENTS.sql()} ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM events))
       SELECT count(*) AS near FROM {EVENTS.pixels_sql(6)}, m WHERE abs(cx - (median - 1704067200.0) / 2592000.0 * 32000.0) < 100.0""",
     "grid_partition_skew": f"SELECT CAST(least(floor(cx / 125.0), 7) + least(floor(cy / 125.0), 7) * 8 AS INTEGER) AS pid, count(*) AS n FROM {EVENTS.pixels_sql(1)} GROUP BY 1",
-    "layout_outliers_part": f"SELECT child AS cluster_id FROM ({greedy_sql(PART, 6, True)}) WHERE child = parent",
+    "layout_outliers_part": f"SELECT level, child AS cluster_id FROM ({greedy_sql(PART, 6)}) WHERE child = parent",
 }
-for _name, _fixture, _levels in (("layout_single_customer", CUSTOMER, 6), ("layout_distributed_one_leaf", CUSTOMER, 6), ("layout_single_part", PART, 3), ("layout_rounds_part", PART, 3)):
+for _name, _fixture, _levels in (("layout_single_customer", CUSTOMER, 6), ("layout_distributed_one_leaf", CUSTOMER, 6), ("layout_single_part", PART, 6), ("layout_rounds_part", PART, 6)):
     SQL[_name] = greedy_sql(_fixture, _levels)
