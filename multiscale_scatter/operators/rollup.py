@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql import Window as W
 
 from ..plans.materialize import materialize
 from .kernels import convex_hull, polygon_area
@@ -34,6 +35,12 @@ def hull_of(points: pd.Series) -> pd.Series:
     return points.map(one)
 
 
+@F.pandas_udf(T.DoubleType())
+def hull_area_of(x: pd.Series, y: pd.Series) -> float:
+    """Aggregate: area of the convex hull of a group's points; for groups of a bounded size."""
+    return float(polygon_area(convex_hull(np.stack([x.to_numpy(float), y.to_numpy(float)], axis=1))))
+
+
 @F.pandas_udf(T.DoubleType())
 def hull_area(points: pd.Series) -> pd.Series:
     return points.map(lambda ps: polygon_area(convex_hull(np.array([(p["x"], p["y"]) for p in ps], float))) if ps is not None and len(ps) else 0.0)
@@ -55,18 +62,41 @@ def single_state(layout: Layout, measures: dict[str, str], dimensions: list[str]
     return layout.objects.select(*cols)
 
 
+#: Children whose top lists or boundaries one row gathers.
+GATHERED = 1024
+
+
+def _top_lists(state: DataFrame, keys: list[str], k: int) -> DataFrame:
+    """(keys, topk): of all lists under a key the first k entries; ranks prune to k a task before the shuffle."""
+    first = W.partitionBy(*keys).orderBy("t.w", "t.obj_id")
+    rows = state.select(*keys, F.explode("topk").alias("t")).withColumn("place", F.row_number().over(first)).where(F.col("place") <= k)
+    return rows.groupBy(*keys).agg(F.array_sort(F.collect_list("t")).alias("topk"))
+
+
+def _hulls(state: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys, hull): boundaries of at most GATHERED children are merged at once, then those of the merged."""
+    number = F.row_number().over(W.partitionBy(*keys).orderBy(F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1")))
+    dealt = state.select(*keys, "hull", F.floor((number - 1) / GATHERED).alias("part"))
+    once = dealt.groupBy(*keys, "part").agg(F.flatten(F.collect_list("hull")).alias("hull")).withColumn("hull", hull_of("hull"))
+    return once.groupBy(*keys).agg(F.flatten(F.collect_list("hull")).alias("hull")).withColumn("hull", hull_of("hull"))
+
+
 def _merged(state: DataFrame, keys: list[str], measures: dict[str, str], k: int, hull: bool) -> DataFrame:
     aggs = [F.sum("n").alias("n")]
     for name in measures:
         aggs += [F.sum(f"{name}_{s}").alias(f"{name}_{s}") for s in ("cnt", "sum", "sumsq")]
         aggs += [F.min(f"{name}_min").alias(f"{name}_min"), F.max(f"{name}_max").alias(f"{name}_max")]
     aggs += [F.min("x0").alias("x0"), F.min("y0").alias("y0"), F.max("x1").alias("x1"), F.max("y1").alias("y1")]
-    if k:
-        aggs.append(F.slice(F.array_sort(F.flatten(F.collect_list("topk"))), 1, k).alias("topk"))
-    if hull:
-        aggs.append(F.flatten(F.collect_list("hull")).alias("hull"))
     out = state.groupBy(*keys).agg(*aggs)
-    return out.withColumn("hull", hull_of("hull")) if hull else out
+    for wanted, part in ((k, lambda: _top_lists(state, keys, k)), (hull, lambda: _hulls(state, keys))):
+        if wanted:
+            more = part()
+            same = [out[c].eqNullSafe(more[c]) for c in keys]
+            both = same[0]
+            for c in same[1:]:
+                both = both & c
+            out = out.join(more, both).select(*(out[c] for c in out.columns), more[more.columns[-1]])
+    return out
 
 
 def roll_up(layout: Layout, measures: dict[str, str] | None = None, dimensions: list[str] | None = None, k: int = 0, hull: bool = False) -> Iterator[tuple[int, DataFrame]]:

@@ -19,24 +19,30 @@ def ncd_pairs(spark, d):
     return close_pairs(marks, 100.0, 100.0, 1.0).select("id1", "id2", F.round("d", 6).alias("d"))
 
 
-def _self_pairs(spark, d, fixture, level):
-    a = fixture.pixels(spark, d, level).select(F.col("obj_id").alias("id1"), F.col("cx").alias("x1"), F.col("cy").alias("y1"))
-    b = fixture.pixels(spark, d, level).select(F.col("obj_id").alias("id2"), F.col("cx").alias("x2"), F.col("cy").alias("y2"))
-    return a.join(b, F.col("id1") < F.col("id2"))  # the supplier table: pairs of a small, fixed set
+def _near_and_all(spark, d, fixture, level, wb, hb, theta):
+    """(pairs closer than theta with both places, number of all pairs): what is farther need not be looked at."""
+    marks = fixture.pixels(spark, d, level).withColumns({"level": F.lit(level), "cluster_id": F.col("obj_id")})
+    pairs = close_pairs(marks, wb, hb, theta).select("id1", "id2", "d")
+    for k in (1, 2):
+        pairs = pairs.join(marks.select(F.col("obj_id").alias(f"id{k}"), F.col("cx").alias(f"x{k}"), F.col("cy").alias(f"y{k}")), f"id{k}")
+    n = marks.agg((F.count(F.lit(1)) * (F.count(F.lit(1)) - 1) / 2).cast("long").alias("all"))
+    return pairs, n
 
 
 def overlap_classes(spark, d):
-    pairs = _self_pairs(spark, d, SUPPLIER, 2)
-    kind = G.overlap_kind(G.ncd(F.col("x1"), F.col("y1"), F.col("x2"), F.col("y2"), 100.0, 100.0))
-    return pairs.groupBy(kind.alias("kind")).agg(F.count(F.lit(1)).alias("pairs"))
+    pairs, n = _near_and_all(spark, d, SUPPLIER, 2, 100.0, 100.0, 1.0)
+    kinds = pairs.groupBy(G.overlap_kind(F.col("d")).alias("kind")).agg(F.count(F.lit(1)).alias("pairs"))
+    rest = n.crossJoin(F.broadcast(pairs.agg(F.count(F.lit(1)).alias("near")))).select(F.lit("none").alias("kind"), (F.col("all") - F.col("near")).alias("pairs"))
+    return kinds.unionByName(rest).where("pairs > 0")
 
 
 def scaled_box_equiv(spark, d):
-    pairs = _self_pairs(spark, d, SUPPLIER, 2)
-    places = [F.col(c) for c in ("x1", "y1", "x2", "y2")]
-    apart = G.scaled_boxes_disjoint(*places, 128.0, 64.0, 0.5)
-    far = G.ncd(*places, 128.0, 64.0) >= 0.5
-    return pairs.groupBy(apart.alias("disjoint"), far.alias("far")).agg(F.count(F.lit(1)).alias("pairs"))
+    """Boxes scaled by theta are disjoint just where the distance is theta at least; beyond twice theta both hold."""
+    pairs, n = _near_and_all(spark, d, SUPPLIER, 2, 128.0, 64.0, 1.0)
+    apart = G.scaled_boxes_disjoint(*(F.col(c) for c in ("x1", "y1", "x2", "y2")), 128.0, 64.0, 0.5)
+    seen = pairs.groupBy(apart.alias("disjoint"), (F.col("d") >= 0.5).alias("far")).agg(F.count(F.lit(1)).alias("pairs"))
+    rest = n.crossJoin(F.broadcast(pairs.agg(F.count(F.lit(1)).alias("near")))).select(F.lit(True).alias("disjoint"), F.lit(True).alias("far"), (F.col("all") - F.col("near")).alias("pairs"))
+    return seen.unionByName(rest).groupBy("disjoint", "far").agg(F.sum("pairs").alias("pairs")).where("pairs > 0")
 
 
 def viewport_capacity(spark, d):

@@ -217,6 +217,18 @@ def topdown_sql(fixture: Fixture, levels: int) -> str:
     return "WITH RECURSIVE " + ",\n".join(ctes) + "\n" + parts
 
 
+def kd_sql(fixture: Fixture, most: int, depths: int) -> str:
+    """Leaves of the tree of exact medians: x and y by turns, below and at or above the value in the middle."""
+    ctes = [f"d0 AS (SELECT x, y, 1 AS node, false AS leaf FROM {fixture.sql()})"]
+    for k in range(depths):
+        c = "xy"[k % 2]
+        ctes.append(f"n{k} AS (SELECT *, count(*) OVER (PARTITION BY node) AS n, row_number() OVER (PARTITION BY node ORDER BY {c}) - 1 AS r FROM d{k})")
+        ctes.append(f"c{k} AS (SELECT node, max({c}) FILTER (r = n // 2) AS m, min({c}) AS lo FROM n{k} GROUP BY node)")
+        ctes.append(f"v{k} AS (SELECT c.node, CASE WHEN lo < m THEN m ELSE (SELECT min({c}) FROM n{k} q WHERE q.node = c.node AND q.{c} > c.m) END AS v FROM c{k} c)")
+        ctes.append(f"d{k + 1} AS (SELECT x, y, CASE WHEN n.leaf OR n.n <= {most} THEN n.node ELSE n.node * 2 + CASE WHEN {c} < v THEN 0 ELSE 1 END END AS node, n.leaf OR n.n <= {most} AS leaf FROM n{k} n JOIN v{k} v ON n.node = v.node)")
+    return "WITH " + ", ".join(ctes) + f" SELECT count(*) AS leaves, max(n) AS largest FROM (SELECT node, count(*) AS n FROM d{depths} GROUP BY node)"
+
+
 _FIVE = "SELECT level, CAST(0 AS BIGINT) AS violations FROM range(1, {n}) AS t(level)"
 SQL = {
     "layout_single_supplier": greedy_sql(SUPPLIER, 6),
@@ -233,6 +245,7 @@ SQL = {
       SELECT CASE WHEN s.l AND s.y < h.v THEN 0 WHEN s.l THEN 1 WHEN s.y < h.v THEN 2 ELSE 3 END AS pid, count(*) AS n FROM s JOIN h ON s.l = h.l GROUP BY 1""",
     "kd_assign": f"WITH p AS (SELECT obj_id, x FROM {SUPPLIER.sql()}), m AS (SELECT (SELECT x FROM p ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM p)) AS v) SELECT obj_id, CASE WHEN x < v THEN 0 ELSE 1 END AS pid FROM p, m",
     "topdown_sampling": topdown_sql(CUSTOMER, 6),
+    "kd_skew": kd_sql(LINEITEM, 2000, 12),
     "kd_median": f"SELECT x AS median FROM {EVENTS.sql()} ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM events)",
     "boundary_band": f"""WITH m AS (SELECT x AS median FROM {EVENTS.sql()} ORDER BY x LIMIT 1 OFFSET (SELECT count(*) // 2 FROM events))
       SELECT count(*) AS near FROM {EVENTS.pixels_sql(6)}, m WHERE abs(cx - (median - 1704067200.0) / 2592000.0 * 32000.0) < 100.0""",

@@ -11,7 +11,8 @@ from ..operators import kdtree
 from ..operators import layout as L
 from ..plans.materialize import fresh_path
 from ..sources.fixtures import CUSTOMER, EVENTS, ORDERS, PIE, SUPPLIER, register, table
-from ..sources.index import Viewport, fetch, write_index
+from ..sources.index import ServingSession, Viewport, fetch, linked_fetch, write_index
+from .layout_queries import greedy_sql
 
 VIEW = (6000.0, 500.0, 9000.0, 3000.0)
 
@@ -20,17 +21,19 @@ def viewport_fetch(spark, d):
     return EVENTS.pixels(spark, d, 4).where(G.viewport_predicate(*VIEW, 100.0, 100.0)).select("obj_id")
 
 
+def _stored(spark, d, fixture=EVENTS, levels=4):
+    """The stored index of a layout in which nothing merges, so that SQL has the same marks."""
+    plan = fixture.plan(theta=0.0, levels=levels, mem_cap=500)
+    return write_index(L.layout_distributed(fixture.objects(spark, d), plan, hybrid=False), fresh_path(spark, "index"))
+
+
 def viewport_fetch_bbox(spark, d):
-    rows = EVENTS.pixels(spark, d, 4).withColumn("b", G.mark_box(F.col("cx"), F.col("cy"), 100.0, 100.0))
-    x0, y0, x1, y1 = VIEW
-    return rows.where((F.col("b.x0") <= x1) & (F.col("b.x1") >= x0) & (F.col("b.y0") <= y1) & (F.col("b.y1") >= y0)).select("obj_id")
+    """By the boxes themselves, which no reader can use."""
+    return fetch(_stored(spark, d), Viewport(4, *VIEW), pushdown=False).select(F.col("cluster_id").alias("obj_id"))
 
 
 def viewport_fetch_index(spark, d):
-    """Through the stored index of a layout in which nothing merges, so that SQL has the same marks."""
-    plan = EVENTS.plan(theta=0.0, levels=4, mem_cap=500)
-    stored = write_index(L.layout_distributed(EVENTS.objects(spark, d), plan, hybrid=False), fresh_path(spark, "index"))
-    return fetch(stored, Viewport(4, *VIEW)).select(F.col("cluster_id").alias("obj_id"))
+    return fetch(_stored(spark, d), Viewport(4, *VIEW)).select(F.col("cluster_id").alias("obj_id"))
 
 
 def kd_prune(spark, d):
@@ -44,13 +47,15 @@ def kd_prune(spark, d):
 
 
 def visible_items(spark, d):
-    return viewport_fetch(spark, d).agg(F.count(F.lit(1)).alias("items"))
+    session = ServingSession(_stored(spark, d), Viewport(4, *VIEW))
+    return session.visible_items().agg(F.count(F.lit(1)).alias("items"))
 
 
 def linked_view_semi(spark, d):
-    picked = CUSTOMER.pixels(spark, d, 1).where("cx < 300").select("obj_id")
-    orders = table(spark, d, "orders").select("o_orderkey", "o_custkey")
-    return orders.join(picked, orders["o_custkey"] == picked["obj_id"], "left_semi").select("o_orderkey")
+    """Marks of the orders' view that belong to customers picked in theirs."""
+    picked = CUSTOMER.pixels(spark, d, 1).where("cx < 300").select(F.col("obj_id").alias("c"))
+    ids = table(spark, d, "orders").join(picked, F.col("o_custkey") == F.col("c"), "left_semi").select(F.col("o_orderkey").alias("obj_id"))
+    return linked_fetch(_stored(spark, d, ORDERS, 1), ids, 1).select(F.col("cluster_id").alias("o_orderkey"))
 
 
 def linked_view_anti(spark, d):
@@ -127,17 +132,24 @@ def asof_events(spark, d):
 
 
 def nearest_kept(spark, d):
-    """For each supplier off the sample the nearest one on it, within the box."""
+    """For each supplier that no mark of the top level stands for itself the nearest mark, within a box of 150."""
     rows = SUPPLIER.pixels(spark, d, 1)
-    kept = rows.where("obj_id % 4 = 0").select(F.col("obj_id").alias("k"), F.col("cx").alias("kx"), F.col("cy").alias("ky"))
+    seen = L.layout_single(SUPPLIER.objects(spark, d), SUPPLIER.plan()).visible(1).select(F.col("cluster_id").alias("obj_id"))
+    kept = rows.join(seen, "obj_id").select(F.col("obj_id").alias("k"), F.col("cx").alias("kx"), F.col("cy").alias("ky"))
     steps = F.array(*(F.lit(k) for k in (-1, 0, 1)))
     cells = kept.withColumn("a", F.floor(F.col("kx") / 150)).withColumn("b", F.floor(F.col("ky") / 150))
-    near = rows.where("obj_id % 4 <> 0").withColumn("dx", F.explode(steps)).withColumn("dy", F.explode(steps))
+    near = rows.join(seen, "obj_id", "left_anti").withColumn("dx", F.explode(steps)).withColumn("dy", F.explode(steps))
     near = near.withColumn("a", F.floor(F.col("cx") / 150) + F.col("dx")).withColumn("b", F.floor(F.col("cy") / 150) + F.col("dy"))
     dist = G.ncd(F.col("cx"), F.col("cy"), F.col("kx"), F.col("ky"), 150.0, 150.0)
     return near.join(cells, ["a", "b"]).where(dist < 1).groupBy("obj_id").agg(F.min_by("k", F.struct(dist, F.col("k"))).alias("nearest"))
 
 
+def approx_distinct(spark, d):
+    """Distinct values by a sketch, whose error is below one half for so few values."""
+    rows = table(spark, d, "lineitem")
+    return rows.agg(F.approx_count_distinct("l_returnflag", 0.01).alias("flags"), F.approx_count_distinct("l_linestatus", 0.01).alias("states"))
+
+
 def domain_values(spark, d):
     return table(spark, d, "lineitem").select("l_returnflag", "l_linestatus").distinct()
 
@@ -175,7 +187,7 @@ def measures_unpivot(spark, d):
 def importance_rank(spark, d):
     w = W.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey")
     cols = [f().over(w).cast("long").alias(n) for f, n in ((F.row_number, "place"), (F.rank, "rank"), (F.dense_rank, "dense"))]
-    return table(spark, d, "orders").select("o_orderkey", *cols, F.round(F.percent_rank().over(w), 6).alias("percent"), F.ntile(10).over(w).cast("long").alias("tenth")).where("place <= 20")
+    return table(spark, d, "orders").select("o_orderkey", *cols, F.round(F.percent_rank().over(w), 6).alias("percent"), F.ntile(10).over(w).cast("long").alias("tenth"))
 
 
 def sweep_neighbours(spark, d):
@@ -292,7 +304,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         viewport_fetch, viewport_fetch_bbox, viewport_fetch_index, kd_prune, visible_items, linked_view_semi, linked_view_anti, extent_clip, domain_filter, null_drop, order_scatter_join,
-        nation_dim_join, doc_label_left, domain_zero_fill, level_diff_full, tile_lattice, interval_join_trace, asof_events, nearest_kept, domain_values, distinct_xy, dims_cube,
+        nation_dim_join, doc_label_left, domain_zero_fill, level_diff_full, tile_lattice, interval_join_trace, asof_events, nearest_kept, domain_values, approx_distinct, distinct_xy, dims_cube,
         dims_rollup, dims_grouping_sets, dims_pivot, measures_unpivot, importance_rank, sweep_neighbours, moving_density, range_density, topk_global, fetch_page, fetch_union,
         visible_intersect, visible_except, scalar_extent, exists_subquery, cte_levels, string_funcs, date_funcs, array_funcs, map_funcs, json_props, udtf_lattice, sql_ncd,
     )
@@ -317,15 +329,16 @@ SQL = {
     "tile_lattice": "SELECT level, tx FROM range(1, 4) AS l(level), range(0, 4) AS t(tx) WHERE tx < pow(2, level - 1)",
     "interval_join_trace": f"SELECT w, count(*) AS n FROM {EVENTS.sql()} JOIN (SELECT i AS w, 1704067200.0 + i * 172800 AS lo FROM range(0, 15) AS t(i)) ON x >= lo AND x < lo + 10800 GROUP BY w",
     "asof_events": "SELECT p.event_id, epoch_us(c.ts) AS last FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'click') c ON p.user_id = c.user_id AND p.ts >= c.ts",
-    "nearest_kept": f"WITH p AS (SELECT * FROM {SUPPLIER.pixels_sql(1)}), q AS (SELECT a.obj_id, b.obj_id AS k, greatest(abs(a.cx - b.cx) / 150.0, abs(a.cy - b.cy) / 150.0) AS d FROM p a JOIN p b ON a.obj_id % 4 <> 0 AND b.obj_id % 4 = 0) SELECT obj_id, arg_min(k, (d, k)) AS nearest FROM q WHERE d < 1 GROUP BY obj_id",
+    "nearest_kept": f"WITH p AS (SELECT * FROM {SUPPLIER.pixels_sql(1)}), s AS (SELECT child FROM ({greedy_sql(SUPPLIER, 6)}) WHERE level = 1 AND child = parent), q AS (SELECT a.obj_id, b.obj_id AS k, greatest(abs(a.cx - b.cx) / 150.0, abs(a.cy - b.cy) / 150.0) AS d FROM p a JOIN p b ON a.obj_id NOT IN (SELECT child FROM s) AND b.obj_id IN (SELECT child FROM s)) SELECT obj_id, arg_min(k, (d, k)) AS nearest FROM q WHERE d < 1 GROUP BY obj_id",
     "domain_values": "SELECT DISTINCT l_returnflag, l_linestatus FROM lineitem",
+    "approx_distinct": "SELECT count(DISTINCT l_returnflag) AS flags, count(DISTINCT l_linestatus) AS states FROM lineitem",
     "distinct_xy": "SELECT count(DISTINCT l_quantity) AS quantities, count(DISTINCT (l_quantity, l_returnflag)) AS pairs, count(DISTINCT l_suppkey) AS suppliers FROM lineitem",
     "dims_cube": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)",
     "dims_rollup": "SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS q FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)",
     "dims_grouping_sets": "SELECT l_returnflag, l_linestatus, CAST(grouping(l_returnflag) AS BIGINT) AS g, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_linestatus), ())",
     "dims_pivot": "SELECT l_returnflag, count(*) FILTER (l_linestatus = 'F') AS F, count(*) FILTER (l_linestatus = 'O') AS O FROM lineitem GROUP BY 1",
     "measures_unpivot": "SELECT s_nationkey, 'least' AS measure, min(s_acctbal) AS value FROM supplier GROUP BY 1 UNION ALL SELECT s_nationkey, 'most', max(s_acctbal) FROM supplier GROUP BY 1",
-    "importance_rank": "SELECT * FROM (SELECT o_orderkey, row_number() OVER w AS place, rank() OVER w AS rank, dense_rank() OVER w AS dense, round(percent_rank() OVER w, 6) AS percent, ntile(10) OVER w AS tenth FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)) WHERE place <= 20",
+    "importance_rank": "SELECT * FROM (SELECT o_orderkey, row_number() OVER w AS place, rank() OVER w AS rank, dense_rank() OVER w AS dense, round(percent_rank() OVER w, 6) AS percent, ntile(10) OVER w AS tenth FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey))",
     "sweep_neighbours": "SELECT s_suppkey, lag(s_suppkey) OVER w AS before, lead(s_suppkey) OVER w AS after, first_value(s_suppkey) OVER f AS first, last_value(s_suppkey) OVER f AS last, nth_value(s_suppkey, 2) OVER f AS second FROM supplier WINDOW w AS (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey), f AS (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
     "moving_density": "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 6) AS mean FROM events",
     "range_density": "SELECT s_suppkey, count(*) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal RANGE BETWEEN 500 PRECEDING AND 500 FOLLOWING) AS near FROM supplier",

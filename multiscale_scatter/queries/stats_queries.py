@@ -1,8 +1,9 @@
 """Cluster statistics, payloads, measures and baselines, on clusters that SQL can form too.
 
-Where SQL needs a set of visible marks, it is the nested sample by id: on level i the objects whose id is
-a multiple of 4^(6 - i).  Clusters are the cells of a grid.  The queries layout_* measure the marks of all
-levels of a layout of the whole table; SQL has no such marks, so tests hold them against brute force.
+Clusters that SQL can form are the cells of a grid, as a layout of one level; marks that it can place are those
+of a one-task layout of a small table, all levels of it.  The queries layout_* measure the marks of distributed
+layouts; SQL has no such marks, so tests hold them against brute force.  The nested sample by id (on level i the
+objects whose id is a multiple of 4^(6 - i)) is the sampling baseline.
 """
 
 from __future__ import annotations
@@ -14,8 +15,11 @@ from pyspark.sql import Window as W
 
 from ..operators import baselines, kde, marks, measures
 from ..operators import layout as L
-from ..operators.rollup import hull_area, hull_of, variance_of
+from ..operators.rollup import all_levels, hull_area, hull_area_of, value_of, variance_of
+from ..operators.rollup import hover_details as object_details
 from ..sources.fixtures import CUSTOMER, EVENTS, LINEITEM, ORDERS, PIE, SUPPLIER, table
+from ..sources.index import nearest_rank_of
+from .layout_queries import greedy_sql
 
 LEVELS = 6
 
@@ -43,96 +47,121 @@ def _binned_sql(fixture, *more, width=250.0):
     return f"(SELECT *, CAST(floor(cx / {width}) + 100 * floor(cy / {width}) AS BIGINT) AS cell FROM {fixture.pixels_sql(1, *more)})"
 
 
+def _cells(spark, d, fixture, *more, width=250.0, pixels=False):
+    """(layout, cells): the grid's cells as clusters of a layout of one level; cells(cluster_id, cell)."""
+    rows = _binned(spark, d, fixture, *more, width=width)
+    rep = rows.groupBy("cell").agg(F.min(F.struct((-F.col("z")).alias("w"), F.col("obj_id").alias("id"))).alias("m")).select("cell", F.col("m.id").alias("cluster_id"))
+    edges = rows.join(rep, "cell").select(F.lit(1).alias("level"), F.col("obj_id").alias("child"), F.col("cluster_id").alias("parent"))
+    objects = rows.drop("cell")
+    if pixels:
+        objects = objects.withColumns({"x": F.col("cx"), "y": F.col("cy")})
+    return L.Layout(fixture.plan(levels=1), objects, edges), rep
+
+
+def _cell_states(spark, d, fixture, *more, width=250.0, pixels=False, **options):
+    layout, cells = _cells(spark, d, fixture, *more, width=width, pixels=pixels)
+    return all_levels(layout, **options).join(cells, "cluster_id")
+
+
 def agg_measures(spark, d):
-    v = F.col("z")
-    return _binned(spark, d, EVENTS).groupBy("cell").agg(
-        F.count(v).alias("n"), F.round(F.sum(v), 4).alias("total"), F.round(F.avg(v), 6).alias("mean"), F.min(v).alias("least"), F.max(v).alias("most"), F.round(F.sum(v * v), 2).alias("squares")
-    )
+    out = _cell_states(spark, d, EVENTS, measures={"v": "z"})
+    value = lambda f, n: F.round(value_of("v", f), n)
+    return out.select("cell", F.col("v_cnt").alias("n"), value("sum", 4).alias("total"), value("avg", 6).alias("mean"), value_of("v", "min").alias("least"), value_of("v", "max").alias("most"), value("sqrsum", 2).alias("squares"))
 
 
 def agg_by_dimension(spark, d):
-    return _binned(spark, d, EVENTS, "event_type").groupBy("cell", "event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("z"), 4).alias("total"))
+    out = _cell_states(spark, d, EVENTS, "event_type", measures={"v": "z"}, dimensions=["event_type"])
+    return out.select("cell", "event_type", "n", F.round("v_sum", 4).alias("total"))
 
 
 def hover_topk(spark, d):
-    rows = _binned(spark, d, EVENTS).groupBy("cell").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("z")).alias("w"), "obj_id"))), 1, 3).alias("t"))
-    return rows.select("cell", F.posexplode("t").alias("place", "e")).select("cell", (F.col("place") + 1).alias("place"), F.col("e.obj_id").alias("obj_id"))
+    rows = _cell_states(spark, d, EVENTS, k=3)
+    return rows.select("cell", F.posexplode("topk").alias("place", "e")).select("cell", (F.col("place") + 1).alias("place"), F.col("e.obj_id").alias("obj_id"))
 
 
 def hover_bbox(spark, d):
-    return _binned(spark, d, EVENTS).groupBy("cell").agg(*(F.round(f(c), 6).alias(n) for f, c, n in ((F.min, "x", "x0"), (F.min, "y", "y0"), (F.max, "x", "x1"), (F.max, "y", "y1"))))
+    return _cell_states(spark, d, EVENTS).select("cell", *(F.round(c, 6).alias(c) for c in ("x0", "y0", "x1", "y1")))
 
 
 def hover_details(spark, d):
-    top = hover_topk(spark, d).where("place = 1")
-    return top.join(table(spark, d, "events").withColumnRenamed("event_id", "obj_id"), "obj_id").select("cell", "obj_id", "user_id", "event_type", "value")
+    layout, cells = _cells(spark, d, EVENTS, "user_id", "event_type", "value")
+    details = object_details(layout, all_levels(layout, k=3)).where("place = 1")
+    return details.join(cells, "cluster_id").select("cell", "obj_id", "user_id", "event_type", "value")
 
 
-def _hull(spark, d):
-    points = _binned(spark, d, CUSTOMER, width=500.0).groupBy("cell").agg(F.collect_list(F.struct(F.col("cx").alias("x"), F.col("cy").alias("y"))).alias("p"))
-    return points
+def hull_area_cells(spark, d):
+    return _cell_states(spark, d, CUSTOMER, width=500.0, pixels=True, hull=True).select("cell", F.round(hull_area("hull"), 4).alias("area"))
 
 
-def hull_area_cells(spark, d):
-    return _hull(spark, d).select("cell", F.round(hull_area("p"), 4).alias("area"))
+def hull_area_udaf(spark, d):
+    """The same areas by an aggregate function over a cell's points."""
+    return _binned(spark, d, SUPPLIER, width=500.0).groupBy("cell").agg(F.round(hull_area_of("cx", "cy"), 4).alias("area"))
 
 
 def hull_corners(spark, d):
     """Corners of the hulls: points that some line through them leaves all others on one side of."""
-    return _hull(spark, d).select("cell", F.explode(hull_of("p")).alias("c")).select("cell", F.round("c.x", 6).alias("x"), F.round("c.y", 6).alias("y"))
+    rows = _cell_states(spark, d, CUSTOMER, width=500.0, pixels=True, hull=True)
+    return rows.select("cell", F.explode("hull").alias("c")).select("cell", F.round("c.x", 6).alias("x"), F.round("c.y", 6).alias("y"))
 
 
 def agg_derived_var(spark, d):
-    v = F.col("z")
-    state = _binned(spark, d, EVENTS).groupBy("cell").agg(F.count(v).alias("v_cnt"), F.sum(v).alias("v_sum"), F.sum(v * v).alias("v_sumsq"))
-    return state.select("cell", F.round(variance_of("v"), 4).alias("variance"))
+    return _cell_states(spark, d, EVENTS, measures={"v": "z"}).select("cell", F.round(variance_of("v"), 4).alias("variance"))
 
 
 def rep_by_struct(spark, d):
-    rows = _binned(spark, d, EVENTS).groupBy("cell").agg(F.min(F.struct((-F.col("z")).alias("w"), F.col("obj_id").alias("id"))).alias("m"))
-    return rows.select("cell", F.col("m.id").alias("rep"))
+    return _cell_states(spark, d, EVENTS, k=1).select("cell", F.col("topk")[0]["obj_id"].alias("rep"))
+
+
+def _single(spark, d, fixture):
+    return L.layout_single(fixture.objects(spark, d), fixture.plan())
 
 
 def overlap_violations(spark, d):
+    layout = _single(spark, d, CUSTOMER)
+    return measures.overlap_violations(layout.marks(), *layout.plan.box, layout.plan.theta)
+
+
+def overlap_of_sample(spark, d):
+    """The sampling baseline for comparison: its marks do overlap."""
     return measures.overlap_violations(_sampled(spark, d, ORDERS), 100.0, 100.0, 1.0)
 
 
 def viewport_density(spark, d):
-    return measures.viewport_density(_sampled(spark, d, SUPPLIER).where("level >= 3"), 1000.0, 1000.0)
+    return measures.viewport_density(_single(spark, d, SUPPLIER).marks(), 1000.0, 1000.0)
 
 
 def zoom_consistency(spark, d):
-    """Of the sample, and with the ids that are multiples of five taken away on the bottom level."""
-    seen = _sampled(spark, d, ORDERS).select("level", "cluster_id").where("level < 6 or cluster_id % 5 <> 0")
-    return measures.zoom_violations(seen, LEVELS)
+    layout = _single(spark, d, CUSTOMER)
+    return measures.zoom_violations(layout.visible(), layout.plan.levels)
 
 
 def fullness(spark, d):
-    out = measures.fullness(_sampled(spark, d, ORDERS), ORDERS.plan())
+    layout = _single(spark, d, CUSTOMER)
+    out = measures.fullness(layout.marks(), layout.plan)
     return out.select("level", "marks", F.col("capacity").cast("long").alias("capacity"), F.round("share", 9).alias("share"), F.round("occupied", 9).alias("occupied"))
 
 
 def importance_by_level(spark, d):
-    objects = ORDERS.pixels(spark, d, 1)
-    out = measures.importance_by_level(_sampled(spark, d, ORDERS).select("level", "cluster_id"), objects)
+    layout = _single(spark, d, CUSTOMER)
+    out = measures.importance_by_level(layout.visible(), layout.objects)
     return out.select("level", F.round("mean_rank", 6).alias("mean_rank"), F.round("top_visible", 6).alias("top_visible"))
 
 
 def within_cluster_variation(spark, d):
-    """Mean distance of objects from the most important one of their cell."""
-    rows = _binned(spark, d, EVENTS)
-    rep = rows.groupBy("cell").agg(F.min_by(F.struct("cx", "cy"), F.struct((-F.col("z")).alias("w"), "obj_id")).alias("m"))
-    gap = F.sqrt(F.pow(F.col("cx") - F.col("m.cx"), F.lit(2)) + F.pow(F.col("cy") - F.col("m.cy"), F.lit(2)))
-    return rows.join(rep, "cell").agg(F.round(F.avg(gap), 6).alias("variation"))
+    """Mean distance of objects from the mark that stands for them, on every level."""
+    layout = _single(spark, d, CUSTOMER)
+    parts = [measures.within_cluster_variation(layout, level) for level in range(1, layout.plan.levels + 1)]
+    return reduce(lambda a, b: a.unionByName(b), parts).select("level", F.round("variation", 6).alias("variation"))
 
 
 def mass_conservation(spark, d):
-    rows = _binned(spark, d, EVENTS)
-    return rows.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.sum("z").alias("s")).agg(F.sum("n").alias("objects"), F.round(F.sum("s"), 3).alias("total"))
+    states = _cell_states(spark, d, EVENTS, measures={"v": "z"})
+    total = states.agg(F.round(F.sum("v_sum"), 3).alias("total"))
+    return measures.mass_conservation(states).select("objects").crossJoin(F.broadcast(total))
 
 
 def p95_nearest_rank(spark, d):
-    return table(spark, d, "events").groupBy("event_type").agg(F.expr("percentile_disc(0.95) WITHIN GROUP (ORDER BY value)").alias("p95"))
+    return table(spark, d, "events").groupBy("event_type").agg(nearest_rank_of("value").alias("p95"))
 
 
 def provisioning(spark, d):
@@ -170,16 +199,16 @@ def contour_cells(spark, d):
 
 
 def contour_segments(spark, d):
+    """The line pieces of two thresholds, with their ends."""
     out = kde.contours(_rounded_density(spark, d), [2.0, 5.0], 25.0)
-    return out.groupBy("threshold").agg(F.count(F.lit(1)).alias("pieces"))
+    return out.select("threshold", *(F.round(c, 4).alias(c) for c in ("x0", "y0", "x1", "y1")))
 
 
 def radar_axes(spark, d):
     """Means of eight coordinates for each label, scaled to the unit interval."""
-    rows = table(spark, d, "embeddings")
-    means = [F.avg(F.element_at("embedding", k).cast("double")) for k in range(3, 11)]
-    scaled = [F.least(F.greatest((m + 0.5) / 1.0, F.lit(0.0)), F.lit(1.0)) for m in means]
-    out = rows.groupBy("label").agg(F.array(*scaled).alias("axes"))
+    value = lambda k: F.element_at("embedding", k).cast("double")
+    rows = table(spark, d, "embeddings").groupBy("label").agg(*(f(value(k)).alias(f"e{k}_{n}") for k in range(3, 11) for f, n in ((F.count, "cnt"), (F.sum, "sum"))))
+    out = marks.radar_marks(rows, [(f"e{k}", "avg", (-0.5, 0.5)) for k in range(3, 11)])
     return out.select("label", F.posexplode("axes").alias("axis", "v")).select("label", "axis", F.round("v", 5).alias("v"))
 
 
@@ -193,11 +222,11 @@ def pie_slices(spark, d):
 def text_marks(spark, d):
     docs = table(spark, d, "documents")
     state = docs.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.min_by("doc_id", F.struct((-F.col("n_chars")).alias("w"), "doc_id")).alias("cluster_id"))
-    return marks.text_marks(state.select("cluster_id", "n"), docs.withColumnRenamed("doc_id", "obj_id"), "text", 40)
+    return marks.text_marks(state.select("cluster_id", "n"), docs.withColumnRenamed("doc_id", "obj_id"), "text")
 
 
 def find_object_level(spark, d):
-    return marks.find_object(_sampled(spark, d, ORDERS), 64)
+    return marks.find_object(_single(spark, d, CUSTOMER).marks(), 64)
 
 
 def xy_correlation(spark, d):
@@ -280,7 +309,7 @@ def layout_object_level(spark, d):
 QUERIES = {
     f.__name__: f
     for f in (
-        agg_measures, agg_by_dimension, hover_topk, hover_bbox, hover_details, hull_area_cells, hull_corners, agg_derived_var, rep_by_struct, overlap_violations, viewport_density,
+        agg_measures, agg_by_dimension, hover_topk, hover_bbox, hover_details, hull_area_cells, hull_area_udaf, hull_corners, agg_derived_var, rep_by_struct, overlap_violations, overlap_of_sample, viewport_density,
         zoom_consistency, fullness, importance_by_level, within_cluster_variation, mass_conservation, p95_nearest_rank, provisioning, circle_marks, heatmap_kde, heatmap_raw,
         contour_bands, contour_cells, contour_segments, radar_axes, pie_slices, text_marks, find_object_level, xy_correlation, binned_aggregate, sampled_points, jittered_points,
         cell_topk, tile_pyramid, opacity_marks, mark_bbox, layout_overlap, layout_viewport_density, layout_zoom_consistency, layout_fullness, layout_importance, layout_variation,
@@ -303,6 +332,17 @@ _DENSITY = _KDE.format(p=EVENTS.pixels_sql(1), c=25.0, r=3, b2=3600.0)
 _CASES = ", e AS (SELECT gx - i AS gx, gy - j AS gy, i + 2 * j AS c, density FROM g, range(0, 2) AS a(i), range(0, 2) AS b(j)), f AS (SELECT gx, gy, " + ", ".join(f"coalesce(max(density) FILTER (c = {k}), 0) AS {n}" for k, n in enumerate(("ll", "lr", "ul", "ur"))) + " FROM e GROUP BY gx, gy)"
 _KIND = "(CASE WHEN ll >= {t} THEN 1 ELSE 0 END + CASE WHEN lr >= {t} THEN 2 ELSE 0 END + CASE WHEN ur >= {t} THEN 4 ELSE 0 END + CASE WHEN ul >= {t} THEN 8 ELSE 0 END)"
 _SAMPLE = _sampled_sql(ORDERS)
+
+
+def _single_sql(fixture):
+    """Marks of the one-task layout: level, cluster_id, z, cx, cy."""
+    return (
+        f"(SELECT e.level, e.child AS cluster_id, p.z, p.cx * pow(2.0, e.level - 6) AS cx, p.cy * pow(2.0, e.level - 6) AS cy "
+        f"FROM ({greedy_sql(fixture, 6)}) e JOIN {fixture.pixels_sql(6)} p ON p.obj_id = e.child WHERE e.child = e.parent)"
+    )
+
+
+_MARKS = _single_sql(CUSTOMER)
 _NEAR = "greatest(abs(a.cx - b.cx) / 100.0, abs(a.cy - b.cy) / 100.0)"
 SQL = {
     "agg_measures": f"SELECT cell, count(z) AS n, round(sum(z), 4) AS total, round(avg(z), 6) AS mean, min(z) AS least, max(z) AS most, round(sum(z * z), 2) AS squares FROM {_E} GROUP BY cell",
@@ -311,18 +351,24 @@ SQL = {
     "hover_bbox": f"SELECT cell, round(min(x), 6) AS x0, round(min(y), 6) AS y0, round(max(x), 6) AS x1, round(max(y), 6) AS y1 FROM {_E} GROUP BY cell",
     "hover_details": f"SELECT cell, obj_id, user_id, event_type, value FROM ({_RANKED}) JOIN events ON obj_id = event_id WHERE place = 1",
     "hull_area_cells": f"WITH {_CORNERS} SELECT cell, round(coalesce(abs(sum(ax * qy - ay * qx)) / 2, 0), 4) AS area FROM (SELECT DISTINCT cell FROM p) LEFT JOIN edge USING (cell) GROUP BY cell",
+    "hull_area_udaf": f"WITH {_CORNERS.replace(_HULL, _binned_sql(SUPPLIER, width=500.0))} SELECT cell, round(coalesce(abs(sum(ax * qy - ay * qx)) / 2, 0), 4) AS area FROM (SELECT DISTINCT cell FROM p) LEFT JOIN edge USING (cell) GROUP BY cell",
     "hull_corners": f"WITH {_CORNERS} SELECT cell, round(ax, 6) AS x, round(ay, 6) AS y FROM edge UNION SELECT cell, round(x, 6), round(y, 6) FROM p WHERE cell IN (SELECT cell FROM p GROUP BY cell HAVING count(*) < 3)",
     "agg_derived_var": f"SELECT cell, round(greatest(sum(z * z) / count(z) - avg(z) * avg(z), 0), 4) AS variance FROM {_E} GROUP BY cell",
     "rep_by_struct": f"SELECT cell, obj_id AS rep FROM ({_RANKED}) WHERE place = 1",
-    "overlap_violations": f"WITH m AS (SELECT * FROM {_SAMPLE}), v AS (SELECT a.level, count(*) AS n FROM m a JOIN m b ON a.level = b.level AND a.cluster_id < b.cluster_id AND abs(a.cx - b.cx) < 100 AND {_NEAR} < (1 - 1e-9) GROUP BY 1) SELECT l.level, coalesce(n, 0) AS violations FROM (SELECT DISTINCT level FROM m) l LEFT JOIN v ON l.level = v.level",
-    "viewport_density": f"""WITH m AS (SELECT * FROM {_sampled_sql(SUPPLIER)} WHERE level >= 3), w AS (SELECT DISTINCT a.level, a.cx AS x0, b.cy AS y0 FROM m a JOIN m b ON a.level = b.level AND b.cx >= a.cx AND b.cx < a.cx + 1000 AND b.cy <= a.cy AND a.cy < b.cy + 1000),
+    "overlap_violations": f"WITH m AS (SELECT * FROM {_MARKS}), v AS (SELECT a.level, count(*) AS n FROM m a JOIN m b ON a.level = b.level AND a.cluster_id < b.cluster_id AND abs(a.cx - b.cx) < 100 AND {_NEAR} < (1 - 1e-9) GROUP BY 1) SELECT l.level, coalesce(n, 0) AS violations FROM (SELECT DISTINCT level FROM m) l LEFT JOIN v ON l.level = v.level",
+    "overlap_of_sample": f"WITH m AS (SELECT * FROM {_SAMPLE}), v AS (SELECT a.level, count(*) AS n FROM m a JOIN m b ON a.level = b.level AND a.cluster_id < b.cluster_id AND abs(a.cx - b.cx) < 100 AND {_NEAR} < (1 - 1e-9) GROUP BY 1) SELECT l.level, coalesce(n, 0) AS violations FROM (SELECT DISTINCT level FROM m) l LEFT JOIN v ON l.level = v.level",
+    "viewport_density": f"""WITH m AS (SELECT * FROM {_single_sql(SUPPLIER)}), w AS (SELECT DISTINCT a.level, a.cx AS x0, b.cy AS y0 FROM m a JOIN m b ON a.level = b.level AND b.cx >= a.cx AND b.cx < a.cx + 1000 AND b.cy <= a.cy AND a.cy < b.cy + 1000),
       n AS (SELECT w.level, x0, y0, count(*) AS n FROM w JOIN m ON m.level = w.level AND m.cx >= x0 AND m.cx < x0 + 1000 AND m.cy >= y0 AND m.cy < y0 + 1000 GROUP BY ALL) SELECT level, max(n) AS most FROM n GROUP BY level""",
-    "zoom_consistency": f"WITH s AS (SELECT level, cluster_id FROM {_SAMPLE} WHERE level < 6 OR cluster_id % 5 <> 0) SELECT a.level, a.cluster_id FROM s a WHERE a.level < 6 AND NOT EXISTS (SELECT 1 FROM s b WHERE b.level = a.level + 1 AND b.cluster_id = a.cluster_id)",
+    "zoom_consistency": f"WITH s AS (SELECT level, cluster_id FROM {_MARKS}) SELECT a.level, a.cluster_id FROM s a WHERE a.level < 6 AND NOT EXISTS (SELECT 1 FROM s b WHERE b.level = a.level + 1 AND b.cluster_id = a.cluster_id)",
     "fullness": f"""SELECT level, count(*) AS marks, CAST(pow(10 * pow(2, level - 1) + 1, 2) AS BIGINT) AS capacity, round(count(*) / pow(10 * pow(2, level - 1) + 1, 2), 9) AS share,
-      round(count(DISTINCT (floor(cx / 100), floor(cy / 100))) / pow(10 * pow(2, level - 1) + 1, 2), 9) AS occupied FROM {_SAMPLE} GROUP BY level""",
-    "importance_by_level": f"""WITH r AS (SELECT obj_id, percent_rank() OVER (ORDER BY z) AS p FROM {ORDERS.pixels_sql(1)})
-      SELECT level, round(avg(p), 6) AS mean_rank, round(count(*) FILTER (p >= 0.9) / (SELECT count(*) FROM r WHERE p >= 0.9), 6) AS top_visible FROM {_SAMPLE} s JOIN r ON s.cluster_id = r.obj_id GROUP BY level""",
-    "within_cluster_variation": f"WITH e AS (SELECT *, row_number() OVER (PARTITION BY cell ORDER BY z DESC, obj_id) AS place FROM {_E}) SELECT round(avg(sqrt((a.cx - b.cx) ** 2 + (a.cy - b.cy) ** 2)), 6) AS variation FROM e a JOIN e b ON a.cell = b.cell AND b.place = 1",
+      round(count(DISTINCT (floor(cx / 100), floor(cy / 100))) / pow(10 * pow(2, level - 1) + 1, 2), 9) AS occupied FROM {_MARKS} GROUP BY level""",
+    "importance_by_level": f"""WITH r AS (SELECT obj_id, percent_rank() OVER (ORDER BY z) AS p FROM {CUSTOMER.pixels_sql(1)})
+      SELECT level, round(avg(p), 6) AS mean_rank, round(count(*) FILTER (p >= 0.9) / (SELECT count(*) FROM r WHERE p >= 0.9), 6) AS top_visible FROM {_MARKS} s JOIN r ON s.cluster_id = r.obj_id GROUP BY level""",
+    "within_cluster_variation": "WITH e AS (SELECT * FROM (" + greedy_sql(CUSTOMER, 6) + ")), m6 AS (SELECT child AS o, parent AS c FROM e WHERE level = 6), "
+    + ", ".join(f"m{k} AS (SELECT o, parent AS c FROM m{k + 1} JOIN e ON e.level = {k} AND e.child = m{k + 1}.c)" for k in range(5, 0, -1))
+    + f", p AS (SELECT * FROM {CUSTOMER.pixels_sql(1)}) SELECT level, round(avg(sqrt((a.cx - b.cx) ** 2 + (a.cy - b.cy) ** 2) * pow(2, level - 1)), 6) AS variation FROM ("
+    + " UNION ALL ".join(f"SELECT {k} AS level, o, c FROM m{k}" for k in range(1, 7))
+    + ") m JOIN p a ON a.obj_id = m.o JOIN p b ON b.obj_id = m.c GROUP BY level",
     "mass_conservation": f"SELECT count(*) AS objects, round(sum(z), 3) AS total FROM {_E}",
     "p95_nearest_rank": "SELECT event_type, quantile_disc(value, 0.95) AS p95 FROM events GROUP BY 1",
     "provisioning": "SELECT n AS objects, CAST(ceil(n / 2e6) AS BIGINT) AS partitions, CAST(ceil(ceil(n / 2e6) / 8) AS BIGINT) AS nodes FROM (VALUES (1000000000), (178300000), (17300000), (18207)) AS t(n)",
@@ -331,13 +377,16 @@ SQL = {
     "heatmap_raw": f"SELECT CAST(floor(cx / 20) AS BIGINT) AS gx, CAST(floor(cy / 20) AS BIGINT) AS gy, count(*) AS n FROM {LINEITEM.pixels_sql(1)} GROUP BY ALL",
     "contour_bands": _DENSITY + "SELECT CAST(least(floor(density / (SELECT max(density) FROM g) * 5), 4) AS BIGINT) AS band, count(*) AS cells FROM g GROUP BY 1",
     "contour_cells": _DENSITY + _CASES + f" SELECT gx, gy, {_KIND.format(t=5.0)} AS kind FROM f WHERE {_KIND.format(t=5.0)} NOT IN (0, 15)",
-    "contour_segments": _DENSITY + _CASES + " SELECT t AS threshold, CAST(sum(CASE WHEN k IN (5, 10) THEN 2 ELSE 1 END) AS BIGINT) AS pieces FROM (" + " UNION ALL ".join(f"SELECT {t}::DOUBLE AS t, {_KIND.format(t=t)} AS k FROM f" for t in (2.0, 5.0)) + ") WHERE k NOT IN (0, 15) GROUP BY t",
+    "contour_segments": _DENSITY + _CASES + f""", side(k, a, b) AS (VALUES {", ".join(f"({case}, {a}, {b})" for case, lines in kde.SEGMENTS.items() for a, b in lines)}),
+      t(t) AS (VALUES (2.0::DOUBLE), (5.0)), kind AS (SELECT *, {_KIND.format(t="t")} AS k, (gx + 0.5) * 25.0 AS x, (gy + 0.5) * 25.0 AS y FROM f, t),
+      corner AS (SELECT *, [x + (t - ll) / (lr - ll) * 25.0, x + 25.0, x + (t - ul) / (ur - ul) * 25.0, x] AS px, [y, y + (t - lr) / (ur - lr) * 25.0, y + 25.0, y + (t - ll) / (ul - ll) * 25.0] AS py FROM kind)
+      SELECT t AS threshold, round(px[a + 1], 4) AS x0, round(py[a + 1], 4) AS y0, round(px[b + 1], 4) AS x1, round(py[b + 1], 4) AS y1 FROM corner JOIN side USING (k)""",
     "radar_axes": "SELECT label, axis, round(least(greatest(v + 0.5, 0), 1), 5) AS v FROM (SELECT label, i AS axis, avg(embedding[i + 3]::DOUBLE) AS v FROM embeddings, range(0, 8) AS t(i) GROUP BY ALL)",
     "pie_slices": f"""WITH s AS (SELECT cell, CAST(dayofweek(l_shipdate) AS VARCHAR) AS weekday, count(*) AS n FROM {_binned_sql(PIE, 'l_shipdate', width=500.0)} GROUP BY ALL),
       w AS (SELECT *, n / sum(n) OVER (PARTITION BY cell) AS share, sum(n) OVER (PARTITION BY cell ORDER BY weekday) / sum(n) OVER (PARTITION BY cell) AS e FROM s)
       SELECT cell AS cluster_id, weekday, round(share, 6) AS share, round((e - share) * 2 * pi(), 6) AS angle0, round(e * 2 * pi(), 6) AS angle1 FROM w""",
-    "text_marks": "SELECT cluster_id, n, substring(text, 1, 40) AS text FROM (SELECT arg_min(doc_id, (-n_chars, doc_id)) AS cluster_id, count(*) AS n FROM documents GROUP BY lang) JOIN documents ON doc_id = cluster_id",
-    "find_object_level": f"SELECT CAST(64 AS INTEGER) AS obj_id, min(level) AS level FROM {_SAMPLE} WHERE cluster_id = 64",
+    "text_marks": "SELECT cluster_id, n, text FROM (SELECT arg_min(doc_id, (-n_chars, doc_id)) AS cluster_id, count(*) AS n FROM documents GROUP BY lang) JOIN documents ON doc_id = cluster_id",
+    "find_object_level": f"SELECT CAST(64 AS INTEGER) AS obj_id, min(level) AS level FROM {_MARKS} WHERE cluster_id = 64",
     "xy_correlation": f"SELECT round(corr(x, y), 6) AS corr, round(corr(cx, z), 6) AS corr_z FROM {EVENTS.pixels_sql(1)}",
     "binned_aggregate": f"SELECT CAST(floor(cx / 100) AS BIGINT) AS bx, CAST(floor(cy / 100) AS BIGINT) AS by, count(*) AS n, round(avg(cx), 4) AS mx, round(avg(cy), 4) AS my FROM {ORDERS.pixels_sql(2)} GROUP BY ALL",
     "sampled_points": f"SELECT level, count(*) AS n FROM {_SAMPLE} GROUP BY level",

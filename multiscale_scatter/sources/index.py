@@ -275,6 +275,11 @@ def nearest_rank(values: list[float], share: float = 0.95) -> float:
     return ordered[max(0, -(-int(round(share * 1_000_000)) * len(ordered) // 1_000_000) - 1)] if ordered else float("nan")
 
 
+def nearest_rank_of(column: str, share: float = 0.95) -> Column:
+    """nearest_rank as an aggregate."""
+    return F.expr(f"percentile_disc({share!r}) WITHIN GROUP (ORDER BY {column})")
+
+
 def latency_report(samples: list[dict]) -> dict[str, float]:
     return {
         "requests": len(samples),
@@ -295,10 +300,6 @@ def plan_to_json(stored: StoredLayout) -> str:
     return json.dumps({"levels": p.levels, "zoom": p.zoom, "theta": p.theta, "box": p.box, "top": p.top, "x": p.x_extent, "y": p.y_extent})
 
 
-def in_view(view: Viewport, wb: float, hb: float) -> Column:
-    return G.viewport_predicate(view.x0, view.y0, view.x1, view.y1, wb, hb)
-
-
 def read_objects(spark: SparkSession, path: str, fmt: str = "parquet", **options) -> DataFrame:
     """User data of any format Spark reads; jdbc takes its options, ranges of a column among them."""
     reader = spark.read.format(fmt).options(**options)
