@@ -1,5 +1,8 @@
 """Space partition by medians: a binary tree of splits, alternating between the axes.
 
+`build_kdtree` takes medians of a bounded sketch, which is enough to balance the leaves of a layout;
+`build_exact` takes them of all rows, one depth after the other, for any number of rows.
+
 Left of a split are the values below it.  Where a median would leave one side empty the next distinct
 value is tried, then the other axis; equal points stay together in one leaf, however many they are.
 """
@@ -11,6 +14,9 @@ from dataclasses import dataclass, field
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
+
+from ..plans.materialize import discard, materialize
 
 #: Rows of the sketch from which a tree is built; the driver never sees more.
 SKETCH_ROWS = 200_000
@@ -184,6 +190,94 @@ def build_kdtree(objects: DataFrame, most: int, sketch_rows: int = SKETCH_ROWS,
     return build(points, most, total / max(len(points), 1))
 
 
+def _value_at(rows: DataFrame, column: str, ranks: dict[int, int]) -> dict[int, tuple[float, float]]:
+    """For each node its least value, and the value at a rank (from 0) in order; rows(node, x, y).
+
+    Values are counted and dealt by ranges of (node, value); how many each task holds of a node tells in which
+    task the rank falls, so no task sorts a node and only those sums reach the driver.
+    """
+    spark = rows.sparkSession
+    wanted = F.broadcast(spark.createDataFrame([(n,) for n in ranks], "node long"))
+    counted = rows.join(wanted, "node").groupBy("node", F.col(column).alias("c")).agg(F.count(F.lit(1)).alias("n"))
+    dealt = materialize(counted.repartitionByRange("node", "c").withColumn("part", F.spark_partition_id()), "values")
+    sums = dealt.groupBy("node", "part").agg(F.sum("n").alias("n"), F.min("c").alias("lo")).collect()
+    low: dict[int, float] = {}
+    targets = []
+    for node, rank in ranks.items():
+        before = 0
+        for r in sorted((r for r in sums if r["node"] == node), key=lambda r: r["part"]):
+            low[node] = min(low.get(node, r["lo"]), r["lo"])
+            if before <= rank < before + r["n"]:
+                targets.append((node, r["part"], rank - before))
+            before += r["n"]
+    place = F.broadcast(spark.createDataFrame(targets, "node long, part int, at long"))
+    until = W.partitionBy("node", "part").orderBy("c").rowsBetween(W.unboundedPreceding, 0)
+    found = dealt.join(place, ["node", "part"]).withColumn("upto", F.sum("n").over(until)).where((F.col("at") < F.col("upto")) & (F.col("at") >= F.col("upto") - F.col("n")))
+    out = {r["node"]: (low[r["node"]], r["c"]) for r in found.select("node", "c").collect()}
+    discard(dealt)
+    return out
+
+
+def _cuts(rows: DataFrame, axis: dict[int, int], sizes: dict[int, int]) -> dict[int, float]:
+    """Where each node is cut along its axis; nodes whose values are all one are left out."""
+    out: dict[int, float] = {}
+    for a, column in enumerate("xy"):
+        ranks = {n: sizes[n] // 2 for n, k in axis.items() if k == a}
+        if not ranks:
+            continue
+        found = _value_at(rows, column, ranks)
+        out |= {n: m for n, (lo, m) in found.items() if lo < m}
+        low = [(n, m) for n, (lo, m) in found.items() if lo == m]
+        if low:
+            above = rows.join(F.broadcast(rows.sparkSession.createDataFrame(low, "node long, m double")), "node").where(F.col(column) > F.col("m"))
+            out |= {r["node"]: r["c"] for r in above.groupBy("node").agg(F.min(column).alias("c")).collect()}
+    return out
+
+
+def build_exact(objects: DataFrame, most: int, first_axis: int = 0) -> KDTree:
+    """The tree that `build` makes of all objects(x, y): exact medians, every depth by a few jobs over all rows."""
+    rows = materialize(objects.select(F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), F.lit(1).cast("long").alias("node")), "points")
+    axis = {1: first_axis}
+    cut: dict[int, tuple[int, float]] = {}
+    while axis:
+        sizes = {r["node"]: r["count"] for r in rows.groupBy("node").count().collect()}
+        axis = {n: a for n, a in axis.items() if sizes.get(n, 0) > max(most, 1)}
+        if not axis:
+            break
+        found = {n: (axis[n], v) for n, v in _cuts(rows, axis, sizes).items()}
+        other = {n: 1 - a for n, a in axis.items() if n not in found}
+        found |= {n: (other[n], v) for n, v in (_cuts(rows, other, sizes) if other else {}).items()}
+        cut |= found
+        if not found:
+            break
+        table = F.broadcast(rows.sparkSession.createDataFrame([(n, a, float(v)) for n, (a, v) in found.items()], "node long, axis int, v double"))
+        below = F.when(F.col("axis") == 0, F.col("x")).otherwise(F.col("y")) < F.col("v")
+        moved = rows.join(table, "node", "left").select("x", "y", F.when(F.col("v").isNull(), F.col("node")).otherwise(F.col("node") * 2 + F.when(below, 0).otherwise(1)).alias("node"))
+        before, rows = rows, materialize(moved, "points")
+        discard(before)
+        axis = {2 * n + k: 1 - a for n, (a, _) in found.items() for k in (0, 1)}
+    discard(rows)
+    tree = KDTree(0, 0)
+
+    def grow(node: int, depth: int) -> int | Split:
+        if node not in cut:
+            tree.leaves += 1
+            return tree.leaves - 1
+        split = Split(*cut[node], 0, 0, depth, first=tree.leaves)
+        split.left = grow(2 * node, depth + 1)
+        split.middle = tree.leaves
+        split.right = grow(2 * node + 1, depth + 1)
+        split.end = tree.leaves
+        tree.splits.append(split)
+        return split
+
+    tree.root = grow(1, 0)
+    tree.splits.sort(key=lambda s: s.depth)
+    for k, s in enumerate(tree.splits):
+        s.number = k
+    return tree
+
+
 def tree_rows(tree: KDTree) -> list[tuple]:
     """(split, depth, axis, value, leaves below) for reports."""
     return [(s.number, s.depth, "xy"[s.axis], s.value, s.end - s.first) for s in tree.splits]

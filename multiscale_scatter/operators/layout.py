@@ -145,17 +145,37 @@ def _neighbours(rows: DataFrame, others: DataFrame, theta: float) -> DataFrame:
     return spread.join(there, (F.col("a") == F.col("a2")) & (F.col("b") == F.col("b2")) & (near < theta)).withColumn("d", near)
 
 
+_BEFORE = "w2 < w or (w2 = w and obj_id2 < obj_id)"
+
+
+def _placed_in_rounds(rows: DataFrame, theta: float, max_rounds: int) -> DataFrame:
+    """Which rows(obj_id, u, v, w) are placed, one after the other by importance, if placed ones keep theta apart.
+
+    In each round a row that no undecided, more important row is close to is placed, and what is close to
+    it is out.
+    """
+    undecided, placed = rows, None
+    for _ in range(max_rounds):
+        blocked = _neighbours(undecided, undecided, theta).where(_BEFORE).select("obj_id").distinct()
+        chosen = materialize(undecided.join(blocked, "obj_id", "left_anti"), "chosen")
+        placed = chosen if placed is None else placed.unionByName(chosen)
+        covered = _neighbours(undecided, chosen, theta).select("obj_id").distinct()
+        before, undecided = undecided, materialize(undecided.join(covered, "obj_id", "left_anti"), "undecided")
+        if before is not rows:
+            discard(before)
+        if undecided.isEmpty():
+            return materialize(placed, "placed")
+    raise RuntimeError("not settled; use the distributed layout")
+
+
 def layout_rounds(objects: DataFrame, plan: LayoutPlan, max_rounds: int = 200) -> Layout:
     """The same layout as one task makes, by DataFrame operations alone, however large the level.
 
-    In each round a row that no undecided, more important row is close to is placed, and what is close to
-    it and less important is out.  At last each row that is out goes to the nearest placed row that is
-    more important than itself.
+    Each row that is not placed goes to the nearest placed row that is more important than itself.
     """
     objects = prepare(objects, plan)
     rows = materialize(_keyed(objects, plan), "rows")
     edges: DataFrame | None = None
-    before = F.expr("w2 < w or (w2 = w and obj_id2 < obj_id)")
     for level in range(plan.levels, 0, -1):
         if plan.theta <= 0:
             step = rows.select(F.lit(level).cast("int").alias("level"), F.col("obj_id").alias("child"), F.col("obj_id").alias("parent"))
@@ -163,27 +183,15 @@ def layout_rounds(objects: DataFrame, plan: LayoutPlan, max_rounds: int = 200) -
             continue
         scale = plan.zoom ** (level - plan.levels)
         here = rows.withColumns({"u": F.col("u") * scale, "v": F.col("v") * scale})
-        undecided, placed = here, None
-        for _ in range(max_rounds):
-            blocked = _neighbours(undecided, undecided, plan.theta).where(before).select("obj_id").distinct()
-            chosen = undecided.join(blocked, "obj_id", "left_anti")
-            chosen = materialize(chosen, "chosen")
-            placed = chosen if placed is None else placed.unionByName(chosen)
-            covered = _neighbours(undecided, chosen, plan.theta).select("obj_id").distinct()
-            undecided = materialize(undecided.join(covered, "obj_id", "left_anti"), "undecided")
-            if undecided.isEmpty():
-                break
-        else:
-            raise RuntimeError("not settled; use the distributed layout")
-        placed = materialize(placed, "placed")
+        placed = _placed_in_rounds(here, plan.theta, max_rounds)
         out = here.join(placed.select("obj_id"), "obj_id", "left_anti")
-        nearest = _neighbours(out, placed, plan.theta).where(before).groupBy("obj_id").agg(F.min(F.struct("d", "w2", "obj_id2")).alias("m"))
+        nearest = _neighbours(out, placed, plan.theta).where(_BEFORE).groupBy("obj_id").agg(F.min(F.struct("d", "w2", "obj_id2")).alias("m"))
         step = nearest.select(F.lit(level).cast("int").alias("level"), F.col("obj_id").alias("child"), F.col("m.obj_id2").alias("parent"))
         step = step.unionByName(placed.select(F.lit(level).cast("int").alias("level"), F.col("obj_id").alias("child"), F.col("obj_id").alias("parent")))
         step = materialize(step, f"edges-{level}")
         edges = step if edges is None else edges.unionByName(step)
-        rows = rows.join(placed.select("obj_id"), "obj_id", "left_semi")
-        rows = materialize(rows, "rows")
+        before, rows = rows, materialize(rows.join(placed.select("obj_id"), "obj_id", "left_semi"), "rows")
+        discard(before)
     return Layout(plan, objects, edges)
 
 
@@ -292,6 +300,7 @@ def layout_distributed(
     clock.lap("tree")
     rows = assign_leaf(objects, tree).select("obj_id", "pid", *_units(plan), _weight(plan))
     rows = materialize(rows, "rows")
+    rows, copies = _without_copies(rows, plan)
     clock.lap("redistribution")
     edges: list[DataFrame] = []
     single: tuple[int, ...] = ()
@@ -330,6 +339,9 @@ def layout_distributed(
         below, rows = rows, materialize(local.join(stays, "child", "left_semi").select(F.col("child").alias("obj_id"), "pid", "u", "v", "w"), f"rows-{level}")
         discard(local, below, *tables)
         clock.lap("boundary")
+    if copies is not None:  # a copy goes where what stands for it goes on the bottom level
+        bottom = edges[0].where(F.col("level") == plan.levels).select(F.col("child").alias("first"), "parent")
+        edges.append(materialize(copies.join(bottom, "first").select(F.lit(plan.levels).cast("int").alias("level"), F.col("obj_id").alias("child"), "parent"), "edges-copies"))
     discard(rows)
     out = edges[0]
     for e in edges[1:]:
@@ -337,6 +349,27 @@ def layout_distributed(
     return Layout(plan, objects, out, tree, single, phases)
 
 
+def _without_copies(rows: DataFrame, plan: LayoutPlan) -> tuple[DataFrame, DataFrame | None]:
+    """(rows, copies): without the objects at a place that more than one holds than a leaf should, but for the
+    most important one; copies(obj_id, first).
+
+    No tree can split equal points.  Only leaves with more objects than a task holds are looked at, and no
+    place is gathered: its first object is a minimum, its copies are found by a join that can be split.
+    """
+    if plan.theta <= 0:
+        return rows, None
+    large = [r["pid"] for r in rows.groupBy("pid").count().where(F.col("count") > plan.mem_cap).collect()]
+    if not large:
+        return rows, None
+    crowded = rows.join(F.broadcast(rows.sparkSession.createDataFrame([(p,) for p in large], "pid int")), "pid", "left_semi")
+    places = crowded.groupBy("u", "v").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("w", "obj_id")).alias("m")).where(F.col("n") > max(plan.mem_cap // 4, 1))
+    copies = crowded.join(places.select("u", "v", F.col("m.obj_id").alias("first")), ["u", "v"]).where("obj_id <> first").select("obj_id", "first")
+    copies = materialize(copies, "copies")
+    return materialize(rows.join(copies.select("obj_id"), "obj_id", "left_anti").select(*rows.columns), "rows"), copies
+
+
+
+
 class _Clock:
     """Adds the seconds since the last lap to a phase."""
 
@@ -380,29 +413,31 @@ def layout_hash_partition(objects: DataFrame, plan: LayoutPlan, parts: int) -> L
     return Layout(plan, objects, materialize(edges, "edges"))
 
 
-def layout_top_down(objects: DataFrame, plan: LayoutPlan) -> Layout:
+def layout_top_down(objects: DataFrame, plan: LayoutPlan, max_rounds: int = 200) -> Layout:
     """Baseline: minimum-distance sampling from the top level down.
 
     The kept of a level stay kept below, and whatever else fits is added; every other object is assigned
-    to no mark, so there are no aggregates.  Edges name only the marks themselves.
+    to no mark, so there are no aggregates.  Edges name only the marks themselves.  A level takes rounds over
+    all objects that no kept one is close to.
     """
     objects = prepare(objects, plan)
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = _by_importance(pdf)
-        ids = pdf["obj_id"].to_numpy(np.int64)
-        order = np.arange(len(ids))
-        parts = []
-        kept = np.zeros(len(ids), bool)
-        for level in range(1, plan.levels + 1):
-            scale = plan.zoom ** (level - plan.levels)
-            seq = np.concatenate([order[kept], order[~kept]])
-            into = kernels.place_with_grid(pdf["u"].to_numpy()[seq] * scale, pdf["v"].to_numpy()[seq] * scale, plan.theta)
-            kept[seq[into == np.arange(len(seq))]] = True
-            parts.append(pd.DataFrame({"level": level, "child": ids[kept], "parent": ids[kept]}))
-        return pd.concat(parts).astype({"level": "int32"})
-
-    edges = _keyed(objects, plan).groupBy(F.lit(0).alias("one")).applyInPandas(run, EDGES)
+    rows = materialize(_keyed(objects, plan), "rows")
+    kept: DataFrame | None = None
+    edges: DataFrame | None = None
+    for level in range(1, plan.levels + 1):
+        scale = plan.zoom ** (level - plan.levels)
+        here = rows.withColumns({"u": F.col("u") * scale, "v": F.col("v") * scale})
+        if plan.theta <= 0:
+            kept = rows.select("obj_id")
+        else:
+            free = here
+            if kept is not None:
+                above = here.join(kept, "obj_id", "left_semi")
+                free = materialize(here.join(_neighbours(here, above, plan.theta).select("obj_id").distinct(), "obj_id", "left_anti"), "free")
+            new = _placed_in_rounds(free, plan.theta, max_rounds).select("obj_id")
+            kept = new if kept is None else kept.unionByName(new)
+        step = kept.select(F.lit(level).cast("int").alias("level"), F.col("obj_id").alias("child"), F.col("obj_id").alias("parent"))
+        edges = step if edges is None else edges.unionByName(step)
     return Layout(plan, objects, materialize(edges, "edges"))
 
 

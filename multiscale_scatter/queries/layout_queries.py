@@ -92,20 +92,16 @@ def relayout_added(spark, d):
     return _violations(L.relayout(old, rows.where("obj_id % 2 = 1")))
 
 
-def _tree(spark, d, fixture: Fixture, most: int):
-    return kdtree.build_kdtree(fixture.objects(spark, d), most)
-
-
 def kd_leaf_counts(spark, d):
     """Leaves of the first two depths: three exact medians."""
     rows = EVENTS.objects(spark, d)
-    tree = kdtree.build_kdtree(rows, -(-rows.count() // 4) + 1)
+    tree = kdtree.build_exact(rows, -(-rows.count() // 4) + 1)
     return L.assign_leaf(rows, tree).groupBy("pid").agg(F.count(F.lit(1)).alias("n"))
 
 
 def kd_assign(spark, d):
     rows = SUPPLIER.objects(spark, d)
-    tree = kdtree.build_kdtree(rows, -(-rows.count() // 2) + 1)
+    tree = kdtree.build_exact(rows, -(-rows.count() // 2) + 1)
     return L.assign_leaf(rows, tree).select("obj_id", "pid")
 
 
@@ -117,7 +113,9 @@ def kd_median(spark, d):
 
 def boundary_band(spark, d):
     """Rows near the first split of the bottom level, as the repair counts them."""
-    layout = L.layout_distributed(EVENTS.objects(spark, d), EVENTS.plan(mem_cap=-(-EVENTS.pixels(spark, d, 1).count() // 2) + 1), hybrid=False)
+    rows = EVENTS.objects(spark, d)
+    half = -(-rows.count() // 2) + 1
+    layout = L.layout_distributed(rows, EVENTS.plan(mem_cap=half), kdtree.build_exact(rows, half), hybrid=False)
     return L.band_sizes(layout).where("level = 6").agg(F.sum("rows").alias("near"))
 
 
@@ -142,7 +140,7 @@ def layout_mark_counts(spark, d):
 
 
 def kd_skew(spark, d):
-    tree = _tree(spark, d, LINEITEM, 2000)
+    tree = kdtree.build_exact(LINEITEM.objects(spark, d), 2000)
     return measures.partition_skew(L.assign_leaf(LINEITEM.objects(spark, d), tree)).select("leaves", "largest")
 
 

@@ -100,26 +100,44 @@ def stream_interval(spark, d):
     return drained(both.select("click", "purchase"), "append")
 
 
+#: Days of a cell of stream_greedy, and how late an event may come.
+CELL_DAYS, LATE = 10, "2 hours"
+
+
 def stream_greedy(spark, d):
-    """Per cell of the plane: an event becomes a mark if no mark of the cell is within the box; first come, first placed."""
-    cells = event_stream(spark, d).select(
-        "event_id", (F.unix_micros("ts") / 1e6 / 86400).alias("u"), (F.col("value") / 50).alias("v"), F.floor(F.unix_micros("ts") / 1e6 / 864000).alias("cell")
-    )
+    """Marks of the stream as it comes: an event is one if no mark lies within a box of a day by 50; first come, first placed.
+
+    The plane is cut into cells of ten days, each with the marks it has as its state.  Events within half a box of
+    a cell's side wait for the next layout over all events, so marks of different cells never overlap.  The state
+    is a grid of boxes, looked up by the nine around an event, and goes once the watermark has passed its cell.
+    """
+    day = F.unix_micros("ts") / 1e6 / 86400
+    cells = event_stream(spark, d).select("event_id", "ts", day.alias("u"), (F.col("value") / 50).alias("v"), F.floor(day / CELL_DAYS).cast("long").alias("cell"))
+    inside = (F.col("u") - F.col("cell") * CELL_DAYS >= 0.5) & ((F.col("cell") + 1) * CELL_DAYS - F.col("u") > 0.5)
+    cells = cells.where(inside).withWatermark("ts", LATE)
 
     def place(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        us, vs = (list(x) for x in state.get) if state.exists else ([], [])
+        if state.hasTimedOut:
+            state.remove()
+            return
+        marks: dict[tuple[int, int], list[tuple[float, float]]] = {}
+        for u, v in zip(*state.get, strict=True) if state.exists else ():
+            marks.setdefault((int(u // 1), int(v // 1)), []).append((u, v))
         new = []
         for pdf in batches:
             for i, u, v in pdf.sort_values("event_id")[["event_id", "u", "v"]].itertuples(index=False):
-                if all(max(abs(u - a), abs(v - b)) >= 1 for a, b in zip(us, vs, strict=True)):
-                    us.append(float(u))
-                    vs.append(float(v))
+                a, b = int(u // 1), int(v // 1)
+                near = (m for x in (a - 1, a, a + 1) for y in (b - 1, b, b + 1) for m in marks.get((x, y), ()))
+                if all(max(abs(u - x), abs(v - y)) >= 1 for x, y in near):
+                    marks.setdefault((a, b), []).append((float(u), float(v)))
                     new.append((key[0], int(i)))
-        state.update((us, vs))
+        flat = [m for some in marks.values() for m in some]
+        state.update(([m[0] for m in flat], [m[1] for m in flat]))
+        state.setTimeoutTimestamp(max(int((key[0] + 1) * CELL_DAYS * 86_400_000), state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(new, columns=["cell", "event_id"])
 
-    out = cells.groupBy("cell").applyInPandasWithState(place, "cell long, event_id long", "us array<double>, vs array<double>", "append", GroupStateTimeout.NoTimeout)
-    return drained(out, "append").groupBy("cell").agg(F.count(F.lit(1)).alias("marks"))
+    out = cells.groupBy("cell").applyInPandasWithState(place, "cell long, event_id long", "us array<double>, vs array<double>", "append", GroupStateTimeout.EventTimeTimeout)
+    return drained(out, "append")
 
 
 def grow_layout(stream: DataFrame, layout: L.Layout) -> list[L.Layout]:
@@ -145,7 +163,17 @@ def stream_relayout(spark, d):
 QUERIES: dict[str, Callable] = {
     f.__name__: f for f in (stream_tumbling, stream_sliding, stream_session, stream_watermark, stream_dedup, stream_kd_assign, stream_static_join, stream_interval, stream_greedy, stream_relayout)
 }
+_GREEDY = """o AS (SELECT event_id, u, v, cell, row_number() OVER (ORDER BY event_id) AS r FROM (
+    SELECT event_id, epoch_us(ts) / 1e6 / 86400 AS u, value / 50 AS v, CAST(floor(epoch_us(ts) / 1e6 / 86400 / 10) AS BIGINT) AS cell FROM events)
+    WHERE u - cell * 10 >= 0.5 AND (cell + 1) * 10 - u > 0.5),
+  g(r, cell, event_id, kept) AS (
+    SELECT CAST(0 AS BIGINT), CAST(NULL AS BIGINT), CAST(NULL AS BIGINT), CAST([] AS STRUCT(u DOUBLE, v DOUBLE)[])
+    UNION ALL
+    SELECT r, CASE WHEN free THEN cell END, CASE WHEN free THEN event_id END, CASE WHEN free THEN list_append(kept, {'u': u, 'v': v}) ELSE kept END
+    FROM (SELECT o.r, o.cell, o.event_id, o.u, o.v, g.kept, NOT EXISTS (SELECT 1 FROM unnest(g.kept) AS q(k) WHERE greatest(abs(k.u - o.u), abs(k.v - o.v)) < 1) AS free
+          FROM g JOIN o ON o.r = g.r + 1))"""
 SQL = {
+    "stream_greedy": f"WITH RECURSIVE {_GREEDY} SELECT cell, event_id FROM g WHERE event_id IS NOT NULL",
     "stream_tumbling": "SELECT CAST(floor(epoch_us(ts) / 1e6 / 21600) AS BIGINT) * 21600 AS start, CAST(floor(value / 50) AS BIGINT) AS tile, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_sliding": "SELECT (CAST(floor(epoch_us(ts) / 1e6 / 21600) AS BIGINT) - i) * 21600 AS start, count(*) AS n, round(sum(value), 3) AS total FROM events, range(0, 2) AS t(i) GROUP BY 1",
     "stream_session": """WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events),
