@@ -57,10 +57,12 @@ def main() -> None:
     specs = {"heatmap": W.HEATMAP, "contour": W.EVENT_CONTOUR, "pies": W.PIES, "text": W.TEXT, "circles": W.CIRCLE}
     for name, spec in specs.items():
         layout, took[f"layout_{name}"] = timed(W.lay_out, spark, SF_DIR, spec)
-        payload, took[f"statistics_{name}"] = timed(lambda: W.statistics(layout, spec.bare()).select("level", "cluster_id", "n"))
+        payload, took[f"payload_{name}"] = timed(W.payload, layout, spec)
         stored, took[f"index_{name}"] = timed(I.write_index, layout, fresh_path(spark, name), payload)
         extra |= {f"{name}_phase_{k}_s": round(v, 2) for k, v in layout.phases.items()} | {f"{name}_objects": layout.objects.count()}
-        extra |= serve(name, stored)
+        report, took[f"trace_{name}"] = timed(serve, name, stored)
+        extra |= report
+    synthetic.register_source(spark)
     for millions in (0.5, 1, 2, 4):
         objects = spark.read.format("scatter_synth").option("rows", int(millions * 1_000_000)).load()
         objects, took[f"synth_write_{millions}m"] = timed(materialize, objects, "synth")
