@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from multiscale_scatter.llm import decontamination, mixing, near_duplicates, quality_rules, secret_scan
-from multiscale_scatter.llm.shared import materialize
+from multiscale_scatter.llm.shared import discard, materialize, scratch
 
 
 def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,10 +49,12 @@ STAGES = [
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = materialize(docs, f"stage-{k + 1}")
-    return docs
+        if k == len(STAGES) - 1:
+            return stage(spark, docs, sf_dir)
+        # what a stage writes on its way goes with it, and so does its input
+        with scratch(spark):
+            before, docs = docs, materialize(stage(spark, docs, sf_dir), f"stage-{k + 1}", outside=True)
+        discard(before)
 
 
 #: Signatures and permutations are beyond SQL; tests hold the stages against brute force.

@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from . import textvec
-from .shared import components, materialize
+from .shared import components, discard, materialize
 
 #: The low six bits of a posting key hold the coordinate.
 COORDINATES = 64
@@ -277,7 +277,8 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
     one, two = (labels.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")) for c in "ab")
     rest = near.select("a", "b").join(best, ["a", "b"], "left_anti").join(one, "a", "left").join(two, "b", "left")
     rest = rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
-    found = materialize(found.unionByName(_confirmed(rest, sets, percent)), "links")
+    before, found = found, materialize(found.unionByName(_confirmed(rest, sets, percent)), "links")
+    discard(before, labels)
     labels = components(found, MAX_EDGES)
     for last in (False, True):
         members = materialize(_open(_with_labels(long_lists, labels)), "open-lists")
@@ -287,8 +288,10 @@ def _links(docs, signed, classes, width, percent, min_matches, short) -> DataFra
             links = _all_links(members, sets, percent)
         else:
             links = _confirmed(_alike(_pivot_pairs(members, percent, 1, PIVOTS), brief, min_matches), sets, percent)
-        found = materialize(found.unionByName(links), "links")
+        before, found = found, materialize(found.unionByName(links), "links")
+        discard(before, members, labels)
         labels = components(found, MAX_EDGES)
+    discard(sets, postings, long_lists, near, best, wanted)
     return labels
 
 
@@ -319,6 +322,7 @@ def _all_links(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         (F.col("cid") < F.col("cid2")) & (F.col("component") != F.col("component2")) & _enough(F.col("left"), F.col("left2"), F.col("n"), F.col("n2"), percent)
     )
     pairs = materialize(near.select(F.col("cid").alias("a"), F.col("cid2").alias("b")).distinct(), "open-pairs")
+    discard(shingles, posted)
     return _confirmed(pairs, sets, percent)
 
 

@@ -6,21 +6,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.materialize import materialize, shared_folder
+from ..plans.materialize import discard, materialize, scratch, shared_folder
 
-__all__ = ["WORD", "components", "materialize", "shared_folder", "tables", "words_of"]
+__all__ = ["WORD", "components", "discard", "materialize", "scratch", "shared_folder", "words_of"]
 
 #: White space that separates words, as a class for Java and DuckDB patterns.
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def tables(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def words_of(text: Column) -> Column:
     """Number of words, JVM-side."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
@@ -67,7 +63,9 @@ def components(edges: DataFrame, one_task: int = 0, max_rounds: int = 60) -> Dat
     )
     before = _fingerprint(current)
     if 0 < before[0] <= one_task:
-        return materialize(current.coalesce(1).mapInArrow(_components_here, "node long, component long"), "components")
+        found = materialize(current.coalesce(1).mapInArrow(_components_here, "node long, component long"), "components")
+        discard(current)
+        return found
     for _ in range(max_rounds):
         if before[0] == 0:
             break
@@ -82,6 +80,7 @@ def components(edges: DataFrame, one_task: int = 0, max_rounds: int = 60) -> Dat
             small.unionByName(least.select("a", F.col("m").alias("b"))).where("a != b").distinct(), "edges"
         )
         now = _fingerprint(after)
+        discard(current)
         current, same = after, now == before
         before = now
         if same:
