@@ -16,7 +16,7 @@ import re
 import time
 from collections.abc import Callable
 from concurrent.futures import ThreadPoolExecutor
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, fields
 
 import numpy as np
 import pyarrow as pa
@@ -296,8 +296,17 @@ def payload_json(rows: DataFrame) -> DataFrame:
 
 
 def plan_to_json(stored: StoredLayout) -> str:
+    """What a client and a later session need to know of a stored layout."""
     p = stored.plan
-    return json.dumps({"levels": p.levels, "zoom": p.zoom, "theta": p.theta, "box": p.box, "top": p.top, "x": p.x_extent, "y": p.y_extent})
+    return json.dumps({"path": stored.path, "top_levels": stored.top_levels, **{f.name: getattr(p, f.name) for f in fields(p)}})
+
+
+def open_index(spark: SparkSession, text: str) -> StoredLayout:
+    """The stored layout of plan_to_json; without its tree, which row groups have no use for."""
+    known = json.loads(text)
+    path, top = known.pop("path"), known.pop("top_levels")
+    plan = LayoutPlan(**{k: tuple(v) if isinstance(v, list) else v for k, v in known.items()})
+    return StoredLayout(path, plan, None, top, spark.read.parquet(path))
 
 
 def read_objects(spark: SparkSession, path: str, fmt: str = "parquet", **options) -> DataFrame:

@@ -10,9 +10,7 @@ from conftest import SMALL
 from multiscale_scatter.queries import registry
 from multiscale_scatter.sources.fixtures import TABLES
 
-SLOW = {"layout_rounds_part", "layout_rounds_supplier", "stream_relayout", "wl_skew_violations", "hull_corners", "hull_area_cells", "relayout_added"}
-#: The leaves and the session's hidden medians differ with the size of the tables; the driver compares these at its own size.
-NAMES = [n for n in registry.ORACLES if n not in SLOW]
+NAMES = list(registry.ORACLES)
 
 
 @pytest.fixture(scope="module")
