@@ -21,7 +21,6 @@ from dataclasses import dataclass, field, fields
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-import pyarrow.dataset  # noqa: F401  registers the file systems
 import pyarrow.fs as pafs
 import pyarrow.parquet as pq
 from pyspark.sql import Column, DataFrame, SparkSession
