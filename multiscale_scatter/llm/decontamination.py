@@ -2,12 +2,16 @@
 
 Items are cut into units of equal length, at most `UNIT_WORDS` words, the index's entries, documents into passages of two
 strides of `STRIDE` words, so any run of a stride's length lies within a passage.  A passage scores for a
-unit the share of the unit's own BM25 score that its words bring; all units above `threshold` are found:
+unit the share of the unit's own BM25 score that its words bring; all units above `threshold` are found by a
+walk over the posting lists of the passage's terms in the order of units, with weak lists left behind:
 
-- of a unit's terms some are essential: the others together stay below the threshold, so passages with no
-  essential term of any unit are passed over; those that documents use least are made essential first;
-- for the others, blocks of units carry the greatest impact of each term; a block whose bound for the
-  passage stays below the threshold is skipped, and units of the blocks left are scored in full.
+- the lists of a passage stand at their next unit; the first unit at which the greatest impacts of the lists up
+  to it reach the threshold is the pivot, none before it can;
+- the greatest impacts within the pivot's block of units bound it closer; below the threshold, the lists go on
+  behind the block, or to where the next list stands;
+- else the pivot is scored in full, and the lists go on behind it.
+
+All passages of a batch take their steps together, so a step is a few numpy operations.
 
 An item that is found is then verified on the whole document: the three-word runs of its question, and of
 its answer, must occur there.  The answer is what follows an "answer:" mark, else the last sentence, else
@@ -17,10 +21,6 @@ The index is sent to every task.  A benchmark of more than `SLICE_BYTES` of text
 document frequencies, the number of units and their mean length are those of the whole benchmark, counted
 before, so scores and pairs don't depend on how many slices there are.
 
-The walk over postings is not WAND's: the lists of a passage aren't advanced to a pivot, but all units that
-meet one of their essential terms are taken, then blocks and units as above.  The bounds (a term's greatest
-impact, a block's) are the same, nothing above the threshold is lost, and whole batches go through numpy.
-
 Defined cases: null or empty texts and items match nothing; repeated rows match each; null ids are kept;
 empty tables give an empty result; further columns are ignored by the search and kept by the filter.
 """
@@ -41,6 +41,10 @@ from . import textvec
 from .shared import materialize
 
 UNIT_WORDS, STRIDE, BLOCK_UNITS, SLICE_BYTES = 40, 48, 16, 16 << 20
+#: Bytes of text whose passages are searched together; a longer text is searched on its own.
+TOGETHER = 1 << 20
+#: Passages that take their steps together.
+PASSAGES = 4096
 K1, B = 1.2, 0.75
 THRESHOLD, OVERLAP = 0.6, 0.7
 
@@ -77,14 +81,18 @@ def _halves(text: str) -> tuple[np.ndarray, ...]:
 
 @dataclass
 class Index:
-    """postings: term, unit and impact (share of the unit's own score), by term, then unit."""
+    """Postings by term, then unit; one more row ends them: no term, a unit behind all others, no impact.
+
+    greatest and block_greatest: the greatest impact of a posting's term, in all units and in the posting's block.
+    """
 
     terms: np.ndarray
     first: np.ndarray
+    term: np.ndarray
     unit: np.ndarray
     impact: np.ndarray
-    essential: np.ndarray
-    has_essential: np.ndarray
+    greatest: np.ndarray
+    block_greatest: np.ndarray
     post_key: np.ndarray
     block_key: np.ndarray
     block_max: np.ndarray
@@ -112,8 +120,8 @@ class Statistics:
     frequency: dict[int, int]
 
 
-def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[int, int] | None = None, statistics: Statistics | None = None) -> Index:
-    """items: (item_id, text); usage: how often documents use a term, by its hash; statistics: of the benchmark, if items are a part of it."""
+def build_index(items: list[tuple], threshold: float = THRESHOLD, statistics: Statistics | None = None) -> Index:
+    """items: (item_id, text); statistics: of the benchmark, if items are a part of it."""
     items = [(i, pc.utf8_lower(t).as_py()) for i, t in items if t and re.search(r"[^\W_]", t)]
     units, owner = [], []
     for k, (_, text) in enumerate(items):
@@ -133,24 +141,19 @@ def build_index(items: list[tuple], threshold: float = THRESHOLD, usage: dict[in
     idf = np.log(1 + (n_units - df + 0.5) / (df + 0.5))
     score = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * lengths[unit] / mean))
     impact = score / np.bincount(unit, score, len(units))[unit] if len(units) else score
-    # the terms used most that together stay below the threshold are not essential; without usage, the weakest
-    used = np.array([(usage or {}).get(int(t), 0) for t in terms], np.int64)[term]
-    order = np.lexsort((impact, -used, unit))
-    total = np.cumsum(impact[order])
-    begin = np.searchsorted(unit[order], np.arange(len(units)))
-    before = np.concatenate(([0.0], total))[begin][unit[order]]
-    essential = np.ones(len(unit), bool)
-    essential[order] = total - before >= threshold - 1e-9
     by = np.lexsort((unit, term))
-    term, unit, impact, essential = term[by], unit[by], impact[by], essential[by]
+    term, unit, impact = term[by], unit[by], impact[by]
+    greatest = np.zeros(len(terms))
+    np.maximum.at(greatest, term, impact)
     n_blocks = len(units) // BLOCK_UNITS + 1
     key, place = np.unique(term * n_blocks + unit // BLOCK_UNITS, return_inverse=True)
     block_max = np.zeros(len(key))
     np.maximum.at(block_max, place, impact)
     halves = [_halves(t) for _, t in items]
+    end = lambda values, last: np.append(values, np.array(last, values.dtype))
     return Index(
-        terms, np.searchsorted(term, np.arange(len(terms) + 1)), unit, impact, essential,
-        np.bincount(term, essential, len(terms)) > 0, term * len(units) + unit, key, block_max, n_blocks, np.array(owner, np.int64),
+        terms, np.searchsorted(term, np.arange(len(terms) + 1)), end(term, len(terms)), end(unit, len(units)), end(impact, 0), end(greatest[term], 0),
+        end(block_max[place], 0), term * len(units) + unit, key, block_max, n_blocks, np.array(owner, np.int64),
         [q for q, _, _ in halves], [a for _, a, _ in halves], [w for _, _, w in halves], [i for i, _ in items], threshold,
     )
 
@@ -160,24 +163,70 @@ def _lookup(sorted_keys: np.ndarray, values: np.ndarray, keys: np.ndarray) -> np
     return np.where(sorted_keys[at] == keys, values[at], 0.0)
 
 
-def _sums(keys: np.ndarray, values: np.ndarray, width: int, passage: np.ndarray, entry: np.ndarray, begin: np.ndarray, terms: np.ndarray) -> np.ndarray:
-    """For each (passage, entry): the sum, over the passage's terms, of the value stored for term * width + entry."""
-    size = begin[passage + 1] - begin[passage]
-    at = np.repeat(begin[passage], size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-    return np.bincount(np.repeat(np.arange(len(passage)), size), _lookup(keys, values, terms[at] * width + np.repeat(entry, size)), len(passage))
+def _next_at(index: Index, post: np.ndarray, goal: np.ndarray) -> np.ndarray:
+    """The first posting behind each given one, in its list, of a unit that isn't before the goal."""
+    term, out = index.term[post], post + 1
+    far = np.flatnonzero((index.term[out] == term) & (index.unit[out] < goal))
+    out[far] = np.searchsorted(index.post_key, term[far] * len(index.item_of) + goal[far])
+    return np.where(index.term[out] == term, out, len(index.post_key))
 
 
-def search_passages(index: Index, begin: np.ndarray, terms: np.ndarray, passage: np.ndarray, unit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(places, scores) of the pairs (passage, unit) above the threshold.
+def search_passages(index: Index, begin: np.ndarray, terms: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(passage, unit, score) above the threshold; passage k has the distinct terms terms[begin[k]:begin[k + 1]]."""
+    found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+    for k in range(0, len(begin) - 1, PASSAGES):
+        some = begin[k : k + PASSAGES + 1]
+        for passage, unit, score in _walk(index, some - some[0], terms[some[0] : some[-1]]):
+            found.append((passage + k, unit, score))
+    return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
-    Passage k has the distinct terms terms[begin[k]:begin[k + 1]]; each pair shares an essential term.
+
+def _walk(index: Index, begin: np.ndarray, terms: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """What each step of all passages finds.
+
+    A row of `stand` has a passage's lists, each as its unit and posting in one number, so a sorted row has the
+    lists in the order of their units.
     """
-    least = index.threshold - 1e-9
-    blocks, of = np.unique(passage * index.n_blocks + unit // BLOCK_UNITS, return_inverse=True)
-    bound = _sums(index.block_key, index.block_max, index.n_blocks, blocks // index.n_blocks, blocks % index.n_blocks, begin, terms)
-    alive = np.flatnonzero(bound[of] >= least)
-    score = _sums(index.post_key, index.impact, len(index.item_of), passage[alive], unit[alive], begin, terms)
-    return alive[score >= least], score[score >= least]
+    least, n_units, last = index.threshold - 2e-9, len(index.item_of), len(index.post_key)
+    bits = last.bit_length()
+    encode = lambda post: index.unit[post] << bits | post
+    size = np.diff(begin)
+    row = np.repeat(np.arange(len(size)), size)
+    lane = np.flatnonzero(np.bincount(row, index.greatest[index.first[terms]], len(size)) >= least)
+    place = np.full(len(size), -1)
+    place[lane] = np.arange(len(lane))
+    stand = np.full((len(lane), int(size[lane].max(initial=0))), encode(np.int64(last)))
+    of, column = place[row], np.arange(len(row)) - np.repeat(begin[:-1], size)
+    stand[of[of >= 0], column[of >= 0]] = encode(index.first[terms[of >= 0]])
+    while True:
+        stand.sort(axis=1)
+        post = stand & ((1 << bits) - 1)
+        pivot = (np.cumsum(index.greatest[post], axis=1) < least).sum(axis=1)
+        on = pivot < stand.shape[1]
+        if not on.any():
+            break
+        # passages that are done go, and columns where all lists have ended
+        used = int((stand[on, :] >> bits < n_units).any(axis=0).sum())
+        lane, pivot, stand, post = lane[on], pivot[on], stand[on, :used], post[on, :used]
+        unit = stand >> bits
+        here = unit[np.arange(len(lane)), pivot]
+        up_to = unit <= here[:, None]
+        r, c = np.nonzero(up_to)
+        q, target = post[r, c], here[r]
+        bound = index.block_greatest[q]
+        behind = np.flatnonzero(index.unit[q] // BLOCK_UNITS < target // BLOCK_UNITS)
+        bound[behind] = _lookup(index.block_key, index.block_max, index.term[q[behind]] * index.n_blocks + target[behind] // BLOCK_UNITS)
+        good = np.bincount(r, bound, len(lane)) >= least
+        beyond = np.where(up_to, n_units, unit).min(axis=1)
+        goal = np.where(good, here, np.minimum((here // BLOCK_UNITS + 1) * BLOCK_UNITS, beyond))[r]
+        late = np.flatnonzero(index.unit[q] < goal)
+        q[late] = _next_at(index, q[late], np.minimum(goal[late], n_units))
+        scored = np.flatnonzero(good[r] & (index.unit[q] == target))
+        score = np.bincount(r[scored], index.impact[q[scored]], len(lane))
+        hit = np.flatnonzero(score >= index.threshold - 1e-9)
+        yield lane[hit], here[hit], score[hit]
+        q[scored] = _next_at(index, q[scored], target[scored] + 1)
+        stand[r, c] = encode(q)
 
 
 def _search(index: Index):
@@ -187,40 +236,26 @@ def _search(index: Index):
         for batch in batches:
             rows: list[tuple] = []
             ids, keys = batch.column("doc_id"), batch.column("key")
-            for a, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text"))):
+            for a, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text")), TOGETHER):
                 words, n = hashed_words(raw, at)
                 if not len(words) or not n_units:
                     continue
                 place = np.minimum(np.searchsorted(index.terms, words), len(index.terms) - 1)
                 known = np.flatnonzero(index.terms[place] == words)
-                term = place[known]
                 begin = np.cumsum(n) - n
-                row = np.searchsorted(begin + n, known, side="right")
-                stride = (known - begin[row]) // STRIDE
-                last = np.maximum(-(-n // STRIDE) - 2, 0)
-                hit = np.flatnonzero(index.has_essential[term])
-                if not len(hit):
-                    continue
-                size = index.first[term[hit] + 1] - index.first[term[hit]]
-                post = np.repeat(index.first[term[hit]], size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-                of = np.repeat(hit, size)[index.essential[post]]
-                post = post[index.essential[post]]
-                both = np.concatenate([of, of]), np.concatenate([stride[of], stride[of] - 1]), np.concatenate([index.unit[post]] * 2)
-                ok = (both[1] >= 0) & (both[1] <= last[row[both[0]]])
-                found = np.unique(np.stack([row[both[0][ok]], both[1][ok], both[2][ok]], axis=1), axis=0)
-                if not len(found):
-                    continue
-                changed = np.concatenate(([True], (np.diff(found[:, :2], axis=0) != 0).any(axis=1)))
-                r, p = found[changed, 0], found[changed, 1]
-                lo = np.searchsorted(known, begin[r] + p * STRIDE)
-                size = np.searchsorted(known, np.minimum(begin[r] + (p + 2) * STRIDE, begin[r] + n[r])) - lo
-                at_term = np.repeat(lo, size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-                distinct = np.unique(np.repeat(np.arange(len(r)), size) * len(index.terms) + term[at_term])
-                bounds = np.searchsorted(distinct, np.arange(len(r) + 1) * len(index.terms))
-                hits, scores = search_passages(index, bounds, distinct % len(index.terms), np.cumsum(changed) - 1, found[:, 2])
+                in_row = np.searchsorted(begin + n, known, side="right")
+                stride = (known - begin[in_row]) // STRIDE
+                # a word is in the passages that begin with its stride and with the one before
+                passages = np.maximum(-(-n // STRIDE) - 1, 1)
+                first = np.cumsum(passages) - passages
+                number = np.concatenate([first[in_row] + stride, first[in_row] + stride - 1])
+                inside = np.concatenate([stride < passages[in_row], stride > 0])
+                distinct = np.unique(number[inside] * len(index.terms) + np.tile(place[known], 2)[inside])
+                bounds = np.searchsorted(distinct, np.arange(passages.sum() + 1) * len(index.terms))
+                hits, units, scores = search_passages(index, bounds, distinct % len(index.terms))
+                rows_hit = np.searchsorted(first, hits, side="right") - 1
                 best: dict[tuple[int, int], float] = {}
-                for x, score in zip(hits.tolist(), scores.tolist(), strict=True):
-                    key = (int(found[x, 0]), int(index.item_of[found[x, 2]]))
+                for key, score in zip(zip(rows_hit.tolist(), index.item_of[units].tolist(), strict=True), scores.tolist(), strict=True):
                     best[key] = max(best.get(key, 0.0), score)
                 runs: dict[int, np.ndarray] = {}
                 for (r, item), score in sorted(best.items()):
@@ -237,22 +272,6 @@ def _search(index: Index):
     return run
 
 
-def _usage(terms: np.ndarray):
-    """How often each of the sorted terms occurs in the rows of a task."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        count = np.zeros(len(terms), np.int64)
-        for batch in batches:
-            for _, _, raw, at in textvec.pieces(pc.utf8_lower(batch.column("text"))):
-                words, _ = hashed_words(raw, at)
-                place = np.minimum(np.searchsorted(terms, words), len(terms) - 1)
-                count += np.bincount(place[terms[place] == words], minlength=len(terms))
-        use = np.flatnonzero(count)
-        yield pa.RecordBatch.from_arrays([pa.array(use), pa.array(count[use])], names=["term", "n"])
-
-    return run
-
-
 def _unit_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(term, units that hold it, -) of items, and for each batch one row without a term: (-, units, words)."""
     for batch in batches:
@@ -298,10 +317,7 @@ def _retrieved(docs: DataFrame, items: DataFrame, threshold: float, slice_bytes:
         part = sized if n_slices == 1 else sized.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n_slices)) == k)
         rows = sorted(((r["item_id"], r["text"]) for r in part.collect()), key=lambda r: (r[0] is None, r))
         statistics = None if whole is None else _statistics(part, whole)
-        index = build_index(rows, threshold, statistics=statistics)
-        if len(index.terms):
-            used = docs.select("text").mapInArrow(_usage(index.terms), "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
-            index = build_index(rows, threshold, {int(index.terms[r["term"]]): r["n"] for r in used}, statistics)
+        index = build_index(rows, threshold, statistics)
         found = docs.mapInArrow(_search(index), "doc_id long, key long, item_id long, score double, question_overlap double, answer_overlap double, item_overlap double")
         out = found if out is None else out.unionByName(found)
     return out

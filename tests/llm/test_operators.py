@@ -161,7 +161,7 @@ def test_decontamination(spark):
 
 
 def test_search_equals_scoring_all():
-    """Skipping by essential terms and by blocks loses no unit above the threshold."""
+    """The walk by pivots and block bounds loses no unit above the threshold."""
     import pyarrow as pa
 
     items = [(k, prose(k % 7, 25 + k % 5) + " " + prose(900 + k, 12)) for k in range(60)]
@@ -187,6 +187,28 @@ def test_search_equals_scoring_all():
     assert all(got[k] == pytest.approx(min(want[k], 1)) for k in want)
 
 
+@pytest.mark.parametrize("threshold", [0.1, 0.3, 0.6])
+def test_walk_over_many_units(monkeypatch, threshold):
+    """Frequent terms in many blocks: every unit above the threshold, and none twice."""
+    import numpy as np
+
+    monkeypatch.setattr(decontamination, "PASSAGES", 64)
+    draw = np.random.default_rng(3)
+    items = [(k, " ".join(f"w{min(x, 400)}" for x in draw.zipf(1.3, 30))) for k in range(500)]
+    index = decontamination.build_index(items, threshold)
+    queries = [np.unique(draw.integers(0, len(index.terms), draw.integers(0, 60))) for _ in range(150)]
+    queries += [np.unique(np.searchsorted(index.terms, decontamination._words(items[k][1]))) for k in range(100)] + [np.arange(len(index.terms))]
+    begin = np.concatenate(([0], np.cumsum([len(x) for x in queries])))
+    got = decontamination.search_passages(index, begin, np.concatenate(queries))
+    want = {}
+    for k, terms in enumerate(queries):
+        has = np.isin(index.term[:-1], terms)
+        score = np.bincount(index.unit[:-1][has], index.impact[:-1][has], len(items))
+        want |= {(k, int(u)): score[u] for u in np.flatnonzero(score >= threshold - 1e-9)}
+    assert len(got[0]) == len(want) > 100
+    assert all(s == pytest.approx(want[k, u]) for k, u, s in zip(*(x.tolist() for x in got)))
+
+
 # 4 ------------------------------------------------------------------------------------------------------
 
 
