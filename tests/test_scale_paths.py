@@ -126,3 +126,20 @@ def test_tables(spark, monkeypatch):
 
     with pytest.raises(RuntimeError):
         M.shared_folder(Session())
+
+
+def test_pairs_are_counted_by_places(spark):
+    """Violations and isolated objects against all pairs, with copies of places; no side of a join goes to the driver."""
+    rng = random.Random(5)
+    spots = [(rng.uniform(0, 3000), rng.uniform(0, 3000)) for _ in range(150)] + [(100.0, 100.0), (200.0, 100.0), (199.5, 100.0)]
+    rows = [(1 + i % 2, i, *spots[rng.randrange(150) if i > 200 else i % len(spots)]) for i in range(400)]
+    marks = spark.createDataFrame(rows, "level int, cluster_id long, cx double, cy double")
+    gap = lambda p, q: max(abs(p[2] - q[2]) / 100, abs(p[3] - q[3]) / 50)
+    close = [(p, q) for p in rows for q in rows if p[0] == q[0] and p[1] < q[1]]
+    got = measures.overlap_violations(marks, 100.0, 50.0, 1.0)
+    assert {r["level"]: r["violations"] for r in got.collect()} == {k: sum(p[0] == k and gap(p, q) < 1 - 1e-9 for p, q in close) for k in (1, 2)}
+    busy = {i for p, q in close if gap(p, q) < 1 for i in (p[1], q[1])}
+    alone = measures.isolated(marks, 100.0, 50.0, 1.0)
+    assert {r["cluster_id"] for r in alone.collect()} == {r[1] for r in rows} - busy
+    for df in (got, alone, measures.close_pairs(marks, 100.0, 50.0, 1.0)):
+        assert "BroadcastExchange" not in df._jdf.queryExecution().executedPlan().toString()
