@@ -143,3 +143,11 @@ def test_pairs_are_counted_by_places(spark):
     assert {r["cluster_id"] for r in alone.collect()} == {r[1] for r in rows} - busy
     for df in (got, alone, measures.close_pairs(marks, 100.0, 50.0, 1.0)):
         assert "BroadcastExchange" not in df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_chains_take_few_rounds(spark):
+    """A row of objects, each blocked by the next more important one, takes a round a tile, not one an object."""
+    plan = L.LayoutPlan((0.0, 1.0), (0.0, 1.0), levels=6)
+    rows = spark.range(1400).selectExpr("id AS obj_id", "(id DIV 2) * 60.0D / 42000 AS x", "0.5D AS y", "CAST(-id AS DOUBLE) AS z")
+    triple = lambda lay: sorted(map(tuple, lay.edges.select("level", "child", "parent").collect()))
+    assert triple(L.layout_rounds(rows, plan, max_rounds=12)) == triple(L.layout_single(rows, plan))
