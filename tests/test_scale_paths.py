@@ -151,3 +151,13 @@ def test_chains_take_few_rounds(spark):
     rows = spark.range(1400).selectExpr("id AS obj_id", "(id DIV 2) * 60.0D / 42000 AS x", "0.5D AS y", "CAST(-id AS DOUBLE) AS z")
     triple = lambda lay: sorted(map(tuple, lay.edges.select("level", "child", "parent").collect()))
     assert triple(L.layout_rounds(rows, plan, max_rounds=12)) == triple(L.layout_single(rows, plan))
+
+
+def test_small_tiles(spark, monkeypatch):
+    """The same marks with tiles of a few cells and tasks of a few rows."""
+    monkeypatch.setattr(L, "TILE", 3)
+    monkeypatch.setattr(L, "TILE_ROWS", 40)
+    plan = SUPPLIER.plan(levels=3)
+    triple = lambda lay: sorted(map(tuple, lay.edges.select("level", "child", "parent").collect()))
+    rows = SUPPLIER.objects(spark, MIDDLE)
+    assert triple(L.layout_rounds(rows, plan)) == triple(L.layout_single(rows, plan))
