@@ -161,3 +161,12 @@ def test_small_tiles(spark, monkeypatch):
     triple = lambda lay: sorted(map(tuple, lay.edges.select("level", "child", "parent").collect()))
     rows = SUPPLIER.objects(spark, MIDDLE)
     assert triple(L.layout_rounds(rows, plan)) == triple(L.layout_single(rows, plan))
+
+
+def test_top_down_of_copies(spark):
+    """Copies of a place never stand beside its first object, on no level; nothing goes to the driver for them."""
+    plan = CUSTOMER.plan(levels=3)
+    rows = CUSTOMER.objects(spark, SMALL)
+    more = rows.unionByName(rows.withColumn("obj_id", F.col("obj_id") + 1_000_000))
+    marks = lambda lay: sorted(map(tuple, lay.visible().collect()))
+    assert marks(L.layout_top_down(more, plan, max_rounds=4)) == marks(L.layout_top_down(rows, plan))
