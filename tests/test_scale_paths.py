@@ -201,3 +201,10 @@ def test_tree_of_some_turns(spark, tmp_path):
     got = measures.partition_skew(L.assign_leaf(LINEITEM.objects(spark, str(tmp_path)), tree)).select("leaves", "largest").first()
     assert tuple(got) == con.sql(kd_sql(LINEITEM, 50, 7)).fetchall()[0]
     assert got["largest"] > 50
+
+
+def test_complete_results_stay_off_the_driver(spark):
+    """No complete result is held by the driver's memory sink."""
+    before = {t.name for t in spark.catalog.listTables()}
+    assert registry.QUERIES["stream_session"](spark, SMALL).inputFiles()
+    assert not {t.name for t in spark.catalog.listTables() if t.name.startswith("sink")} - before
