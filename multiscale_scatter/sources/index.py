@@ -14,6 +14,7 @@ from __future__ import annotations
 import json
 import re
 import time
+from collections import OrderedDict
 from collections.abc import Callable
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, fields
@@ -106,18 +107,28 @@ def fetch(stored: StoredLayout, view: Viewport, pruned: bool = True, pushdown: b
     return rows.withColumn("box", box).where(meets(F.col("box"))).drop("box")
 
 
+#: Files that a session keeps open.
+OPEN_FILES = 128
+
+
 class RowGroups:
-    """The row groups of an index: where they are, their level, and the ranges of cx and cy in them."""
+    """The row groups of an index: where they are, their level, and the ranges of cx and cy in them.
+
+    Files are opened when a request meets them, and the ones asked for last stay open.
+    """
 
     def __init__(self, path: str):
         self.fs, root = pafs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (pafs.LocalFileSystem(), path)
-        files = [f.path for f in self.fs.get_file_info(pafs.FileSelector(root, recursive=True)) if f.path.endswith(".parquet")]
-        self.readers: list[pq.ParquetFile] = []
+        files = self.files = [f.path for f in self.fs.get_file_info(pafs.FileSelector(root, recursive=True)) if f.path.endswith(".parquet")]
+        self.readers: OrderedDict[int, pq.ParquetFile] = OrderedDict()
         rows = []
+
+        def footer(path: str) -> pq.FileMetaData:
+            with self.fs.open_input_file(path) as f:
+                return pq.read_metadata(f)
+
         with ThreadPoolExecutor(16) as pool:
-            for k, reader in enumerate(pool.map(lambda p: pq.ParquetFile(self.fs.open_input_file(p)), files)):
-                self.readers.append(reader)
-                meta = reader.metadata
+            for k, meta in enumerate(pool.map(footer, files)):
                 at = {meta.schema.column(c).path: c for c in range(meta.num_columns)}
                 level = int(re.search(r"level=(\d+)", files[k])[1])
                 for g in range(meta.num_row_groups):
@@ -126,6 +137,15 @@ class RowGroups:
                     rows.append((k, g, level, *known[0], *known[1]))
         self.table = np.array(rows, float).reshape(-1, 7)
 
+    def reader(self, k: int) -> pq.ParquetFile:
+        if k in self.readers:
+            self.readers.move_to_end(k)
+            return self.readers[k]
+        while len(self.readers) >= OPEN_FILES:
+            self.readers.popitem(last=False)[1].close(force=True)
+        self.readers[k] = pq.ParquetFile(self.fs.open_input_file(self.files[k]))
+        return self.readers[k]
+
     def fetch(self, view: Viewport, wb: float, hb: float, columns: list[str] | None = None) -> tuple[pa.Table, int]:
         """(marks whose box meets the viewport, row groups read)."""
         t = self.table
@@ -134,14 +154,14 @@ class RowGroups:
         names = columns and sorted({*columns, "cx", "cy"})
         parts = []
         for k in np.unique(hit[:, 0]).astype(int):
-            part = self.readers[k].read_row_groups(hit[hit[:, 0] == k, 1].astype(int).tolist(), columns=names, use_threads=False)
+            part = self.reader(k).read_row_groups(hit[hit[:, 0] == k, 1].astype(int).tolist(), columns=names, use_threads=False)
             cx, cy = part.column("cx"), part.column("cy")
             inside = pc.and_(pc.and_(pc.greater_equal(cx, x0), pc.less_equal(cx, x1)), pc.and_(pc.greater_equal(cy, y0), pc.less_equal(cy, y1)))
             parts.append(part.filter(inside))
         if parts:
             out = pa.concat_tables(parts)
         else:
-            schema = self.readers[0].schema_arrow if self.readers else pa.schema([("cluster_id", pa.int64()), ("cx", pa.float64()), ("cy", pa.float64())])
+            schema = self.reader(0).schema_arrow if self.files else pa.schema([("cluster_id", pa.int64()), ("cx", pa.float64()), ("cy", pa.float64())])
             out = schema.empty_table()
         return (out.select(columns) if columns else out), len(hit)
 

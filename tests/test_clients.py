@@ -114,3 +114,21 @@ def test_greedy_against_the_optimum():
         assert mine in apart and 0 in mine and not any(set(mine) < set(s) for s in apart)
         assert sum(z[k] for k in mine) <= max(sum(z[k] for k in s) for s in apart) + 1e-12
         assert mine == max(apart, key=lambda s: [k in s for k in range(n)])  # the best set in order of importance
+
+
+def test_session_keeps_few_files_open(spark, tmp_path, monkeypatch):
+    """An index of more files than a process may open: footers are read and closed, the files asked for last stay open."""
+    import os
+
+    from multiscale_scatter.sources import index as I
+
+    monkeypatch.setattr(I, "OPEN_FILES", 3)
+    path = str(tmp_path / "index")
+    rows = spark.range(400).selectExpr("id AS cluster_id", "CAST(id AS DOUBLE) AS cx", "CAST(id AS DOUBLE) AS cy", "1 AS level")
+    rows.repartitionByRange(20, "cx").write.partitionBy("level").parquet(path)
+    before = len(os.listdir("/proc/self/fd"))
+    groups = I.RowGroups(path)
+    for x in (0.0, 100.0, 250.0, 0.0):
+        items, _ = groups.fetch(I.Viewport(1, x, x, x + 149, x + 149), 0.0, 0.0)
+        assert sorted(items.column("cluster_id").to_pylist()) == list(range(int(x), int(x) + 150))
+        assert len(os.listdir("/proc/self/fd")) <= before + 3
