@@ -41,3 +41,8 @@ def test_entry(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["cte_levels"])
+def test_reads_a_given_table(spark, name):
+    assert any(SMALL in f for f in registry.QUERIES[name](spark, SMALL).inputFiles())
