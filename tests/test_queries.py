@@ -43,6 +43,6 @@ def test_entry(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
-@pytest.mark.parametrize("name", ["cte_levels", "density_theta", "effective_theta", "provisioning", "tile_lattice", "udtf_lattice"])
+@pytest.mark.parametrize("name", ["cte_levels", "density_theta", "effective_theta", "provisioning", "tile_lattice", "udtf_lattice", "viewport_capacity"])
 def test_reads_a_given_table(spark, name):
     assert any(SMALL in f for f in registry.QUERIES[name](spark, SMALL).inputFiles())
