@@ -208,3 +208,25 @@ def test_complete_results_stay_off_the_driver(spark):
     before = {t.name for t in spark.catalog.listTables()}
     assert registry.QUERIES["stream_session"](spark, SMALL).inputFiles()
     assert not {t.name for t in spark.catalog.listTables() if t.name.startswith("sink")} - before
+
+
+def test_objects_that_share_an_id(spark, tmp_path):
+    """Two lines of one order, number and price but other quantities: all of them are counted, the id has one mark."""
+    import os
+
+    import duckdb
+
+    for f in os.listdir(SMALL):
+        if f != "lineitem.parquet":
+            os.symlink(f"{SMALL}/{f}", tmp_path / f)
+    con = duckdb.connect()
+    src = f"'{SMALL}/lineitem.parquet'"
+    con.execute(f"COPY (SELECT * FROM {src} UNION ALL SELECT * REPLACE (l_quantity % 50 + 1 AS l_quantity) FROM {src} WHERE l_orderkey < 30) TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    want = sorted(con.sql(registry.ORACLES["wl_pie_mass"]).fetchall())
+    assert want[0][1] > 6000
+    assert sorted(map(tuple, registry.QUERIES["wl_pie_mass"](spark, str(tmp_path)).collect())) == want
+    layout = L.layout_distributed(LINEITEM.objects(spark, str(tmp_path)), LINEITEM.plan(mem_cap=500), hybrid=False)
+    assert {r["objects"] for r in measures.mass_conservation(rollup.all_levels(layout)).collect()} == {want[0][1]}
+    marks = layout.marks()
+    assert layout.shared_ids and marks.count() == marks.select("level", "cluster_id").distinct().count() == layout.visible().count()
