@@ -165,6 +165,20 @@ def test_small_tiles(spark, monkeypatch):
     assert triple(L.layout_rounds(rows, plan)) == triple(L.layout_single(rows, plan))
 
 
+def test_what_fits_a_task_is_one_tile(spark, monkeypatch):
+    """Levels of no more rows than a task takes need no rounds."""
+    rounds = []
+    monkeypatch.setattr(L, "materialize", lambda df, name, keep=L.materialize: (name == "chosen" and rounds.append(name), keep(df, name))[1])
+    plan = SUPPLIER.plan(levels=3)
+    triple = lambda lay: sorted(map(tuple, lay.edges.select("level", "child", "parent").collect()))
+    rows = SUPPLIER.objects(spark, MIDDLE)
+    assert triple(L.layout_rounds(rows, plan)) == triple(L.layout_single(rows, plan)) and not rounds
+    one = L.layout_top_down(rows, plan).visible().collect()
+    assert not rounds
+    monkeypatch.setattr(L, "TILE_ROWS", 40)
+    assert sorted(map(tuple, L.layout_top_down(rows, plan).visible().collect())) == sorted(map(tuple, one)) and rounds
+
+
 def test_top_down_of_copies(spark):
     """Copies of a place never stand beside its first object, on no level; nothing goes to the driver for them."""
     plan = CUSTOMER.plan(levels=3)
